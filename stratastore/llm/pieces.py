@@ -256,12 +256,22 @@ class PieceEncoder:
         return out
 
 
+_ENCODERS: dict[str, PieceEncoder] = {}
+
+
+def encoder_of(path: str) -> PieceEncoder:
+    """This worker's encoder: it keeps the segments it knows from task to task."""
+    if path not in _ENCODERS:
+        _ENCODERS[path] = PieceEncoder(Vocabulary.load(path))
+    return _ENCODERS[path]
+
+
 def encode(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame:
     """The documents with their ids in a new column ``ids``."""
     name = free_name(docs, "ids")
 
     def run(batches):
-        encoder = PieceEncoder(Vocabulary.load(path))
+        encoder = encoder_of(path)
         for batch in batches:
             for part in K.slices(batch, text_col, 4 << 20):
                 ids, offsets = encoder.encode(part.column(text_col))
@@ -275,7 +285,7 @@ def decode(tokens: DataFrame, path: str, ids_col: str = "ids") -> DataFrame:
     name = free_name(tokens, "decoded")
 
     def run(batches):
-        encoder = PieceEncoder(Vocabulary.load(path))
+        encoder = encoder_of(path)
         for batch in batches:
             ids = batch.column(ids_col)
             off = np.concatenate(([0], np.cumsum(pc.fill_null(pc.list_value_length(ids), 0).to_numpy(zero_copy_only=False))))
@@ -290,7 +300,7 @@ def round_trip(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame:
     names = [free_name(docs, n) for n in ("n_tokens", "ids_crc32", "same")]
 
     def run(batches):
-        encoder = PieceEncoder(Vocabulary.load(path))
+        encoder = encoder_of(path)
         for batch in batches:
             for part in K.slices(batch, text_col, 4 << 20):
                 texts = part.column(text_col).fill_null("")
