@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, embed_dup, html, near_dup, pieces, quality, sharding, token_files, toxicity
+from . import decontaminate, embed_dup, html, near_dup, pieces, pitman_yor, quality, sharding, token_files, toxicity
 from .shared import crc32_text, table
 
 #: Categories of the chain, in order, as columns made from the labels.
@@ -48,6 +48,10 @@ def op4_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.crc_of_ids(token_files.read(spark, out)).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op5_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pitman_yor.score_corpus(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
     model = quality.fit_quality(docs, table(spark, sf_dir, "labels"))
@@ -138,7 +142,7 @@ FROM documents JOIN class USING (doc_id) LEFT JOIN deg USING (doc_id)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = [op1_sentencepiece, op2_sharding, op3_toxicity, op4_token_files, op6_quality, op7_decontamination, op8_jaccard_join, op9_embedding_near_dedup, op10_html]
+    own = [op1_sentencepiece, op2_sharding, op3_toxicity, op4_token_files, op5_lm_scoring, op6_quality, op7_decontamination, op8_jaccard_join, op9_embedding_near_dedup, op10_html]
     return {f.__name__: f for f in own}
 
 
