@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 
 from . import textkernel as K
 from .shared import free_name, plus
-from .wordcache import WordCache
+from .wordcache import SpanCache
 
 MARK = "▁"
 #: What the library takes off the lowest score for a character without a piece.
@@ -195,10 +195,15 @@ def _within(vocabulary: Vocabulary, text: str) -> list[int]:
     return out[::-1]
 
 
+#: Everything but the space, in bytes.
+_SOLID = np.ones(256, dtype=bool)
+_SOLID[32] = False
+
+
 class PieceEncoder:
     def __init__(self, vocabulary: Vocabulary):
         self.v = vocabulary
-        self.cache = WordCache(lambda segments: [viterbi(vocabulary, s.replace(" ", MARK)) for s in segments])
+        self.cache = SpanCache(lambda segments: [viterbi(vocabulary, s.decode().replace(" ", MARK)) for s in segments])
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row, and the texts' offsets."""
@@ -206,36 +211,21 @@ class PieceEncoder:
         if self.v.crossing:  # a piece may cross spaces: no borders are certain
             lists = [viterbi(self.v, (" " + t).replace(" ", MARK)) if t else [] for t in texts.to_pylist()]
             return np.fromiter((i for x in lists for i in x), np.int32), np.concatenate(([0], np.cumsum([len(x) for x in lists])))
-        parts = pc.split_pattern(texts, " ")
-        flat, per = parts.flatten(), pc.list_value_length(parts).to_numpy(zero_copy_only=False).astype(np.int64)
-        empty = pc.equal(flat, "").to_numpy(zero_copy_only=False)
-        if empty.any():
-            flat, per = self._joined(flat, per, empty, pc.equal(texts, "").to_numpy(zero_copy_only=False))
-        return self.cache.encode(pc.binary_join_element_wise("", flat, " "), per)
-
-    @staticmethod
-    def _joined(flat: pa.Array, per: np.ndarray, empty: np.ndarray, blank: np.ndarray) -> tuple[pa.Array, np.ndarray]:
-        """Runs of spaces go with the word after them, or stand alone at a text's end."""
-        first = np.concatenate(([0], np.cumsum(per)))
-        keep = ~empty
-        tail = first[1:] - 1
-        ends_empty = empty[tail] & ~blank
-        keep[tail[ends_empty]] = True
-        kept = np.flatnonzero(keep)
-        before = np.concatenate(([-1], kept[:-1]))
-        owner = np.searchsorted(first, kept, "right") - 1
-        spaces = kept - np.maximum(before + 1, first[owner])
-        words = flat.take(pa.array(kept))
-        many = np.flatnonzero(spaces)
-        if len(many):
-            lead = pa.array([" " * int(k) for k in spaces], pa.string()) if len(many) * 4 > len(kept) else None
-            if lead is not None:
-                words = pc.binary_join_element_wise(lead, words, "")
-            else:
-                fixed = pa.array([" " * int(spaces[k]) for k in many], pa.string())
-                words = pc.replace_with_mask(words, pa.array(spaces > 0), pc.binary_join_element_wise(fixed, words.take(pa.array(many)), ""))
-        count = np.concatenate(([0], np.cumsum(keep)))
-        return words, count[first[1:]] - count[first[:-1]]
+        data, offsets = K.buffers(texts)
+        if not len(data):
+            return np.zeros(0, np.int32), np.zeros(len(offsets), np.int64)
+        # a segment is a run of spaces with what follows it; the first of a text has the mark before the text too
+        solid = _SOLID[data]
+        begins = ~solid
+        begins[1:] &= solid[:-1]
+        heads = offsets[:-1][offsets[:-1] < offsets[1:]]
+        begins[heads] = True
+        starts = np.flatnonzero(begins)
+        ends = np.append(starts[1:], len(data))
+        first = np.zeros(len(starts), dtype=bool)
+        first[np.searchsorted(starts, heads)] = True
+        ids, by_segment = self.cache.encode(data, starts, ends, first, b" ")
+        return ids, by_segment[np.searchsorted(starts, offsets)]
 
     def decode(self, ids: np.ndarray, offsets: np.ndarray) -> list[str]:
         """Texts of id runs."""

@@ -174,22 +174,29 @@ def is_member(values: np.ndarray, sorted_set: np.ndarray) -> np.ndarray:
 
 
 class HashIndex:
-    """Open-addressing index over distinct unsigned 64-bit keys: key -> its place, looked up in bulk."""
+    """Open-addressing index over distinct unsigned 64-bit keys: key -> its place in the order of insertion, looked up in bulk."""
 
-    def __init__(self, keys: np.ndarray):
-        self.bits = max(4, int(2 * len(keys)).bit_length())
+    def __init__(self, keys: np.ndarray | None = None, bits: int | None = None):
+        keys = np.zeros(0, U64) if keys is None else keys
+        self.bits = bits or max(4, int(2 * len(keys)).bit_length())
         self.slots = np.full(1 << self.bits, -1, dtype=np.int32)
         self.keys = np.zeros(1 << self.bits, dtype=U64)
+        self.count = 0
+        self.add(keys)
+
+    def add(self, keys: np.ndarray) -> None:
+        """Puts in new distinct keys; the index must have room for them."""
         left = np.arange(len(keys), dtype=np.int32)
         at = self._home(keys)
         while len(left):
             free = np.flatnonzero(self.slots[at] < 0)
             slot, first = np.unique(at[free], return_index=True)
             won = free[first]
-            self.slots[slot], self.keys[slot] = left[won], keys[left[won]]
+            self.slots[slot], self.keys[slot] = self.count + left[won], keys[left[won]]
             rest = np.ones(len(left), dtype=bool)
             rest[won] = False
             left, at = left[rest], (at[rest] + 1) & ((1 << self.bits) - 1)
+        self.count += len(keys)
 
     def _home(self, keys: np.ndarray) -> np.ndarray:
         return ((keys * U64(0xD6E8FEB86659FD93)) >> U64(64 - self.bits)).astype(np.int64)

@@ -23,12 +23,11 @@ from pyspark.sql import functions as F
 
 from . import textkernel as K
 from .shared import n_shuffle, plus, shared_dir
-from .wordcache import WordCache
+from .wordcache import SpanCache
 
 END_ID = 2
 ROW_INDEX_STRIDE = 1_000
 STRIPE_BYTES = 16 << 20
-_SPACE = r"[\t\n\x0b\f\r ]+"
 
 
 class WordTokenizer:
@@ -38,19 +37,14 @@ class WordTokenizer:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
-        self.cache = WordCache(lambda words: [e.ids for e in self.library.encode_batch(words, add_special_tokens=False)])
+        self.cache = SpanCache(lambda words: [e.ids for e in self.library.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)])
 
     def encode(self, texts: pa.Array, end_id: int | None = END_ID) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all texts in a row and the texts' offsets; end_id closes each text."""
-        words = pc.ascii_split_whitespace(texts.fill_null(""))
-        flat = words.flatten()
-        per = pc.list_value_length(words).to_numpy(zero_copy_only=False)
-        some = pc.not_equal(flat, "").to_numpy(zero_copy_only=False)
-        if not some.all():
-            kept = np.concatenate(([0], np.cumsum(some)))
-            off = np.concatenate(([0], np.cumsum(per)))
-            flat, per = flat.filter(pa.array(some)), kept[off[1:]] - kept[off[:-1]]
-        ids, offsets = self.cache.encode(flat, per)
+        data, offsets = K.buffers(texts)
+        starts, ends, first = K.spans(data, offsets, K.NONSPACE)
+        ids, by_word = self.cache.encode(data, starts, ends)
+        offsets = by_word[first]
         if end_id is None:
             return ids, offsets
         out = np.full(len(ids) + len(texts), end_id, dtype=np.int32)
@@ -60,39 +54,49 @@ class WordTokenizer:
         return out, offsets + np.arange(len(texts) + 1)
 
 
+_TOKENIZERS: dict[str, WordTokenizer] = {}
+
+
+def tokenizer(path: str) -> WordTokenizer:
+    """This worker's tokenizer: it keeps the words it knows from task to task."""
+    if path not in _TOKENIZERS:
+        _TOKENIZERS[path] = WordTokenizer(path)
+    return _TOKENIZERS[path]
+
+
 def encode(docs: DataFrame, path: str, text_col: str = "text", id_col: str = "doc_id", end_id: int = END_ID) -> DataFrame:
     """(doc_id, ids) of each document, in the rows' order."""
     kept = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
 
     def run(batches):
-        tokenizer = WordTokenizer(path)
+        own = tokenizer(path)
         for batch in batches:
-            for part in K.slices(batch, "text", 4 << 20):
-                ids, offsets = tokenizer.encode(part.column("text"), end_id)
+            for part in K.slices(batch, "text", 2 << 20):
+                ids, offsets = own.encode(part.column("text"), end_id)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(ids, pa.int32()))], names=["doc_id", "ids"])
 
     return kept.mapInArrow(run, plus(kept.select("doc_id"), {"ids": "array<int>"}))
 
 
-def _number(batches):
-    """Adds the part and the running start, within one sorted partition."""
-    from pyspark import TaskContext
-
-    part, start = TaskContext.get().partitionId(), 0
-    for batch in batches:
-        n = pc.list_value_length(batch.column("ids")).to_numpy(zero_copy_only=False).astype(np.int64)
-        before = start + np.cumsum(n) - n
-        start += int(n.sum())
-        yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(np.full(len(n), part, np.int32)), pa.array(before), pa.array(n), batch.column("ids")], names=["doc_id", "part", "local_start", "n_tokens", "ids"])
-
-
 def write(docs: DataFrame, out: str, path: str, text_col: str = "text", id_col: str = "doc_id", end_id: int = END_ID, n_parts: int | None = None) -> str:
     """Writes the documents' ids under ``out``: data/ in ascending doc_id order, manifest/ with the parts' starts. Returns out."""
     spark = docs.sparkSession
     kept = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"))
     ranged = kept.repartitionByRange(n_parts or n_shuffle(spark), F.col("doc_id").asc_nulls_first(), F.xxhash64("text")).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
     id_type = kept.schema["doc_id"].dataType.simpleString()
-    rows = encode(ranged, path, end_id=end_id).mapInArrow(_number, f"doc_id {id_type}, part int, local_start bigint, n_tokens bigint, ids array<int>")
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        own, part_no, start = tokenizer(path), TaskContext.get().partitionId(), 0
+        for batch in batches:
+            for part in K.slices(batch, "text", 2 << 20):
+                ids, offsets = own.encode(part.column("text"), end_id)
+                columns = [part.column("doc_id"), np.full(part.num_rows, part_no, np.int32), start + offsets[:-1], np.diff(offsets), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(ids, pa.int32()))]
+                start += int(offsets[-1])
+                yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c) for c in columns], names=["doc_id", "part", "local_start", "n_tokens", "ids"])
+
+    rows = ranged.mapInArrow(run, f"doc_id {id_type}, part int, local_start bigint, n_tokens bigint, ids array<int>")
     options = {
         "orc.compress": "ZSTD", "orc.stripe.size": str(STRIPE_BYTES), "orc.row.index.stride": str(ROW_INDEX_STRIDE),
         "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01",
