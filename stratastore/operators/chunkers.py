@@ -74,8 +74,12 @@ def cdc(contents: DataFrame, p: StoreParams) -> DataFrame:
 
 def byte_table(contents: DataFrame) -> DataFrame:
     """(content_id, i, v): the bytes of the contents, a row each."""
-    pos = contents.where("octet_length(body) > 0").select("content_id", F.hex("body").alias("hex"), F.explode(F.sequence(F.lit(0).cast("long"), F.octet_length("body").cast("long") - 1)).alias("i"))
-    return pos.select("content_id", "i", F.conv(F.substring(F.col("hex"), (F.col("i") * 2 + 1).cast("int"), F.lit(2)), 16, 10).cast("long").alias("v"))
+    # block by block, as places within a long text are found from its start
+    block = 256
+    blocks = contents.where("octet_length(body) > 0").select("content_id", "body", F.explode(F.sequence(F.lit(0), F.floor((F.octet_length("body") - 1) / block).cast("int"))).alias("b"))
+    hexes = blocks.select("content_id", "b", F.hex(F.substring(F.col("body"), F.col("b") * block + 1, F.lit(block))).alias("hex"))
+    pos = hexes.select("content_id", "b", "hex", F.explode(F.sequence(F.lit(0), (F.length("hex") / 2).cast("int") - 1)).alias("j"))
+    return pos.select("content_id", (F.col("b").cast("long") * block + F.col("j")).alias("i"), F.conv(F.substring(F.col("hex"), F.col("j") * 2 + 1, F.lit(2)), 16, 10).cast("long").alias("v"))
 
 
 def power_table(contents: DataFrame, p: StoreParams) -> DataFrame:

@@ -82,7 +82,10 @@ def cdc_spans(contents: str, p: StoreParams, top: int, x: str = "") -> str:
     steps = [f"""pw{x} AS MATERIALIZED (SELECT i, d, d2 FROM (SELECT i, CAST({_product(inv, "i", bits, m)} AS BIGINT) AS d, CAST({_product(rolling.BASE31, "(i + 1)", bits, m)} AS BIGINT) AS d2 FROM (SELECT unnest(range((SELECT max(octet_length(body)) FROM ({contents})))) AS i)))"""]
     steps.insert(0, f"""c{x} AS MATERIALIZED (SELECT content_id, version, body, octet_length(body) AS n, {height("octet_length(body)", p)} AS h FROM ({contents}))""")
     steps.append(f"""bt{x} AS MATERIALIZED (SELECT content_id, version, h, i, d2, CAST(sum((v + 1) * d % {m}) OVER (PARTITION BY content_id, version ORDER BY i) AS BIGINT) AS ps FROM (
-  SELECT content_id, version, h, i, CAST('0x' || hx[2 * i + 1:2 * i + 2] AS BIGINT) AS v, d, d2 FROM (SELECT content_id, version, h, n, hex(body) AS hx, unnest(range(n)) AS i FROM c{x} WHERE n > 0) JOIN pw{x} USING (i)))""")
+  SELECT content_id, version, h, i, CAST('0x' || hx[2 * j + 1:2 * j + 2] AS BIGINT) AS v, d, d2 FROM (
+    SELECT content_id, version, h, 128 * k + j AS i, j, hx FROM (
+      SELECT content_id, version, h, k, hex(body[128 * k + 1:128 * k + 128]) AS hx FROM (SELECT content_id, version, h, body, unnest(range((n + 127) // 128)) AS k FROM c{x} WHERE n > 0)),
+    unnest(range(length(hx) // 2)) AS q(j)) JOIN pw{x} USING (i)))""")
     # st: start of the node of the level above at each byte; a window reaches back w bytes, or to that start
     prior = f"SELECT content_id, version, h, i, d2, ps, CAST(0 AS BIGINT) AS st FROM bt{x}"
     unions = [f"SELECT content_id, version, h AS level, CAST(0 AS BIGINT) AS s, CAST(n AS BIGINT) AS e, CAST(-1 AS BIGINT) AS ps FROM c{x}"]
