@@ -7,6 +7,7 @@ version it is.
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -44,11 +45,16 @@ def edited(contents: DataFrame, kind: str, delta: int) -> DataFrame:
         at = place_of(F.col("run"), F.col("n") + 1)
         after = src.insert(F.col("before"), at, src.random_bytes(F.concat(F.col("run").cast("string"), F.lit(":new")), delta))
     elif kind == "scatter":
+        # piece by piece: each has one changed byte, and the rest of the division stays
         step = F.floor(F.col("n") / delta)
-        after = F.col("before")
-        for k in range(delta):
-            at = place_of(F.col("run"), step) + step * k
-            after = src.overwrite(after, at, src.flipped(F.col("before"), at, 1))
+        at = place_of(F.col("run"), step)
+
+        def changed(k: Column) -> Column:
+            piece = F.substring(F.col("before"), (k * step + 1).cast("int"), step.cast("int"))
+            return F.hex(src.overwrite(piece, at, src.flipped(piece, at, 1)))
+
+        rest = F.substring(F.col("before"), (step * delta + 1).cast("int"), F.lit(delta))
+        after = F.concat(F.unhex(F.array_join(F.transform(F.sequence(F.lit(0), F.lit(delta - 1)), changed), "")), rest)
     else:
         raise ValueError(f"unknown edit {kind!r}")
     return rows.withColumn("after", after)
@@ -90,26 +96,24 @@ def total_costs(contents: DataFrame, params: list[StoreParams], by: list[str] |
 
 
 def edited_versions(spark: SparkSession, seed: int, n: int, versions: int, gap: int = 997) -> DataFrame:
-    """A random content and versions of it: version v differs from the first in v single bytes, at places v * gap apart by turns of the content.
+    """A random content and versions of it: version v has v changed bytes, at multiples of ``gap`` by turns of the content.
 
     Each version changes one place more than the one before, so the series is a chain of small edits.
     """
     base = src.random_bytes(F.lit(seed), n)
-    rows = spark.range(versions).withColumn("base", base)
-    # one pass over the hex of the base for each version would be slow: build the changed bytes block by block
-    block = 1024
-    count = -(-n // block)
-    pieces = []
-    for k in range(count):
-        lo, hi = k * block, min(n, (k + 1) * block)
-        changed = F.transform(
-            F.filter(F.sequence(F.lit(1), F.greatest(F.col("id").cast("int"), F.lit(1))), lambda v: (v <= F.col("id")) & (F.pmod(v * gap, F.lit(n)) >= lo) & (F.pmod(v * gap, F.lit(n)) < hi)),
-            lambda v: F.pmod(v * gap, F.lit(n)).cast("int") - lo,
-        )
-        own = F.substring("base", lo + 1, hi - lo)
-        pieces.append(F.aggregate(changed, own, lambda b, at: F.concat(F.substring(b, F.lit(1), at), F.lit(b"\xa5"), F.substring(b, at + 2, F.lit(hi - lo)))))
-    body = F.concat(*pieces)
-    return src.contents(rows, F.concat(F.lit(f"v{seed}:"), "id"), F.lit(f"versions{seed}"), F.col("id"), body)
+
+    def change(batches):
+        for batch in batches:
+            out = []
+            for v, body in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                body = bytearray(body)
+                for k in range(1, v + 1):
+                    body[k * gap % n] ^= 0xA5
+                out.append(bytes(body))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["id", "body"])
+
+    rows = spark.range(versions).select("id", base.alias("body")).mapInArrow(change, "id bigint, body binary")
+    return src.contents(rows, F.concat(F.lit(f"v{seed}:"), "id"), F.lit(f"versions{seed}"), F.col("id"), F.col("body"))
 
 
 def passage_overlap(docs: DataFrame, passages: DataFrame, p: StoreParams) -> DataFrame:

@@ -118,8 +118,11 @@ def keyed(contents: str, p: StoreParams, top: int, x: str = "") -> str:
     """CTEs up to k{x}: content_id, version, level, s, e, ps, size, children, key (hex), for all nodes."""
     top = {"whole": 0, "fixed": 1, "cdc": 1}.get(p.scheme, top)
     out = [spans(contents, p, top, x)]
-    out.append(f"""k{x}_0 AS MATERIALIZED (SELECT n.content_id, n.version, n.level, n.s, n.e, n.ps, n.e - n.s AS size, 0 AS children, {tag("c.body[n.s + 1:n.e]", p)} AS key
-  FROM n{x} n JOIN c{x} c ON n.content_id = c.content_id AND n.version = c.version WHERE n.level = 0)""")
+    # leaves are cut from blocks that overlap, as a slice of a long body costs its whole length
+    whole = p.scheme == "whole"
+    out.append(f"""bl{x} AS MATERIALIZED (SELECT content_id, version, k, {"body" if whole else "body[65536 * k + 1:65536 * k + 131072]"} AS part FROM c{x}, unnest(range({1 if whole else "n // 65536 + 1"})) AS q(k))""")
+    out.append(f"""k{x}_0 AS MATERIALIZED (SELECT n.content_id, n.version, n.level, n.s, n.e, n.ps, n.e - n.s AS size, 0 AS children, {tag("c.part[n.s - 65536 * c.k + 1:n.e - 65536 * c.k]", p)} AS key
+  FROM n{x} n JOIN bl{x} c ON n.content_id = c.content_id AND n.version = c.version AND c.k = {0 if whole else "n.s // 65536"} WHERE n.level = 0)""")
     for level in range(1, top + 1):
         out.append(f"""k{x}_{level} AS MATERIALIZED (SELECT n.content_id, n.version, n.level, n.s, n.e, n.ps, octet_length(unhex(coalesce(l.keys, ''))) AS size, coalesce(l.children, 0) AS children, {tag("unhex(coalesce(l.keys, ''))", p)} AS key
   FROM n{x} n LEFT JOIN (SELECT content_id, version, ps, string_agg(key, '' ORDER BY s) AS keys, count(*) AS children FROM k{x}_{level - 1} GROUP BY content_id, version, ps) l
