@@ -30,6 +30,8 @@ from . import textkernel as K
 from .shared import n_shuffle, written
 
 CHUNK_TOKENS = 2_000_000
+#: Tokens of a shard, about.
+SHARD_TOKENS = 1_200_000
 BURN_IN, SAMPLES = 1, 2
 STRENGTH, ROOT_STRENGTH, ROOT_DISCOUNT = 1.0, 1.0, 0.5
 HELD_OUT_OF, HELD_OUT_IS = 7, 2
@@ -72,7 +74,7 @@ def _arrow(ddl: str) -> pa.Schema:
 
 # ---- chunks -------------------------------------------------------------------------------------
 
-CHUNKS = "chunk bigint, ids binary, known binary, held binary, length binary, words binary, trained binary, tokens binary"
+CHUNKS = "chunk bigint, size bigint, ids binary, known binary, held binary, length binary, words binary, trained binary, tokens binary"
 
 
 def _held(ids: list, known: list) -> np.ndarray:
@@ -96,7 +98,7 @@ def _chunk_row(number: int, ids: list[np.ndarray], known: list[np.ndarray], coun
     trained = np.bincount(tokens[~np.repeat(held, n)], minlength=len(words))
     words = np.concatenate((words[order], [BEGIN]))
     trained = np.concatenate((trained, [int((~held).sum())])).astype(np.int64)
-    return (number, pack(i), pack(k), pack(held), pack(n), pack(words), pack(trained), pack(tokens))
+    return (number, len(flat), pack(i), pack(k), pack(held), pack(n), pack(words), pack(trained), pack(tokens))
 
 
 def chunks_of(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -239,17 +241,38 @@ def _open_pairs(row: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return np.repeat(u, unpack(row["run"])), unpack(row["w"]), unpack(row["c"]).astype(np.int64)
 
 
-def _merge(rows: list[dict]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct trained pairs of a shard, ascending, with their counts."""
-    parts = [_open_pairs(r) for r in rows]
-    parts = [(u[c > 0], w[c > 0], c[c > 0]) for u, w, c in parts]
-    u, w, c = (np.concatenate(x) for x in zip(*parts, strict=True))
-    order = np.lexsort((w, u))
-    u, w, c = u[order], w[order], c[order]
-    if not len(u):
-        return u, w, c
-    heads = np.flatnonzero(np.concatenate(([True], (u[1:] != u[:-1]) | (w[1:] != w[:-1]))))
-    return u[heads], w[heads], np.add.reduceat(c, heads)
+class Pairs:
+    """Distinct trained pairs of a shard, ascending, with their counts; pairs are looked up in bulk."""
+
+    def __init__(self, parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]]):
+        parts = [(u[c > 0], w[c > 0], c[c > 0]) for u, w, c in parts]
+        self.u, self.w, self.c = (np.concatenate(x) for x in zip(*parts, strict=True)) if parts else (np.zeros(0, np.uint32), np.zeros(0, np.uint32), np.zeros(0, np.int64))
+        self.contexts = self.words = None
+        if self.u.dtype != np.uint32:  # ids too wide for two in a key: their ranks instead
+            self.contexts, self.words = np.unique(self.u), np.unique(self.w)
+        self.key = self._key(self.u, self.w)[0]
+        order = np.argsort(self.key, kind="stable")  # the parts are ascending runs
+        self.u, self.w, self.c, self.key = self.u[order], self.w[order], self.c[order], self.key[order]
+        if len(self.key):
+            heads = np.flatnonzero(np.concatenate(([True], self.key[1:] != self.key[:-1])))
+            self.u, self.w, self.key, self.c = self.u[heads], self.w[heads], self.key[heads], np.add.reduceat(self.c, heads)
+
+    def _key(self, u: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray | bool]:
+        if self.contexts is None:
+            return (u.astype(np.uint64) << np.uint64(32)) | w.astype(np.uint64), True
+        i, j = np.searchsorted(self.contexts, u), np.searchsorted(self.words, w)
+        i[i == len(self.contexts)], j[j == len(self.words)] = 0, 0
+        known = (self.contexts[i] == u) & (self.words[j] == w) if len(self.u) else np.zeros(len(u), bool)
+        return (i.astype(np.uint64) << np.uint64(32)) | j.astype(np.uint64), known
+
+    def find(self, u: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """Places of pairs, or -1."""
+        if not len(self.key):
+            return np.full(len(u), -1, np.int64)
+        ask, known = self._key(u, w)
+        at = np.searchsorted(self.key, ask)
+        at[at == len(self.key)] = 0
+        return np.where((self.key[at] == ask) & known, at, -1)
 
 
 STATE = "shard int, kind int, a binary, b binary, c binary, d binary, e binary"
@@ -257,13 +280,21 @@ STATE = "shard int, kind int, a binary, b binary, c binary, d binary, e binary"
 REPEATED, SINGLES, TABLES, PARENT, BASES = range(5)
 
 
+def _runs(ascending: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of an ascending array, and each element's place among them."""
+    head = np.ones(len(ascending), dtype=bool)
+    head[1:] = ascending[1:] != ascending[:-1]
+    return ascending[head], np.cumsum(head) - 1
+
+
 def _first_state(table: pa.Table, shards: int) -> pa.Table:
     """A context shard's state: its repeated pairs with counts and tables; and to the word shards the pairs that occur once."""
     rows = table.to_pylist()
     shard = rows[0]["shard"]
-    u, w, c = _merge(rows)
+    pairs = Pairs([_open_pairs(r) for r in rows])
+    u, w, c = pairs.u, pairs.w, pairs.c
     many = c > 1
-    contexts, place = np.unique(u, return_inverse=True)
+    contexts, place = _runs(u)
     total, once = np.bincount(place, c, len(contexts)), np.bincount(place[~many], minlength=len(contexts))
     out = [(shard, REPEATED, pack(u[many]), pack(w[many]), pack(c[many]), pack(np.ones(int(many.sum()), np.int32)), pack(np.concatenate((contexts.astype(np.int64), total.astype(np.int64), once.astype(np.int64)))))]
     words, count = np.unique(w[~many], return_counts=True)
@@ -404,52 +435,37 @@ def _answer_pairs(table: pa.Table, states: int) -> pa.Table:
     """To each chunk, in the order it asked: of each pair its count and its tables summed over the samples; of each context its tables in each sample."""
     asked = [r for r in table.to_pylist() if r["kind"] < 0]
     kept = sorted((r for r in table.to_pylist() if r["kind"] >= 0), key=lambda r: r["kind"])
-    u, w, c = _merge([{"u": r["a"], "run": r["b"], "w": r["c"], "c": r["d"]} for r in asked]) if asked else (np.zeros(0, np.int64),) * 3
-    many = c > 1
-    tables = np.zeros(len(u), np.int64)
-    tables[~many] = states
-    contexts = np.unique(u)
+    opened = [_open_pairs({"u": r["a"], "run": r["b"], "w": r["c"], "c": r["d"]}) for r in asked]
+    pairs = Pairs(opened)
+    many = pairs.c > 1
+    tables = np.full(len(pairs.c), states, np.int64)
+    tables[many] = 0
+    contexts, place = _runs(pairs.u)
     by_state = []
     for r in kept:
         t = unpack(r["d"])
         tables[many] += t
-        each = np.ones(len(u), np.int64)
+        each = np.ones(len(pairs.c), np.int64)
         each[many] = t
-        by_state.append(np.bincount(np.searchsorted(contexts, u), each, len(contexts)).astype(np.int64))
+        by_state.append(np.bincount(place, each, len(contexts)).astype(np.int64))
     out = []
-    for r in asked:
-        row = {"u": r["a"], "run": r["b"], "w": r["c"], "c": r["d"]}
-        qu, qw, _ = _open_pairs(row)
-        heads = np.cumsum(unpack(r["a"]), dtype=unpack(r["a"]).dtype)
-        at = _find_pairs(u, w, qu, qw)
-        pair_count, pair_tables = np.where(at >= 0, c[at], 0) if len(c) else np.zeros(len(qu), np.int64), np.where(at >= 0, tables[at], 0) if len(c) else np.zeros(len(qu), np.int64)
-        k = np.searchsorted(contexts, heads)
-        k[k == len(contexts)] = 0
-        seen = contexts[k] == heads if len(contexts) else np.zeros(len(heads), bool)
-        context = np.concatenate([np.where(seen, x[k], 0) if len(contexts) else np.zeros(len(heads), np.int64) for x in by_state])
-        context[len(heads) :] -= np.tile(context[: len(heads)], states - 1)
-        out.append((r["chunk"], r["shard"], 0, pack(pair_count.astype(np.uint32)), pack(pair_tables.astype(np.uint32)), pack(context.astype(np.int32))))
+    for r, (qu, qw, _) in zip(asked, opened, strict=True):
+        heads = _runs(qu)[0]
+        at = pairs.find(qu, qw)
+        seen = at >= 0
+        pair_count, pair_tables = np.zeros(len(qu), np.uint32), np.zeros(len(qu), np.uint32)
+        pair_count[seen], pair_tables[seen] = pairs.c[at[seen]], tables[at[seen]]
+        context = np.zeros((states, len(heads)), np.int64)
+        if len(contexts):
+            k = np.searchsorted(contexts, heads)
+            k[k == len(contexts)] = 0
+            for s, x in enumerate(by_state):
+                context[s] = np.where(contexts[k] == heads, x[k], 0)
+        context[1:] -= context[0]
+        out.append((r["chunk"], r["shard"], 0, pack(pair_count), pack(pair_tables), pack(context.astype(np.int32).ravel())))
     return pa.Table.from_batches([_batch(_arrow(ANSWER), out)])
 
 
-def _find_pairs(u: np.ndarray, w: np.ndarray, qu: np.ndarray, qw: np.ndarray) -> np.ndarray:
-    """Places of the asked pairs among ascending distinct pairs, or -1."""
-    if not len(u):
-        return np.full(len(qu), -1, np.int64)
-    contexts = np.unique(u)
-    code = np.searchsorted(contexts, u).astype(np.uint64) << np.uint64(32)
-    k = np.searchsorted(contexts, qu)
-    k[k == len(contexts)] = 0
-    words = np.unique(w)
-    j = np.searchsorted(words, qw)
-    j[j == len(words)] = 0
-    key = code | np.searchsorted(words, w).astype(np.uint64)
-    ask = (k.astype(np.uint64) << np.uint64(32)) | j.astype(np.uint64)
-    at = np.searchsorted(key, ask)
-    at[at == len(key)] = 0
-    return np.where((contexts[k] == qu) & (words[j] == qw) & (key[at] == ask), at, -1)
-
-
 def _ask_parents(coded: DataFrame, shards: int) -> DataFrame:
     schema = _arrow("shard int, kind int, chunk bigint, a binary")
 
@@ -544,8 +560,9 @@ class Scorer:
 def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", burn_in: int = BURN_IN, samples: int = SAMPLES, seed: int = 29, shards: int | None = None) -> DataFrame:
     """One row per document: its id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10), perplexity (per token)."""
     spark: SparkSession = docs.sparkSession
-    shards = shards or 2 * n_shuffle(spark)
     chunks = written(chunks_of(docs, id_col, text_col), "chunks")
+    tokens = chunks.agg(F.sum("size")).first()[0] or 0
+    shards = shards or max(4, min(2 * n_shuffle(spark), -(-tokens // SHARD_TOKENS)))
     words = written(_ask_words(chunks, shards).groupBy("shard").applyInArrow(_answer_words, WORD), "words")
     sizes = np.zeros((shards, 3), np.int64)
     for r in words.where("chunk = -1").collect():  # one small row a shard
