@@ -56,13 +56,18 @@ class Linear:
 
 
 def fit_linear(x: np.ndarray, y: np.ndarray, l2: float = 1.0, steps: int = 40) -> Linear:
-    """Newton's method on the penalised likelihood; the intercept has no penalty."""
-    a = np.hstack([x, np.ones((len(x), 1))])
-    w, ridge = np.zeros(a.shape[1]), np.full(a.shape[1], l2)
+    """Newton's method on the penalised likelihood; the intercept has no penalty. Sums are taken over blocks of rows, so no second copy of x is made."""
+    d = x.shape[1] + 1
+    w, ridge = np.zeros(d), np.full(d, l2)
     ridge[-1] = 1e-6
     for _ in range(steps):
-        p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
-        step = np.linalg.solve((a * (p * (1 - p))[:, None]).T @ a + np.diag(ridge), a.T @ (p - y) + ridge * w)
+        hessian, slope = np.diag(ridge), ridge * w
+        for at in range(0, len(x), 512):
+            a = np.hstack([x[at : at + 512].astype(np.float64), np.ones((len(x[at : at + 512]), 1))])
+            p = 1 / (1 + np.exp(-np.clip(a @ w, -30, 30)))
+            hessian += (a * (p * (1 - p))[:, None]).T @ a
+            slope += a.T @ (p - y[at : at + 512])
+        step = np.linalg.solve(hessian, slope)
         w -= step
         if np.abs(step).max() < 1e-6:
             break
@@ -80,7 +85,7 @@ class Chain:
     cuts: list[float]
 
     def dense(self, ids: list[list[int]]) -> np.ndarray:
-        out = np.zeros((len(ids), len(self.vocabulary)))
+        out = np.zeros((len(ids), len(self.vocabulary)), dtype=np.float32)
         for r, x in enumerate(ids):
             out[r, x] = 1
         return out
@@ -155,22 +160,22 @@ def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col:
                 yield pa.RecordBatch.from_arrays([pa.array(ids, pa.list_(pa.int32())), fold, *[batch.column(c).cast(pa.int64()) for c in categories]], names=["ids", "fold", *categories])
 
         got = rows.withColumn("fold", F.pmod(F.xxhash64("text"), F.lit(FOLDS)).cast("int"))  # copies of a text stay in one fold
-        data = got.mapInArrow(known, "ids array<int>, fold int, " + ", ".join(f"`{c}` bigint" for c in categories)).collect()
+        data = got.mapInArrow(known, "ids array<int>, fold int, " + ", ".join(f"`{c}` bigint" for c in categories)).toArrow()
     finally:
         rows.unpersist()
     chain = Chain(categories, vocabulary, [], chosen, [])
-    x, fold = chain.dense([r.ids for r in data]), np.array([r.fold for r in data])
-    earlier = np.zeros((len(data), 0))
+    x, fold = chain.dense(data.column("ids").to_pylist()), data.column("fold").to_numpy()
+    earlier = np.zeros((len(x), 0), dtype=np.float32)
     for k, c in enumerate(categories):
-        y = np.array([float(r[c]) for r in data])
+        y = data.column(c).to_numpy().astype(float)
         own = np.hstack([x[:, chosen[k]], earlier])
-        out_of_fold = np.zeros(len(data))
+        out_of_fold = np.zeros(len(x))
         for f in range(FOLDS):
             if (fold == f).any() and (fold != f).any():
                 out_of_fold[fold == f] = fit_linear(own[fold != f], y[fold != f]).logit(own[fold == f])
-        chain.models.append(fit_linear(own, y) if len(data) else Linear(np.zeros(own.shape[1] + 1)))
+        chain.models.append(fit_linear(own, y) if len(x) else Linear(np.zeros(own.shape[1] + 1)))
         chain.cuts.append(best_cut(out_of_fold, y))
-        earlier = np.hstack([earlier, out_of_fold[:, None]])
+        earlier = np.hstack([earlier, out_of_fold[:, None].astype(np.float32)])
     return chain
 
 
