@@ -8,7 +8,6 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from ..params import StoreParams
 from . import rolling
@@ -65,6 +64,3 @@ def quadratic_at(x0: float, span: float = 0.75):
         return float(np.linalg.lstsq(a, y.to_numpy()[near] * np.sqrt(w), rcond=None)[0][0])
 
     return fit
-
-
-NODE_TYPE = T.StructType.fromDDL("level int, start_pos bigint, end_pos bigint")

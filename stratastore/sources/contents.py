@@ -65,24 +65,26 @@ def event_line() -> Column:
     return F.concat_ws("|", F.col("event_id").cast("string"), F.date_format("ts", "yyyy-MM-dd HH:mm:ss"), F.col("user_id").cast("string"), "event_type", F.col("value").cast("decimal(18,2)").cast("string"), "props")
 
 
-def _snapshots(rows: DataFrame, period: Column, series: str) -> DataFrame:
+def _snapshots(rows: DataFrame, period: Column, series: str, last: int | None = None) -> DataFrame:
     """A content for each period with a row: all lines up to it, in the order of ``at`` and then of the line itself.
 
     rows: at, line. Periods are few and given; a row goes to each period from its own on (a range join on
-    the small list of periods).
+    the small list of periods). last: only the snapshots of so many last periods, each of all rows up to it.
     """
     dated = rows.withColumn("p", period)
     periods = dated.select("p").where("p IS NOT NULL").distinct().withColumn("version", F.row_number().over(Window.orderBy("p")))
+    if last:
+        periods = periods.withColumn("top", F.max("version").over(Window.partitionBy())).where(F.col("version") > F.col("top") - last).drop("top")
     periods = F.broadcast(periods)
     members = dated.select("at", "line", "p").join(periods.withColumnRenamed("p", "q"), F.col("p") <= F.col("q"))
     joined = members.groupBy("version").agg(F.expr("listagg(line, '\n') WITHIN GROUP (ORDER BY lpad(cast(at as string), 12, '0') || line)").alias("all"))
     return contents(joined, F.concat(F.lit(f"{series}:"), "version"), F.lit(series), F.col("version"), F.encode("all", "utf-8"))
 
 
-def order_snapshots(spark: SparkSession, sf_dir: str, months: int = 3) -> DataFrame:
+def order_snapshots(spark: SparkSession, sf_dir: str, months: int = 3, last: int | None = None) -> DataFrame:
     """Snapshots of orders every few months, in key order: rows come in amid old ones."""
     rows = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("at"), order_line().alias("line"), "o_orderdate")
-    return _snapshots(rows, _period("o_orderdate", months), "orders")
+    return _snapshots(rows, _period("o_orderdate", months), "orders", last)
 
 
 def lineitem_snapshots(spark: SparkSession, sf_dir: str, months: int = 12) -> DataFrame:
