@@ -19,22 +19,33 @@ BIN = 1_500
 def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component) of all nodes with a link; component is the smallest node reachable.
 
-    Each round takes the least label among neighbours, then follows labels of labels; labels are written
+    Rounds of contraction: every node goes to its least neighbour if that is less, labels of labels are
+    followed, and links are drawn anew between what is left, so each round has fewer. Tables are written
     to the shared folder between rounds, so a lost executor costs one round at most. Neighbours are folded
     by partial aggregation, so a hub is one row per task.
     """
-    both = links.select(F.col(a).alias("v"), F.col(b).alias("w")).where("v <> w")
-    both = written(both.union(both.select(F.col("w").alias("v"), F.col("v").alias("w"))).distinct(), "links")
-    labels = written(both.groupBy("v").agg(F.least(F.min("w"), F.first("v")).alias("l")), "labels")
+    pair = links.select(F.greatest(a, b).alias("v"), F.least(a, b).alias("w")).where("v <> w").distinct()
+    edges = written(pair, "links")
+    labels = None
     for _ in range(MAX_ROUNDS):
-        near = both.join(labels.withColumnsRenamed({"v": "w", "l": "lw"}), "w").groupBy("v").agg(F.min("lw").alias("m"))
-        stepped = labels.join(near, "v").select("v", "l", F.least("l", "m").alias("s"))
-        jumped = stepped.join(labels.select(F.col("v").alias("s"), F.col("l").alias("j")), "s").select("v", "l", F.least("s", "j").alias("new"))
-        step = written(jumped, "labels")
-        labels = step.select("v", F.col("new").alias("l"))
-        if step.where("new <> l").isEmpty():
+        both = edges.union(edges.select(F.col("w").alias("v"), F.col("v").alias("w")))
+        parent = written(both.groupBy("v").agg(F.min("w").alias("m")).select("v", F.least("v", "m").alias("p")), "parents")
+        for _ in range(2):
+            parent = parent.join(parent.select(F.col("v").alias("p"), F.col("p").alias("top")), "p").select("v", F.col("top").alias("p"))
+        parent = written(parent, "parents")
+        if labels is None:
+            labels = parent.select(F.col("v").alias("node"), F.col("p").alias("l"))
+        else:
+            moved = labels.join(parent.select(F.col("v").alias("l"), "p"), "l", "left")
+            labels = written(moved.select("node", F.coalesce("p", "l").alias("l")), "labels")
+        drawn = edges.join(parent.select("v", F.col("p").alias("a")), "v").join(parent.select(F.col("v").alias("w"), F.col("p").alias("b")), "w")
+        # where following was cut short, a label is tied to the one it is to become
+        short = parent.select("p").distinct().join(parent.select(F.col("v").alias("p"), F.col("p").alias("b")), "p").where("p <> b").select(F.col("p").alias("a"), "b")
+        drawn = drawn.select("a", "b").union(short)
+        edges = written(drawn.select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("w")).where("v <> w").distinct(), "links")
+        if edges.isEmpty():
             break
-    return labels.select(F.col("v").alias("node"), F.col("l").alias("component"))
+    return labels.select("node", F.col("l").alias("component"))
 
 
 def tiled(members: DataFrame, group: str, node: str) -> DataFrame:
