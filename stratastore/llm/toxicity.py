@@ -121,7 +121,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, categories: list[str], id_
     return own.withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
 
 
-def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col: str = "doc_id", max_train: int = MAX_TRAIN, max_features: int = MAX_FEATURES, min_df: int = 4) -> Chain:
+def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col: str = "doc_id", max_train: int = MAX_TRAIN, max_features: int = MAX_FEATURES, min_df: int = 3) -> Chain:
     """Fits the chain. Counts of features are made on the executors; the driver gets the best features and the rows' ids of them."""
     rows = training_rows(docs, labels, categories, id_col, max_train).persist()
     try:
