@@ -116,7 +116,7 @@ def random_contents(spark: SparkSession, seed: int, n: int, count: int) -> DataF
 
 
 def from_files(spark: SparkSession, path: str, glob: str = "*") -> DataFrame:
-    """Every file as one content."""
+    """Every file as one content; Spark's file sources pass over empty files."""
     return contents(spark.read.format("binaryFile").option("pathGlobFilter", glob).load(path), F.col("path"), F.lit("files"), F.lit(None), F.col("content"))
 
 

@@ -46,10 +46,15 @@ def insert_stream(contents: DataFrame, path: str, p: StoreParams, checkpoint: st
 
 def new_chunks(contents: DataFrame, p: StoreParams, time: str, delay: str = "1 hour") -> DataFrame:
     """Chunks first seen within the delay: bounded state, for contents that are sent again soon after."""
-    nodes = tree.build_grid(contents, [p], [time])
+    nodes = tree.build_grid(timed(contents, time), [p], [time])
     return nodes.withWatermark(time, delay).dropDuplicatesWithinWatermark(["key"])
 
 
+def timed(rows: DataFrame, time: str = "ts") -> DataFrame:
+    """Watermarks want a timestamp with a zone."""
+    return rows.withColumn(time, F.col(time).cast("timestamp"))
+
+
 def tumbling(events: DataFrame, size: str = "1 day") -> DataFrame:
     """(window_start, event_type, events, bytes_in) in fixed windows."""
     return _summed(events, F.window("ts", size))
@@ -73,7 +78,7 @@ def sessions(events: DataFrame, gap: str = "2 hours") -> DataFrame:
 
 def split_late(events: DataFrame, watermark: str) -> tuple[DataFrame, DataFrame]:
     """(all events, for insertion; those in time, for windows): late contents are stored though no window counts them."""
-    return events, events.withWatermark("ts", watermark)
+    return events, timed(events).withWatermark("ts", watermark)
 
 
 def running_versions(contents: DataFrame) -> DataFrame:
