@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions import udfs
+from ..functions import rolling, udfs
 from ..operators import chunkers, measures, tree
 from ..params import SCHEMES, StoreParams
 from ..plans import analytic, workloads
@@ -83,6 +83,20 @@ def model_length_law(spark: SparkSession, d: str) -> DataFrame:
     return spark.range(1, 2049).select(F.col("id").cast("int").alias("c"), (p * F.pow(1 - p, c - 1)).alias("law"), (c * p * p * F.pow(1 - p, c - 1)).alias("share"))
 
 
+@query(f"SELECT s, CAST(k AS INTEGER) AS k, (1 - {_P}) * {_P} AS gained, 1 + 144 * (1 - {_P}) * {_P} AS new_chunks FROM {_LEVELS}")
+def model_cut_flip(spark: SparkSession, d: str) -> DataFrame:
+    """Chance that a changed window gains a boundary, and the chunks that one changed byte makes anew, by level."""
+    p = 1 / (F.col("s").cast("double") * F.pow(F.col("s").cast("double") / 32, F.col("k")))
+    return _by_level(spark).select("s", "k", ((1 - p) * p).alias("gained"), (1 + F.lit(144.0) * (1 - p) * p).alias("new_chunks"))
+
+
+@query("SELECT CAST(x AS BIGINT) AS longest, sum(c * pow(1 / 256.0, 2) * pow(1 - 1 / 256.0, c - 1)) AS share FROM range(1, 2049) r(c), (VALUES (64), (256), (512), (1024), (2048)) t(x) WHERE c <= x GROUP BY x")
+def length_biased_share(spark: SparkSession, d: str) -> DataFrame:
+    """Share of bytes in chunks up to some lengths, S = 256."""
+    rows = [(x, sum(analytic.length_biased_share(c, 0, 256) for c in range(1, x + 1))) for x in (64, 256, 512, 1024, 2048)]
+    return spark.createDataFrame(rows, "longest bigint, share double")
+
+
 # ---- measures -----------------------------------------------------------------------------------
 
 EXACT = ("whole", "fixed", "fixed_tree")
@@ -447,6 +461,18 @@ def _variant_costs(spark: SparkSession, d: str, variants: dict[str, StoreParams]
     return out
 
 
+@query(o.with_(o.cdc_spans(o.PASSAGES, CUT, 1)) + f"""SELECT content_id, count(*) AS windows, CAST(sum(h) AS BIGINT) AS hashes FROM
+  (SELECT content_id, ((ps - coalesce(lag(ps, {CUT.window}) OVER (PARTITION BY content_id, version ORDER BY i), 0)) % {rolling.M31}) * d2 % {rolling.M31} AS h FROM bt) GROUP BY content_id""")
+def cdc_sql_hash(spark: SparkSession, d: str) -> DataFrame:
+    """The rolling hash of every byte of the passages by a window frame of W rows."""
+    rows = src.passages(spark, d)
+    m = rolling.M31
+    own = Window.partitionBy("content_id").orderBy("i").rowsBetween(1 - CUT.window, 0)
+    terms = chunkers.byte_table(rows).join(chunkers.power_table(rows, CUT), "i").withColumn("t", (F.col("v") + 1) * F.col("down") % m)
+    hashed = terms.withColumn("h", F.sum("t").over(own) % m * F.col("up") % m)
+    return hashed.groupBy("content_id").agg(F.count("*").alias("windows"), F.sum("h").alias("hashes"))
+
+
 @query()
 def cdc_window_sweep(spark: SparkSession, d: str) -> DataFrame:
     return _variant_costs(spark, d, {str(w): StoreParams(window=w) for w in (16, 32, 48, 64)})
