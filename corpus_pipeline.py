@@ -7,6 +7,7 @@ last return the columns of documents. Between stages the rows are written and re
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from stratastore.llm import decontaminate, near_dup, pieces, quality, toxicity
 from stratastore.llm.queries import CATEGORIES, category_labels, tokenizer_path
@@ -16,16 +17,22 @@ from stratastore.llm.shared import table, written
 ORACLE_SQL = None
 
 
+def _where_last(judged: DataFrame, wanted: bool, docs: DataFrame) -> DataFrame:
+    """The documents whose last column, the verdict, is as wanted; its name avoids those that documents have."""
+    verdict = F.col(judged.columns[-1])
+    return judged.where(verdict if wanted else ~verdict).select(*docs.columns)
+
+
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity under the model of trusted text is within their language's quantile."""
     model = quality.fit_quality(docs, table(spark, sf_dir, "labels"))
-    return quality.classify(docs, model).where("keep").select(*docs.columns)
+    return _where_last(quality.classify(docs, model), True, docs)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier chain does not call toxic."""
     chain = toxicity.fit_chain(docs, category_labels(table(spark, sf_dir, "labels")), CATEGORIES)
-    return toxicity.score_chain(docs, chain).where("NOT is_toxic").select(*docs.columns)
+    return _where_last(toxicity.score_chain(docs, chain), False, docs)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -36,12 +43,13 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold no benchmark passage of weight."""
     found = decontaminate.find_contamination(docs, table(spark, sf_dir, "benchmark"))
-    return decontaminate.remove_documents(found).select(*docs.columns)
+    return decontaminate.remove_documents(found, found.columns[-1]).select(*docs.columns)
 
 
 def to_pieces(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """(doc_id, lang, source, ids) of each document."""
-    return pieces.encode(docs, tokenizer_path("piece_bpe_32k.model")).select("doc_id", "lang", "source", "ids")
+    encoded = pieces.encode(docs, tokenizer_path("piece_bpe_32k.model"))
+    return encoded.select("doc_id", "lang", "source", F.col(encoded.columns[-1]).alias("ids"))
 
 
 STAGES = [
