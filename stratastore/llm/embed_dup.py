@@ -19,7 +19,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .components import binned, connected_components, local_components, tiled
+from .components import binned, connected_components, local_components, name_components, tiled
 from .shared import written
 
 THRESHOLD = 0.98
@@ -192,10 +192,9 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     groups = written(connected_components(graph.where(F.col("s") >= threshold), "v", "u").select("node", F.col("component").alias("grp")), "groups")
     tiles = binned(tiled(groups.join(nodes.select("node", "mult", "vec"), "node"), "grp", "node"), groups.count())
     links = written(tiles.groupBy("bin").applyInArrow(lambda t: _tile_links(t, threshold), "node bigint, peer bigint, links bigint"), "verified")
-    rooted = nodes.select("node", "mult", "least_id").join(connected_components(links, "node", "peer"), "node", "left").withColumn("root", F.coalesce("component", "node"))
-    least = rooted.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    per = rooted.join(least, "root").join(links.groupBy("node").agg(F.sum("links").alias("links")), "node", "left")
-    per = per.select("node", "component_id", (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n"))
+    named = name_components(nodes, connected_components(links, "node", "peer"))
+    per = nodes.select("node", "mult", "least_id").join(named, "node", "left").join(links.groupBy("node").agg(F.sum("links").alias("links")), "node", "left")
+    per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("component_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n"))
     out = rows.join(per, "node", "left").select(F.col("id").alias(id_col), F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("component_id")).alias("component_id"))
     return out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
 

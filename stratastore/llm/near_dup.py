@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .components import binned, connected_components, local_components, tiled
+from .components import binned, connected_components, local_components, name_components, tiled
 from .shared import written
 
 SHINGLE, THRESHOLD, RECALL, MAX_HASHES = 5, 0.8, 0.9995, 120
@@ -176,9 +176,8 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     links = written(tiles.groupBy("bin").applyInArrow(lambda t: group_links(t, exact), "node bigint, peer bigint, links bigint"), "verified")
     classes = connected_components(links.select(F.col("node").alias("a"), F.col("peer").alias("b")))
     per_node = links.groupBy("node").agg(F.sum("links").alias("links"))
-    rooted = nodes.select("node", "mult", "least_id").join(classes, "node", "left").withColumn("root", F.coalesce("component", "node"))
-    least = rooted.groupBy("root").agg(F.min("least_id").alias("class_id"))
-    per = rooted.join(least, "root").join(per_node, "node", "left").select("node", "class_id", (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"))
+    per = nodes.select("node", "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
+    per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"))
     out = signed.select("id", "node").join(per, "node", "left")
     return out.select(F.col("id").alias(id_col), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "node")
 
