@@ -195,7 +195,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     named = name_components(nodes, connected_components(links, "node", "peer"))
     per = nodes.select("node", "mult", "least_id").join(named, "node", "left").join(links.groupBy("node").agg(F.sum("links").alias("links")), "node", "left")
     per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("component_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n"))
-    out = rows.join(per, "node", "left").select(F.col("id").alias(id_col), F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("component_id")).alias("component_id"))
+    out = rows.join(written(per, "classes"), "node", "left").select(F.col("id").alias(id_col), F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("component_id")).alias("component_id"))
     return out.withColumn("kept", F.col(id_col).eqNullSafe(F.col("component_id")))
 
 

@@ -178,7 +178,8 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     per_node = links.groupBy("node").agg(F.sum("links").alias("links"))
     per = nodes.select("node", "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
     per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"))
-    out = signed.select("id", "node").join(per, "node", "left")
+    # written, so that the join with the documents can be split where one text has very many copies
+    out = signed.select("id", "node").join(written(per, "classes"), "node", "left")
     return out.select(F.col("id").alias(id_col), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "node")
 
 
