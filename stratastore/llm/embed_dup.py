@@ -2,10 +2,10 @@
 
 Valid vectors (with a label; neither null nor zero, all components finite) of equal label and components
 are one node. A neighbour graph starts from several tables of sign-hash cells; each round every node's
-neighbours and reverse neighbours meet, and pairs that improve a list go into it. A node whose list is
-full of pairs at the threshold is saturated: its list is doubled, and in the end the lists of each
-component grow to all its members, compared exactly in tiles, so no link inside a component is missed
-and no list of pairs leaves a task. Links are cosines of at least the threshold in double precision.
+neighbours and reverse neighbours meet, and pairs that improve a list go into it. Lists are bounded, links
+are not: every meeting also ties each node to the least one it is linked with there, directly or through
+others, whether or not the pair stays in a list. The components of ties and listed links are compared
+exactly in tiles, so no link inside a component is missed and no list of pairs leaves a task. Links are cosines of at least the threshold in double precision.
 
 Vectors that are not valid link with nothing, and each is its own component. Rows of one vec_id are
 separate vectors. Vectors of different lengths never link.
@@ -23,7 +23,7 @@ from .components import binned, connected_components, local_components, name_com
 from .shared import written
 
 THRESHOLD = 0.98
-#: First length of the neighbour lists, and what they may grow to before the exact tiles take over.
+#: Length of the neighbour lists, and what they may grow to over links; links beyond are kept as ties.
 LIST, LONG_LIST = 8, 32
 TABLES, CELL, MEET, ROUNDS = 6, 128, 48, 6
 #: Rounds end when fewer than this share of all list places changed.
@@ -64,8 +64,8 @@ def nodes_of(vectors: DataFrame, id_col: str, vector_col: str, label_col: str) -
     return rows.select("id", "node"), written(nodes.withColumn("dim", F.octet_length("vec")), "nodes")
 
 
-def _first_graph(nodes: DataFrame, tables: int, seed: int) -> DataFrame:
-    """(v, u, s): pairs that share a cell of some table, the best of each vector in each cell."""
+def _first_graph(nodes: DataFrame, tables: int, seed: int, threshold: float) -> DataFrame:
+    """(v, u, s, tie): pairs that share a cell of some table, the best of each vector in each cell, and ties."""
 
     def cells(batches):
         planes: dict[int, np.ndarray] = {}
@@ -89,7 +89,7 @@ def _first_graph(nodes: DataFrame, tables: int, seed: int) -> DataFrame:
     # a crowded cell is cut at random; its pieces meet again in the rounds
     rows = rows.join(many, "cell").withColumn("cell", F.xxhash64("cell", F.pmod(F.xxhash64("node", "tab"), F.ceil(F.col("n") / (4 * CELL)).cast("int"))))
     rows = rows.select("cell", F.col("node").alias("m"), "vec", F.lit(True).alias("fresh"), F.lit(-2.0).alias("worst"))
-    return _meet(rows, LIST)
+    return _meet(rows, LIST, threshold)
 
 
 def _bins(rows: DataFrame, key: str) -> DataFrame:
@@ -98,15 +98,15 @@ def _bins(rows: DataFrame, key: str) -> DataFrame:
     return rows.withColumn("bin", F.pmod(F.xxhash64(key, F.lit(3)), F.lit(count)))
 
 
-def _meet(rows: DataFrame, best: int) -> DataFrame:
-    """(v, u, s) for the members m of each meeting (cell): pairs with a fresh one whose cosine beats the worst of v's list; the best of each v."""
+def _meet(rows: DataFrame, best: int, threshold: float) -> DataFrame:
+    """(v, u, s, tie) for the members m of each meeting (cell): pairs with a fresh one whose cosine beats the worst of v's list; the best of each v; and as ties each member with the least of its links' component there."""
 
     def run(table: pa.Table) -> pa.Table:
         t = table.sort_by([("cell", "ascending"), ("m", "ascending")]).combine_chunks()
         cell, m, fresh, worst = (t.column(c).to_numpy(zero_copy_only=False) for c in ("cell", "m", "fresh", "worst"))
         raw = t.column("vec").combine_chunks().to_pylist()
         cut = np.flatnonzero(cell[1:] != cell[:-1]) + 1
-        out: list[list[np.ndarray]] = [[], [], []]
+        out: list[list[np.ndarray]] = [[], [], [], []]
         for a, b in zip([0, *cut.tolist()], [*cut.tolist(), len(m)], strict=True):
             if b - a < 2 or not fresh[a:b].any() or len(raw[a]) == 0:
                 continue
@@ -123,10 +123,17 @@ def _meet(rows: DataFrame, best: int) -> DataFrame:
             out[0].append(m[a:b][r])
             out[1].append(m[a:b][top[r, c]])
             out[2].append(value[r, c])
+            out[3].append(np.zeros(len(r), bool))
+            least = local_components(s >= threshold)
+            tied = np.flatnonzero(least != np.arange(b - a))
+            out[0].append(m[a:b][tied])
+            out[1].append(m[a:b][least[tied]])
+            out[2].append(np.full(len(tied), threshold))
+            out[3].append(np.ones(len(tied), bool))
         join = lambda x, kind: np.concatenate(x) if x else np.zeros(0, kind)
-        return pa.table({"v": join(out[0], np.int64), "u": join(out[1], np.int64), "s": join(out[2], np.float64)})
+        return pa.table({"v": join(out[0], np.int64), "u": join(out[1], np.int64), "s": join(out[2], np.float64), "tie": join(out[3], bool)})
 
-    return _bins(rows, "cell").groupBy("bin").applyInArrow(run, "v bigint, u bigint, s double")
+    return _bins(rows, "cell").groupBy("bin").applyInArrow(run, "v bigint, u bigint, s double, tie boolean")
 
 
 def _best(pairs: DataFrame, threshold: float) -> DataFrame:
@@ -138,10 +145,12 @@ def _best(pairs: DataFrame, threshold: float) -> DataFrame:
 
 
 def neighbour_graph(nodes: DataFrame, threshold: float = THRESHOLD, rounds: int = ROUNDS, tables: int = TABLES, seed: int = 17) -> DataFrame:
-    """(v, u, s): the neighbour lists after NN-descent."""
+    """(v, u, s): the neighbour lists after NN-descent, and the ties of all meetings with s = threshold."""
     total = nodes.count()
     vec = nodes.select(F.col("node").alias("m"), "vec")
-    graph = written(_best(_first_graph(nodes, tables, seed).withColumn("fresh", F.lit(True)), threshold), "graph")
+    found = written(_first_graph(nodes, tables, seed, threshold), "met")
+    ties = found.where("tie").select("v", "u", "s")
+    graph = written(_best(found.where("NOT tie").select("v", "u", "s", F.lit(True).alias("fresh")), threshold), "graph")
     for turn in range(rounds):
         worst = graph.groupBy("v").agg(F.when(F.count("*") >= LIST, F.min("s")).otherwise(F.lit(-2.0)).alias("w"), F.min((F.col("s") >= threshold).cast("int")).alias("full"))
         # saturated lists take any link; others what beats their last place
@@ -151,13 +160,14 @@ def neighbour_graph(nodes: DataFrame, threshold: float = THRESHOLD, rounds: int
         degree = both.groupBy("cell").agg(F.count("*").alias("n"), F.max("fresh").alias("any")).where("any AND n > 1")
         met = both.join(degree, "cell").withColumn("cell", F.xxhash64("cell", F.pmod(F.xxhash64("m", F.lit(turn)), F.ceil(F.col("n") / MEET).cast("int"))))
         met = met.select("cell", "m", "fresh").join(vec, "m").join(worst, "m", "left").withColumn("worst", F.coalesce("worst", F.lit(-2.0)))
-        found = _meet(met.select("cell", "m", "vec", "fresh", "worst"), LONG_LIST)
-        pairs = graph.select("v", "u", "s", F.lit(False).alias("fresh")).union(found.select("v", "u", "s", F.lit(True).alias("fresh")))
+        found = written(_meet(met.select("cell", "m", "vec", "fresh", "worst"), LONG_LIST, threshold), "met")
+        ties = ties.union(found.where("tie").select("v", "u", "s"))
+        pairs = graph.select("v", "u", "s", F.lit(False).alias("fresh")).union(found.where("NOT tie").select("v", "u", "s", F.lit(True).alias("fresh")))
         graph = written(_best(pairs, threshold), "graph")
         changed = graph.where("fresh").count()
         if changed <= SETTLED * total * LIST:
             break
-    return graph.select("v", "u", "s")
+    return graph.select("v", "u", "s").union(ties)
 
 
 def _tile_links(group: pa.Table, threshold: float) -> pa.Table:
