@@ -49,12 +49,12 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
 
 
 def name_components(nodes: DataFrame, classes: DataFrame) -> DataFrame:
-    """(node, least, linked): the least id of each linked node's component. nodes: node, least_id; classes: node, component.
+    """(node, least, linked, component): the least id of each linked node's component. nodes: node, least_id; classes: node, component.
 
     The names are written first, so the join back has an exchange on either side and a giant component can be split.
     """
     least = nodes.select("node", "least_id").join(classes, "node").groupBy("component").agg(F.min("least_id").alias("least"))
-    return classes.join(written(least, "names"), "component").select("node", "least", F.lit(True).alias("linked"))
+    return classes.join(written(least, "names"), "component").select("node", "least", F.lit(True).alias("linked"), "component")
 
 
 def tiled(members: DataFrame, group: str, node: str) -> DataFrame:

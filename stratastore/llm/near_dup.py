@@ -77,8 +77,8 @@ def band_hashes(hashes: np.ndarray, offsets: np.ndarray, bands: int, rows: int,
 
 
 def _signatures(docs: DataFrame, id_col: str, text_col: str, bands: int, rows: int) -> DataFrame:
-    """(id, n, d1, d2, bands): size and digests of each document's set, and its band hashes."""
-    kept = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
+    """(id, th, n, d1, d2, bands): hash of each document's text, size and digests of each document's set, and its band hashes."""
+    kept = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("th"))
 
     def run(batches):
         for batch in batches:
@@ -89,10 +89,10 @@ def _signatures(docs: DataFrame, id_col: str, text_col: str, bands: int, rows: i
                 d1, d2 = ((s[offsets[1:]] - s[offsets[:-1]]).view(np.int64) for s in sums)
                 sig = band_hashes(hashes, offsets, bands, rows).view(np.int64)
                 sig = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * bands, pa.int32()), pa.array(sig.ravel()))
-                yield pa.RecordBatch.from_arrays([part.column("id"), pa.array(n, pa.int64()), pa.array(d1), pa.array(d2), sig], names=["id", "n", "d1", "d2", "bands"])
+                yield pa.RecordBatch.from_arrays([part.column("id"), part.column("th"), pa.array(n, pa.int64()), pa.array(d1), pa.array(d2), sig], names=["id", "th", "n", "d1", "d2", "bands"])
 
     kind = kept.schema["id"].dataType.simpleString()
-    return kept.mapInArrow(run, f"id {kind}, n bigint, d1 bigint, d2 bigint, bands array<bigint>")
+    return kept.mapInArrow(run, f"id {kind}, th bigint, n bigint, d1 bigint, d2 bigint, bands array<bigint>")
 
 
 def verify(sets: list[np.ndarray], left: np.ndarray, right: np.ndarray, threshold: Fraction) -> np.ndarray:
@@ -156,6 +156,12 @@ def group_links(group: pa.Table, threshold: Fraction) -> pa.Table:
 
 def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, recall: float = RECALL) -> DataFrame:
     """One row per document: id, class_id, n_links (other documents at the threshold or above), node (of its set; null without words)."""
+    out = _classes(docs, id_col, text_col, threshold, recall)
+    return out.select(F.col("id").alias(id_col), "class_id", "n_links", "node")
+
+
+def _classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD, recall: float = RECALL) -> DataFrame:
+    """One row per document: id, class_id, n_links, node, th (hash of its text), grp (of its class, also where ids are null; null without words)."""
     bands, rows = choose_bands(threshold, recall)
     exact = Fraction(threshold).limit_denominator(10_000)
     signed = _signatures(docs, id_col, text_col, bands, rows)
@@ -177,10 +183,10 @@ def similarity_classes(docs: DataFrame, id_col: str = "doc_id", text_col: str =
     classes = connected_components(links.select(F.col("node").alias("a"), F.col("peer").alias("b")))
     per_node = links.groupBy("node").agg(F.sum("links").alias("links"))
     per = nodes.select("node", "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
-    per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"))
+    per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"), F.coalesce("component", "node").alias("grp"))
     # written, so that the join with the documents can be split where one text has very many copies
-    out = signed.select("id", "node").join(written(per, "classes"), "node", "left")
-    return out.select(F.col("id").alias(id_col), F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "node")
+    out = signed.select("id", "node", "th").join(written(per, "classes"), "node", "left")
+    return out.select("id", F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "node", "th", "grp")
 
 
 def _sets_of(docs: DataFrame, signed: DataFrame, groups: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -207,7 +213,13 @@ def _sets_of(docs: DataFrame, signed: DataFrame, groups: DataFrame, id_col: str,
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options: float) -> DataFrame:
-    """The documents without those of a class that are not its least id; rows of that id keep one of equal texts each."""
-    classes = similarity_classes(docs, id_col, text_col, **options)
-    gone = classes.where(~F.col(id_col).eqNullSafe(F.col("class_id"))).select(id_col).distinct()
-    return docs.join(gone, id_col, "left_anti")
+    """One row of each class: that of the least id (rows without one last), of these that of the least text hash. Rows without words stay."""
+    rows = _classes(docs, id_col, text_col, **options).where("node IS NOT NULL").groupBy("grp", "id", "th").agg(F.count("*").alias("copies"))
+    rows = written(rows, "rows")
+    first = rows.groupBy("grp").agg(F.min(F.struct(F.col("id").isNull().alias("none"), "id", "th")).alias("best"))
+    fate = rows.join(written(first, "survivors"), "grp").withColumn("best", F.col("id").eqNullSafe(F.col("best.id")) & (F.col("th") == F.col("best.th")))
+    # what goes, and survivors that are repeated: the latter come back once
+    fate = written(fate.where("NOT best OR copies > 1").select("id", "th", "best"), "fates")
+    same = lambda f: docs[id_col].eqNullSafe(f["id"]) & (F.xxhash64(docs[text_col]) == f["th"])
+    repeated = fate.where("best")
+    return docs.join(fate, same(fate), "left_anti").unionByName(docs.join(repeated, same(repeated), "left_semi").dropDuplicates([id_col, text_col]))
