@@ -330,25 +330,37 @@ def draw_tables(rng: np.random.Generator, count: np.ndarray, others: np.ndarray,
     """Numbers of tables of dishes with ``count`` customers, ``others`` tables at the restaurant beside theirs, and ``base`` probability at its parent."""
     out = np.ones(len(count), np.int64)
     width = np.minimum(count, EXACT)
-    for lo, hi in ((2, 2), (3, 3), (4, 5), (6, 8), (9, 16), (17, 32), (33, 64), (65, 128), (129, EXACT), (EXACT, None)):
-        pick = np.flatnonzero((count > EXACT) if hi is None else (count >= lo) & (count <= hi))
+    for lo, hi in ((2, 2), (3, 3), (4, 5), (6, 8), (9, 16), (17, 32), (33, 64), (65, 128), (129, EXACT)):
+        pick = np.flatnonzero((count >= lo) & (count <= hi))
         for at in range(0, len(pick), 1 << 22 >> min(8, int(lo).bit_length())):
             k = pick[at : at + (1 << 22 >> min(8, int(lo).bit_length()))]
-            top = EXACT if hi is None else hi
+            top = hi
             t = np.arange(1, top + 1)
             weight = t * np.log(np.maximum(base[k], 1e-300))[:, None] + t * np.log(strength + discount * (others[k][:, None] + (t - 1) / 2))
-            if hi is None:
-                lgamma = np.concatenate(([0.0], np.cumsum(np.log(np.arange(1, top)))))
-                weight += -lgamma - (t - 1) * np.log(discount)
-            else:
-                weight += np.where(t <= width[k][:, None], table[np.minimum(count[k], EXACT)][:, 1 : top + 1], -np.inf)
+            weight += np.where(t <= width[k][:, None], table[np.minimum(count[k], EXACT)][:, 1 : top + 1], -np.inf)
             weight += rng.gumbel(size=weight.shape)
             out[k] = 1 + np.argmax(weight, axis=1)
+    for k in np.flatnonzero(count > EXACT).tolist():
+        out[k] = _draw_large(rng, int(count[k]), float(others[k]), float(base[k]), discount, strength)
     return out
 
 
-def _parent(table: pa.Table, kinds: int, seed: int) -> pa.Table:
-    """A word shard after a sweep: each word's customers and tables (PARENT, for itself), and what the context shards asked (BASES): the same of their words."""
+def _draw_large(rng: np.random.Generator, count: int, others: float, base: float, discount: float, strength: float) -> int:
+    """Tables of one dish of many customers, by the asymptotic weights; any number up to its customers can be drawn."""
+    top = EXACT
+    while True:
+        top = min(top, count)
+        t = np.arange(1, top + 1)
+        lgamma = np.concatenate(([0.0], np.cumsum(np.log(t[:-1]))))
+        weight = t * np.log(max(base, 1e-300)) + t * np.log(strength + discount * (others + (t - 1) / 2)) - lgamma - (t - 1) * np.log(discount)
+        # weights rise to one peak and fall: what lies beyond is negligible once the last is far below it
+        if top == count or weight[-1] < weight.max() - 40:
+            return 1 + int(np.argmax(weight + rng.gumbel(size=top)))
+        top *= 2
+
+
+def _parent(table: pa.Table, kinds: int, seed: int, before: int) -> pa.Table:
+    """A word shard after a sweep: each word's customers and tables (PARENT, for itself), and what the context shards asked (BASES): the same of their words. before: tables of all words, of all shards, in the sweep before."""
     rows = table.to_pylist()
     shard = rows[0]["shard"]
     parts = [(unpack(r["a"]), unpack(r["b"]).astype(np.int64), r) for r in rows if r["kind"] in (SINGLES, TABLES)]
@@ -356,7 +368,11 @@ def _parent(table: pa.Table, kinds: int, seed: int) -> pa.Table:
     customers = np.bincount(place, np.concatenate([p[1] for p in parts]), len(words)).astype(np.int64)
     rng = np.random.default_rng((seed, shard))
     stirling = _stirling(ROOT_DISCOUNT)
-    tables = draw_tables(rng, customers, np.full(len(words), len(words) - 1), np.full(len(words), 1 / kinds), ROOT_DISCOUNT, ROOT_STRENGTH, stirling)
+    own = np.ones(len(words), np.int64)
+    for r in rows:
+        if r["kind"] == PARENT:
+            own[np.searchsorted(words, unpack(r["a"]))] = unpack(r["c"])
+    tables = draw_tables(rng, customers, np.maximum(before - own, 0), np.full(len(words), 1 / kinds), ROOT_DISCOUNT, ROOT_STRENGTH, stirling)
     out = [(shard, PARENT, pack(words), pack(customers), pack(tables), b"", pack(np.array([customers.sum(), tables.sum()], np.int64)))]
     for a, _, r in parts:
         if r["kind"] == TABLES:
@@ -365,8 +381,8 @@ def _parent(table: pa.Table, kinds: int, seed: int) -> pa.Table:
     return pa.Table.from_batches([_batch(_arrow(STATE), out)])
 
 
-def _seat_parents(kinds: int, seed: int):
-    return lambda t: _parent(t, kinds, seed)
+def _seat_parents(kinds: int, seed: int, before: int):
+    return lambda t: _parent(t, kinds, seed, before)
 
 
 class Sweep:
@@ -580,9 +596,14 @@ def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     discount = float(min(max(ones[0] / max(ones[0] + 2 * ones[1], 1), 0.1), 0.95))
     kinds = vocabulary + 1
     sweeps, hot_tables, kept, parents = [], [], [], []
+    before, seated = vocabulary, None  # a table a word at first
     for turn in range(burn_in + samples + 1):
-        parent = written(singles.union(state.where(F.col("kind") == TABLES)).groupBy("shard").applyInArrow(_seat_parents(kinds, seed + turn), STATE), "parent")
+        told = singles.union(state.where(F.col("kind") == TABLES))
+        told = told if seated is None else told.union(seated)
+        parent = written(told.groupBy("shard").applyInArrow(_seat_parents(kinds, seed + turn, before), STATE), "parent")
+        seated = parent.where(F.col("kind") == PARENT)
         totals = np.sum([unpack(bytes(r.e)) for r in parent.where(F.col("kind") == PARENT).select("e").collect()] or [[0, 0]], axis=0)
+        before = int(totals[1])
         at_hot = _hot_tables(state, hot)
         sweep = Sweep(kinds, discount, int(totals[0]), int(totals[1]), hot, at_hot, shards, seed + 1000 + turn)
         if turn > burn_in:
