@@ -2,9 +2,17 @@
 
 Each preceding word has a restaurant; all of them share one parent, whose base is uniform over the
 training vocabulary and one unseen word. Customers are training tokens; a dish's tables in a context are
-customers of the parent. A Gibbs sweep draws every dish's number of tables from its conditional given the
-rest (seatings of equal table counts are summed over by generalised Stirling numbers), contexts of a sweep
-in parallel, then the parent's. After the burn-in, predictive probabilities are averaged over the sweeps.
+customers of the parent.
+
+A Gibbs sweep draws the seatings in blocks. Given the customers at the parent, the parent's tables and then
+its measure itself are drawn: gamma masses for its words, by the gamma form of the process. Given that
+measure, contexts have nothing to do with each other. A gamma variable for each context (its full
+conditional given its number of tables) parts its dishes too, so each dish's number of tables has the law
+S(c, t) x^t, S the generalised Stirling numbers, over seatings of equal table counts. It is drawn from
+that law at every count: the numbers are tabled up to ``EXACT`` customers and computed beyond. The gamma
+variable of the parent goes on from the sweep before, one step behind the contexts. During the burn-in
+the discount and the strength of the contexts are drawn too, by turns, from lattices; then they are held.
+After it, predictive probabilities given the seating are averaged over the sweeps.
 
 Plan. Documents become chunks of tokens (one row each). Chunks ask word shards for ids and counts, and
 context shards for table counts; requests and answers are packed arrays of distinct keys, so a frequent
@@ -19,25 +27,32 @@ draws are seeded by shard, so a rerun over the same chunks is the same.
 
 from __future__ import annotations
 
+import math
 import zlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .shared import n_shuffle, written
+from .shared import forget, written
 
 CHUNK_TOKENS = 2_000_000
 #: Tokens of a shard, about.
 SHARD_TOKENS = 1_200_000
-BURN_IN, SAMPLES = 1, 2
-STRENGTH, ROOT_STRENGTH, ROOT_DISCOUNT = 1.0, 1.0, 0.5
+BURN_IN, SAMPLES = 4, 2
+#: The parent's own parameters; its discount of a half gives its rest a law that can be drawn as it is.
+ROOT_STRENGTH, ROOT_DISCOUNT = 1.0, 0.5
+#: Values that the contexts' discount and strength can take, all alike beforehand, and how many are tried at once.
+DISCOUNTS = [k / 100 for k in range(30, 96)]
+STRENGTHS = [2.0 ** (k / 2) for k in range(-10, 21)]
+TRIALS = 9
 HELD_OUT_OF, HELD_OUT_IS = 7, 2
 BEGIN, END = K.U64(0x1D8AF066F7A3C0E1), K.U64(0x6A09E667F3BCC909)
-#: Counts up to this one have exact Stirling numbers; beyond, their asymptotic form.
-EXACT = 256
+#: Counts up to this one have their Stirling numbers from a table; beyond, each is computed on its own.
+EXACT = 400
 
 _CODEC = pa.Codec("zstd", compression_level=1)
 
@@ -296,7 +311,7 @@ def _first_state(table: pa.Table, shards: int) -> pa.Table:
     many = c > 1
     contexts, place = _runs(u)
     total, once = np.bincount(place, c, len(contexts)), np.bincount(place[~many], minlength=len(contexts))
-    out = [(shard, REPEATED, pack(u[many]), pack(w[many]), pack(c[many]), pack(np.ones(int(many.sum()), np.int32)), pack(np.concatenate((contexts.astype(np.int64), total.astype(np.int64), once.astype(np.int64)))))]
+    out = [(shard, REPEATED, pack(steps(u[many])), pack(w[many]), pack(c[many]), pack(np.ones(int(many.sum()), np.int32)), pack(np.concatenate((contexts.astype(np.int64), total.astype(np.int64), once.astype(np.int64)))))]
     words, count = np.unique(w[~many], return_counts=True)
     to = words % words.dtype.type(shards) if len(words) else words
     for s in np.unique(to).tolist():
@@ -315,8 +330,18 @@ def _to_parent(shard: int, w: np.ndarray, tables: np.ndarray, shards: int) -> li
     return [(int(s), TABLES, pack(words[to == s]), pack(count[to == s]), b"", str(shard).encode(), b"") for s in np.unique(to).tolist()]
 
 
+def _lgamma(x: np.ndarray | float) -> np.ndarray:
+    """log of the gamma function of positive numbers."""
+    x = np.asarray(x, np.float64)
+    low = x < 10
+    y = np.where(low, x + 10, x)
+    series = (y - 0.5) * np.log(y) - y + 0.5 * np.log(2 * np.pi) + (1 / 12 - (1 / 360 - (1 / 1260 - 1 / 1680 / y**2) / y**2) / y**2) / y
+    return series - np.where(low, sum(np.log(np.where(low, x + k, 1.0)) for k in range(10)), 0.0)
+
+
+@lru_cache(maxsize=16)
 def _stirling(discount: float) -> np.ndarray:
-    """log of generalised Stirling numbers S(c, t) for c, t up to EXACT."""
+    """log of generalised Stirling numbers S(c, t) for c, t up to EXACT, by their recurrence."""
     out = np.full((EXACT + 1, EXACT + 1), -np.inf)
     out[0, 0] = 0
     t = np.arange(1, EXACT + 1)
@@ -326,98 +351,205 @@ def _stirling(discount: float) -> np.ndarray:
     return out
 
 
-def draw_tables(rng: np.random.Generator, count: np.ndarray, others: np.ndarray, base: np.ndarray, discount: float, strength: float, table: np.ndarray) -> np.ndarray:
-    """Numbers of tables of dishes with ``count`` customers, ``others`` tables at the restaurant beside theirs, and ``base`` probability at its parent."""
+def _tilt(count: float, discount: float, weight: float | None = None, tables: float | None = None) -> float:
+    """s = 1 - r where r makes ``count`` the mean number of customers: of Poisson many tables under a weight, or of so many tables."""
+    goal = math.log(count / weight) if weight is not None else math.log(count / tables / discount)
+    lo, hi = -690.0, 690.0
+    for _ in range(90):
+        v = (lo + hi) / 2
+        # logs of s and r at log-odds v
+        low = math.log1p(math.exp(-abs(v)))
+        log_s, log_r = min(v, 0.0) - low, min(-v, 0.0) - low
+        mean = log_r + (discount - 1) * log_s
+        if weight is None:
+            mean -= math.log(-math.expm1(discount * log_s))
+        lo, hi = (v, hi) if mean > goal else (lo, v)
+    return math.exp(min(lo, 0.0) - math.log1p(math.exp(-abs(lo))))
+
+
+def log_coefficients(count: int, t: np.ndarray, discount: float, s: float) -> np.ndarray:
+    """log of S(count, t) * t! * discount^t / count! for ascending t: the coefficient of z^count in (1 - (1 - z)^discount)^t.
+
+    A sum over a circle of radius 1 - s, as many of its points as matter; where tables are few against
+    count^discount the coefficients' alternating series, which then converges fast. Either is right to
+    about 1e-9 of the law's mass.
+    """
+    t = np.asarray(t, np.float64)
+    y = t[-1] * float(count) ** -discount
+    if y <= 0 or np.log(1 - discount) + (discount * np.log(discount) + np.log(y)) / (1 - discount) < np.log(6.0):
+        k = np.arange(1, int(min(t[-1], 1200, count)) + 1, dtype=np.float64)
+        a = k * discount
+        # log of gamma(count - a) / gamma(count) without the loss of a difference of large numbers
+        x = count - a
+        ratio = np.where(x > 30, (x - 0.5) * np.log1p(-a / count) - a * np.log(count) + a + (1 / x - 1 / count) / 12 - (1 / x**3 - 1 / float(count) ** 3) / 360, _lgamma(np.maximum(x, 1e-9)) - _lgamma(count))
+        sine = np.sin(np.pi * np.mod(a, 2.0)) * np.where(k % 2 == 1, 1.0, -1.0) / np.pi
+        out = np.empty(len(t))
+        for at in range(0, len(t), 4096):
+            own = t[at : at + 4096, None]
+            choose = np.cumsum(np.log(np.maximum(own - k + 1, 0.0) + (own < k) * 1e-300) - np.log(k), axis=1)
+            term = np.where(own >= k, choose + ratio + _lgamma(1 + a), -np.inf)
+            top = term.max(axis=1, keepdims=True)
+            total = (np.exp(term - top) * sine).sum(axis=1)
+            out[at : at + 4096] = np.where(total > 0, top[:, 0] + np.log(np.maximum(total, 1e-300)), -np.inf)
+        return out - np.log(count)
+    r = 1 - s
+    log_r = np.log1p(-s)
+    phi_r = -np.expm1(discount * np.log(s))
+    spread = np.sqrt(t[-1] / phi_r * discount * (r * s ** (discount - 1) + r * r * (1 - discount) * s ** (discount - 2)))
+    points = int(min(max(64.0, 24 * spread + 45 / -log_r), 2.0**52))
+    step = 2 * np.pi / points
+
+    def log_ratio(k: np.ndarray) -> np.ndarray:
+        # 1 - r e^(i angle), without loss where the angle is small
+        half = np.sin(k * step / 2)
+        return np.log(1 - (s + 2 * r * half * half - 1j * r * np.sin(k * step)) ** discount) - np.log(phi_r)
+
+    far = 16
+    while far < points // 2 and t[0] * log_ratio(np.array([float(far)])).real[0] > -42:
+        far *= 2
+    k = np.arange(1, min(far, (points - 1) // 2) + 1, dtype=np.int64)
+    logs = log_ratio(k.astype(np.float64))
+    turn = np.array([(count * j) % points for j in k.tolist()], np.float64) * step if count * len(k) * points >= 1 << 62 else (count * k) % points * step
+    out = np.empty(len(t))
+    for at in range(0, len(t), max(1, (1 << 21) // max(len(k), 1))):
+        own = t[at : at + max(1, (1 << 21) // max(len(k), 1))]
+        z = np.exp(own[:, None] * logs - 1j * turn)
+        total = 1 + 2 * z.real.sum(axis=1)
+        if points % 2 == 0 and len(k) == (points - 1) // 2:
+            total += (np.exp(own * log_ratio(np.array([points / 2.0]))) * (1 if count % 2 == 0 else -1)).real
+        out[at : at + len(own)] = np.where(total > 0, np.log(np.maximum(total, 1e-300) / points), -np.inf)
+    return out + t * np.log(phi_r) - count * log_r
+
+
+def log_stirling(count: int, t: int, discount: float) -> float:
+    """log S(count, t) of any size."""
+    if count <= EXACT:
+        return float(_stirling(discount)[count, t])
+    if t == count:
+        return 0.0
+    one = log_coefficients(count, np.array([t]), discount, _tilt(count, discount, tables=t))[0]
+    return float(one + _lgamma(count + 1.0) - _lgamma(t + 1.0) - t * np.log(discount))
+
+
+def draw_tables(rng: np.random.Generator, count: np.ndarray, log_x: np.ndarray, discount: float) -> np.ndarray:
+    """Numbers of tables t of dishes with ``count`` customers, from the law S(count, t) x^t; no dish has a bound below its customers."""
     out = np.ones(len(count), np.int64)
-    width = np.minimum(count, EXACT)
+    table = _stirling(discount)
     for lo, hi in ((2, 2), (3, 3), (4, 5), (6, 8), (9, 16), (17, 32), (33, 64), (65, 128), (129, EXACT)):
         pick = np.flatnonzero((count >= lo) & (count <= hi))
-        for at in range(0, len(pick), 1 << 22 >> min(8, int(lo).bit_length())):
-            k = pick[at : at + (1 << 22 >> min(8, int(lo).bit_length()))]
-            top = hi
-            t = np.arange(1, top + 1)
-            weight = t * np.log(np.maximum(base[k], 1e-300))[:, None] + t * np.log(strength + discount * (others[k][:, None] + (t - 1) / 2))
-            weight += np.where(t <= width[k][:, None], table[np.minimum(count[k], EXACT)][:, 1 : top + 1], -np.inf)
-            weight += rng.gumbel(size=weight.shape)
-            out[k] = 1 + np.argmax(weight, axis=1)
+        t = np.arange(1, hi + 1)
+        step = max(1, (1 << 21) // hi)
+        for at in range(0, len(pick), step):
+            k = pick[at : at + step]
+            weight = table[count[k], 1 : hi + 1] + t * log_x[k][:, None]
+            out[k] = 1 + np.argmax(weight + rng.gumbel(size=weight.shape), axis=1)
     for k in np.flatnonzero(count > EXACT).tolist():
-        out[k] = _draw_large(rng, int(count[k]), float(others[k]), float(base[k]), discount, strength)
+        out[k] = _draw_large(rng, int(count[k]), float(np.exp(log_x[k])), discount)
     return out
 
 
-def _draw_large(rng: np.random.Generator, count: int, others: float, base: float, discount: float, strength: float) -> int:
-    """Tables of one dish of many customers, by the asymptotic weights; any number up to its customers can be drawn."""
-    top = EXACT
-    while True:
-        top = min(top, count)
-        t = np.arange(1, top + 1)
-        lgamma = np.concatenate(([0.0], np.cumsum(np.log(t[:-1]))))
-        weight = t * np.log(max(base, 1e-300)) + t * np.log(strength + discount * (others + (t - 1) / 2)) - lgamma - (t - 1) * np.log(discount)
-        # weights rise to one peak and fall: what lies beyond is negligible once the last is far below it
-        if top == count or weight[-1] < weight.max() - 40:
-            return 1 + int(np.argmax(weight + rng.gumbel(size=top)))
-        top *= 2
+def large_law(count: int, x: float, discount: float) -> tuple[np.ndarray, np.ndarray]:
+    """(numbers of tables, their log weights) for a dish of many customers: all numbers but those of less than 1e-15 of the mass."""
+    x = max(x, 1e-290)
+    s = _tilt(count, discount, weight=x)
+    if s >= 1:
+        return np.array([count]), np.zeros(1)
+    mean = x * -np.expm1(discount * np.log(s)) / discount
+    second = x * ((1 - s) * s ** (discount - 1) + (1 - s) ** 2 * (1 - discount) * s ** (discount - 2))
+    reach = 9 * np.sqrt(max(mean - count * (count / second), 0.0)) + 30
+    t = np.arange(max(1, int(mean - reach)), min(count, int(mean + reach) + 2) + 1)
+    return t, log_coefficients(count, t, discount, s) + t * np.log(x / discount) - _lgamma(t + 1.0)
+
+
+def _draw_large(rng: np.random.Generator, count: int, x: float, discount: float) -> int:
+    t, weight = large_law(count, x, discount)
+    return int(t[np.argmax(weight + rng.gumbel(size=len(t)))])
+
+
+def context_terms(total: np.ndarray, tables: np.ndarray, discount: float, strength: float) -> float:
+    """log probability of the restaurants' tables, but for the Stirling numbers."""
+    a = strength / discount
+    return float((_lgamma(strength) - _lgamma(strength + total) + tables * np.log(discount) + _lgamma(a + tables) - _lgamma(a)).sum())
+
+
+def stirling_terms(count: np.ndarray, tables: np.ndarray, discount: float) -> float:
+    small = count <= EXACT
+    out = float(_stirling(discount)[count[small], tables[small]].sum())
+    return out + sum(log_stirling(c, t, discount) for c, t in zip(count[~small].tolist(), tables[~small].tolist(), strict=True))
+
 
+def block_of(rng: np.random.Generator, lattice: list[float], now: float) -> list[float]:
+    """The part of a lattice that holds ``now`` in a division at random into runs of TRIALS; drawing from it is a step that keeps the law."""
+    k, shift = lattice.index(now), int(rng.integers(TRIALS))
+    first = (k + shift) // TRIALS * TRIALS - shift
+    return lattice[max(0, first) : first + TRIALS]
 
-def _parent(table: pa.Table, kinds: int, seed: int, before: int) -> pa.Table:
-    """A word shard after a sweep: each word's customers and tables (PARENT, for itself), and what the context shards asked (BASES): the same of their words. before: tables of all words, of all shards, in the sweep before."""
+
+def _parent(table: pa.Table, kinds: int, seed: int, scale: float) -> pa.Table:
+    """A word shard: draws its words' tables at the parent and the parent's own weights; tells the context shards that asked the weights (BASES), and keeps customers and tables (PARENT)."""
     rows = table.to_pylist()
     shard = rows[0]["shard"]
     parts = [(unpack(r["a"]), unpack(r["b"]).astype(np.int64), r) for r in rows if r["kind"] in (SINGLES, TABLES)]
     words, place = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
     customers = np.bincount(place, np.concatenate([p[1] for p in parts]), len(words)).astype(np.int64)
     rng = np.random.default_rng((seed, shard))
-    stirling = _stirling(ROOT_DISCOUNT)
-    own = np.ones(len(words), np.int64)
-    for r in rows:
-        if r["kind"] == PARENT:
-            own[np.searchsorted(words, unpack(r["a"]))] = unpack(r["c"])
-    tables = draw_tables(rng, customers, np.maximum(before - own, 0), np.full(len(words), 1 / kinds), ROOT_DISCOUNT, ROOT_STRENGTH, stirling)
-    out = [(shard, PARENT, pack(words), pack(customers), pack(tables), b"", pack(np.array([customers.sum(), tables.sum()], np.int64)))]
+    tables = draw_tables(rng, customers, np.full(len(words), np.log(ROOT_DISCOUNT * scale / kinds)), ROOT_DISCOUNT)
+    weight = rng.standard_gamma(customers - ROOT_DISCOUNT * tables) + _rest(rng, scale / kinds, len(words))
+    out = [(shard, PARENT, pack(words), pack(customers), pack(tables), b"", pack(np.array([customers.sum(), tables.sum(), weight.sum()], np.float64)))]
     for a, _, r in parts:
         if r["kind"] == TABLES:
-            at = np.searchsorted(words, a)
-            out.append((int(r["d"]), BASES, pack(a), pack(customers[at]), pack(tables[at]), b"", b""))
+            out.append((int(r["d"]), BASES, pack(a), pack(weight[np.searchsorted(words, a)].astype(np.float32)), b"", b"", b""))
     return pa.Table.from_batches([_batch(_arrow(STATE), out)])
 
 
-def _seat_parents(kinds: int, seed: int, before: int):
-    return lambda t: _parent(t, kinds, seed, before)
+def _rest(rng: np.random.Generator, time: float, n: int) -> np.ndarray:
+    """What a word has of the parent's mass outside all tables: an inverse Gaussian draw, as the parent's discount is a half."""
+    return rng.wald(time / 2, time * time / 2, n)
+
+
+def _seat_parents(kinds: int, seed: int, scale: float):
+    return lambda t: _parent(t, kinds, seed, scale)
 
 
 class Sweep:
-    """What a sweep needs beside the shard's rows: totals of the parent and tables of split contexts, both of the sweep before."""
+    """What a sweep needs beside the shard's rows: the parent's totals, what it leaves to each kind, and the draws for split contexts."""
 
-    def __init__(self, kinds: int, discount: float, customers: int, tables: int, hot: np.ndarray, hot_tables: np.ndarray, shards: int, seed: int):
-        self.kinds, self.discount, self.customers, self.tables = kinds, discount, customers, tables
-        self.hot, self.hot_tables, self.shards, self.seed = hot, hot_tables, shards, seed
+    def __init__(self, kinds: int, discount: float, strength: float, totals: np.ndarray, hot: np.ndarray, hot_scale: np.ndarray, shards: int, seed: int, trial: list[tuple[float, float]]):
+        self.kinds, self.discount, self.strength = kinds, discount, strength
+        self.customers, self.tables, self.weight = (float(x) for x in totals)
+        self.hot, self.hot_scale, self.shards, self.seed, self.trial = hot, hot_scale, shards, seed, trial
 
     def base(self, customers: np.ndarray, tables: np.ndarray) -> np.ndarray:
+        """The parent's predictive probability of words by their customers and tables there."""
         own = np.maximum(customers - ROOT_DISCOUNT * tables, 0)
         return (own + (ROOT_STRENGTH + ROOT_DISCOUNT * self.tables) / self.kinds) / (ROOT_STRENGTH + self.customers)
 
     def run(self, table: pa.Table) -> pa.Table:
-        """A context shard: draws the tables of its repeated pairs, and tells the word shards."""
+        """A context shard: draws the tables of its repeated pairs, and tells the word shards; to shard -1 the log probabilities of the trial parameters."""
         rows = table.to_pylist()
         state = next((r for r in rows if r["kind"] == REPEATED), None)
         if state is None:
             return pa.Table.from_batches([_batch(_arrow(STATE), [])])
         u, w, c, t = (unpack(state[k]) for k in "abcd")
+        u = np.cumsum(u, dtype=u.dtype)
         contexts, total, once = unpack(state["e"]).reshape(3, -1)
+        place = np.searchsorted(contexts, u.astype(np.int64))
+        split = K.is_member(contexts, self.hot)
         if len(u):
-            asked = [(unpack(r["a"]), unpack(r["b"]), unpack(r["c"])) for r in rows if r["kind"] == BASES]
+            asked = [(unpack(r["a"]), unpack(r["b"])) for r in rows if r["kind"] == BASES]
             words = np.concatenate([x[0] for x in asked])
             order = np.argsort(words)
-            at = order[np.searchsorted(words[order], w)]
-            base = self.base(np.concatenate([x[1] for x in asked])[at], np.concatenate([x[2] for x in asked])[at])
-            place = np.searchsorted(contexts, u.astype(np.int64))
-            present = np.bincount(place, t, len(contexts)) + once
-            hot = np.searchsorted(self.hot, contexts)
-            split = K.is_member(contexts, self.hot)
-            present[split] = self.hot_tables[hot[split]]
+            base = np.concatenate([x[1] for x in asked])[order[np.searchsorted(words[order], w)]].astype(np.float64) / self.weight
             rng = np.random.default_rng((self.seed, state["shard"]))
-            t = draw_tables(rng, c, np.maximum(present[place] - t, 0), base, self.discount, STRENGTH, _stirling(self.discount)).astype(np.int32)
+            scale = rng.standard_gamma(self.strength / self.discount + np.bincount(place, t, len(contexts)) + once)
+            scale[split] = self.hot_scale[np.searchsorted(self.hot, contexts[split])]
+            t = draw_tables(rng, c, np.log(self.discount * np.maximum(scale[place] * base, 1e-280)), self.discount).astype(np.int32)
         out = [(state["shard"], REPEATED, state["a"], state["b"], state["c"], pack(t), state["e"])]
+        if self.trial:
+            present = np.bincount(place, t, len(contexts)) + once
+            by_discount = {d: stirling_terms(c, t, d) for d in {d for d, _ in self.trial}}
+            logs = [by_discount[d] + context_terms(total[~split], present[~split], d, a) for d, a in self.trial]
+            out.append((-1, BASES, pack(np.array(logs, np.float64)), b"", b"", b"", b""))
         return pa.Table.from_batches([_batch(_arrow(STATE), out + _to_parent(state["shard"], w, t.astype(np.int64), self.shards))])
 
 
@@ -431,6 +563,7 @@ def _hot_tables(state: DataFrame, hot: np.ndarray) -> np.ndarray:
             for r in batch.to_pylist():
                 contexts, _, once = unpack(r["e"]).reshape(3, -1)
                 u, t = unpack(r["a"]), unpack(r["d"])
+                u = np.cumsum(u, dtype=u.dtype)
                 mine = np.flatnonzero(K.is_member(contexts, hot))
                 tables = np.bincount(np.searchsorted(contexts, u.astype(np.int64)), t, len(contexts)) + once
                 yield pa.RecordBatch.from_arrays([pa.array(contexts[mine]), pa.array(tables[mine].astype(np.int64))], names=["u", "t"])
@@ -548,7 +681,7 @@ class Scorer:
         total = wcount[by_id][np.searchsorted(ids, u)]
         below = np.searchsorted(ids, w)
         share, left = np.zeros(len(u)), [np.zeros(len(u)) for _ in range(states)]
-        discount = self.sweeps[0].discount
+        discount, strength = self.sweeps[0].discount, self.sweeps[0].strength  # held after the burn-in
         for r in answers:
             if r["kind"] == 0:
                 mine = np.flatnonzero(shard == r["shard"])
@@ -563,8 +696,8 @@ class Scorer:
             left[s][split] = self.hot_tables[s][np.searchsorted(self.hot, u[split])]
         p = share
         for s in range(states):
-            p = p + (STRENGTH + discount * left[s]) * parents[s][below] / states
-        p /= STRENGTH + total
+            p = p + (strength + discount * left[s]) * parents[s][below] / states
+        p /= strength + total
         ends = np.cumsum(n)
         add = lambda x: (t := np.concatenate(([0.0], np.cumsum(x))))[ends] - t[ends - n]
         seen = wcount[tokens]
@@ -575,10 +708,11 @@ class Scorer:
 
 def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", burn_in: int = BURN_IN, samples: int = SAMPLES, seed: int = 29, shards: int | None = None) -> DataFrame:
     """One row per document: its id, held_out, n_tokens, n_known, train_tokens, base_score, score (log10), perplexity (per token)."""
-    spark: SparkSession = docs.sparkSession
+    if docs.schema[id_col].dataType.typeName() not in ("byte", "short", "integer", "long"):
+        raise TypeError(f"{id_col} must be an integer column")
     chunks = written(chunks_of(docs, id_col, text_col), "chunks")
     tokens = chunks.agg(F.sum("size")).first()[0] or 0
-    shards = shards or max(4, min(2 * n_shuffle(spark), -(-tokens // SHARD_TOKENS)))
+    shards = shards or max(4, -(-tokens // SHARD_TOKENS))
     words = written(_ask_words(chunks, shards).groupBy("shard").applyInArrow(_answer_words, WORD), "words")
     sizes = np.zeros((shards, 3), np.int64)
     for r in words.where("chunk = -1").collect():  # one small row a shard
@@ -587,25 +721,33 @@ def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     vocabulary, train_tokens = int(sizes[:, 1].sum()), int(sizes[:, 2].sum())
     left, right = chunks.groupBy("chunk"), words.where("chunk >= 0").groupBy("chunk")
     coded = written(left.cogroup(right).applyInArrow(lambda a, b: _code(a, b, base), CODED), "coded")
-    hot = _hot_words(coded, max(1, train_tokens // (2 * shards)))
+    forget(chunks, words)
+    hot, hot_total = _hot_words(coded, max(1, train_tokens // (2 * shards)))
 
     asked = _ask_pairs(coded, shards, hot)
     state = written(asked.groupBy("shard").applyInArrow(lambda t: _first_state(t, shards), STATE), "state")
-    singles = state.where(F.col("kind") == SINGLES)
+    first, singles = state, state.where(F.col("kind") == SINGLES)
     ones = np.sum([unpack(bytes(r.a)) for r in state.where("shard = -1").select("a").collect()] or [[1, 1]], axis=0)
-    discount = float(min(max(ones[0] / max(ones[0] + 2 * ones[1], 1), 0.1), 0.95))
-    kinds = vocabulary + 1
+    discount = min(DISCOUNTS, key=lambda d: abs(d - ones[0] / max(ones[0] + 2 * ones[1], 1)))
+    strength, kinds, trial = 1.0, vocabulary + 1, []
+    driver = np.random.default_rng((seed, 1 << 31))
+    scale = ROOT_STRENGTH / ROOT_DISCOUNT + vocabulary  # a table a word at first
     sweeps, hot_tables, kept, parents = [], [], [], []
-    before, seated = vocabulary, None  # a table a word at first
     for turn in range(burn_in + samples + 1):
         told = singles.union(state.where(F.col("kind") == TABLES))
-        told = told if seated is None else told.union(seated)
-        parent = written(told.groupBy("shard").applyInArrow(_seat_parents(kinds, seed + turn, before), STATE), "parent")
-        seated = parent.where(F.col("kind") == PARENT)
-        totals = np.sum([unpack(bytes(r.e)) for r in parent.where(F.col("kind") == PARENT).select("e").collect()] or [[0, 0]], axis=0)
-        before = int(totals[1])
+        parent = written(told.groupBy("shard").applyInArrow(_seat_parents(kinds, seed + turn, scale), STATE), "parent")
+        totals = np.sum([unpack(bytes(r.e)) for r in parent.where(F.col("kind") == PARENT).select("e").collect()] or [[0.0, 0.0, 0.0]], axis=0)
+        totals[2] += _rest(driver, scale / kinds, 1)[0]  # the kind that was never seen
+        scale = float(driver.standard_gamma(ROOT_STRENGTH / ROOT_DISCOUNT + totals[1]))
         at_hot = _hot_tables(state, hot)
-        sweep = Sweep(kinds, discount, int(totals[0]), int(totals[1]), hot, at_hot, shards, seed + 1000 + turn)
+        if trial:
+            logs = np.sum([unpack(bytes(r.a)) for r in state.where("shard = -1").select("a").collect()] or [np.zeros(len(trial))], axis=0)
+            logs = logs + np.array([context_terms(hot_total, at_hot, d, a) for d, a in trial])
+            discount, strength = trial[int(np.argmax(logs + driver.gumbel(size=len(trial))))]
+        # the discount and the strength are drawn by turns up to the last sweep of the burn-in
+        trial = [] if turn >= burn_in else [(d, strength) for d in block_of(driver, DISCOUNTS, discount)] if turn % 2 else [(discount, a) for a in block_of(driver, STRENGTHS, strength)]
+        hot_scale = driver.standard_gamma(strength / discount + at_hot)
+        sweep = Sweep(kinds, discount, strength, totals, hot, hot_scale, shards, seed + 1000 + turn, trial)
         if turn > burn_in:
             sweeps.append(sweep)
             hot_tables.append(at_hot)
@@ -613,7 +755,9 @@ def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
             parents.append(parent.where(F.col("kind") == PARENT).select("shard", F.lit(len(parents)).alias("kind"), F.lit(None).cast("bigint").alias("chunk"), "a", "b", "c"))
         if turn < burn_in + samples:
             own = state.where(F.col("kind") == REPEATED).union(parent.where(F.col("kind") == BASES))
-            state = written(own.groupBy("shard").applyInArrow(lambda t: sweep.run(t), STATE), "state")
+            before, state = state, written(own.groupBy("shard").applyInArrow(_swept(sweep), STATE), "state")
+            if turn <= burn_in:
+                forget(parent, *[before] * (before is not first))
 
     ask = asked.select("shard", F.lit(-1).alias("kind"), "chunk", F.col("u").alias("a"), F.col("run").alias("b"), F.col("w").alias("c"), F.col("c").alias("d"))
     for k in kept:
@@ -631,13 +775,18 @@ def score_corpus(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     )
 
 
-def _hot_words(coded: DataFrame, limit: int) -> np.ndarray:
-    """Ids of the words (and the begin mark) with more than ``limit`` training occurrences: fewer than two a shard."""
+def _swept(sweep: Sweep):
+    return lambda t: sweep.run(t)
+
+
+def _hot_words(coded: DataFrame, limit: int) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and training counts of the words (and the begin mark) with more than ``limit`` training occurrences: fewer than two a shard."""
 
     def run(batches):
         for batch in batches:
             for wid, count in zip(*(batch.column(c).to_pylist() for c in ("wid", "wcount")), strict=True):
                 i, c = unpack(wid), unpack(count)
-                yield pa.RecordBatch.from_arrays([pa.array(i[c > limit].astype(np.int64))], names=["u"])
+                yield pa.RecordBatch.from_arrays([pa.array(i[c > limit].astype(np.int64)), pa.array(c[c > limit])], names=["u", "c"])
 
-    return np.array(sorted(r.u for r in coded.select("wid", "wcount").mapInArrow(run, "u bigint").distinct().collect()), dtype=np.int64)
+    found = sorted((r.u, r.c) for r in coded.select("wid", "wcount").mapInArrow(run, "u bigint, c bigint").distinct().collect())
+    return np.array([u for u, _ in found], dtype=np.int64), np.array([c for _, c in found], dtype=np.int64)

@@ -15,11 +15,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the cluster names in spark.checkpoint.dir; a local one of our own only where none is named."""
+    """The folder that the cluster names in spark.checkpoint.dir; a local one of our own only where none is named and all tasks run in this process."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         named = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
         named = getattr(spark.sparkContext, "_own_shared_dir", None) or tempfile.mkdtemp(prefix="shared-")
         spark.sparkContext._own_shared_dir = named
     return named.rstrip("/")
@@ -30,7 +32,17 @@ def written(df: DataFrame, what: str, fmt: str = "parquet", **options: str) -> D
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{what}-{uuid.uuid4().hex}"
     df.write.options(**options).format(fmt).save(path)
-    return spark.read.schema(df.schema).format(fmt).load(path)
+    out = spark.read.schema(df.schema).format(fmt).load(path)
+    out._written_to = path
+    return out
+
+
+def forget(*frames: DataFrame) -> None:
+    """Removes the folders of frames that ``written`` gave, once nothing that is still to be computed reads them."""
+    for df in frames:
+        jvm, conf = df.sparkSession.sparkContext._jvm, df.sparkSession.sparkContext._jsc.hadoopConfiguration()
+        path = jvm.org.apache.hadoop.fs.Path(df._written_to)
+        path.getFileSystem(conf).delete(path, True)
 
 
 def n_shuffle(spark: SparkSession) -> int:

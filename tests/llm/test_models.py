@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import random
 import re
 import zlib
 from collections import Counter
@@ -164,17 +165,130 @@ def test_pitman_yor_sums_to_one(spark):
         assert sum(got[t] for t in ("", "a", "b", "c", "zz")) <= 1
 
 
-def test_table_draws_follow_the_law():
-    """Tables of three customers, against seating them one by one."""
-    rng, d, s, base, others = np.random.default_rng(1), 0.6, 1.0, 0.3, 4
-    stir = pitman_yor._stirling(d)
-    draws = pitman_yor.draw_tables(rng, np.full(40_000, 3), np.full(40_000, others), np.full(40_000, base), d, s, stir)
-    weight = {t: math.exp(stir[3, t]) * base**t * (s + d * (others + (t - 1) / 2)) ** t for t in (1, 2, 3)}
-    assert abs(math.exp(stir[3, 1]) - (1 - d) * (2 - d)) < 1e-9 and abs(math.exp(stir[3, 2]) - 3 * (1 - d)) < 1e-9
-    for t in (1, 2, 3):
-        assert abs((draws == t).mean() - weight[t] / sum(weight.values())) < 0.01
-    big = pitman_yor.draw_tables(rng, np.array([2, 300, 5000]), np.array([9, 9, 9]), np.array([0.1] * 3), d, s, stir)
-    assert (big >= 1).all() and (big <= [2, 256, 256]).all()
+def seat_one_by_one(rng, count, others, base, d, strength, sweeps):
+    """Gibbs sampling of one dish by taking out and seating each customer in turn: its numbers of tables."""
+    of, size, free, out = list(range(count)), [1] * count, [], []
+    tables = count
+    for _ in range(sweeps):
+        for k in range(count):
+            size[of[k]] -= 1
+            if not size[of[k]]:
+                free.append(of[k])
+                tables -= 1
+            new, join = (strength + d * (others + tables)) * base, count - 1 - d * tables
+            if rng.random() * (new + join) < new:
+                of[k] = free.pop()
+                size[of[k]], tables = 1, tables + 1
+                continue
+            while True:  # a table by its customers, kept by (n - d) / n
+                j = rng.randrange(count - 1)
+                t = of[j + (j >= k)]
+                if rng.random() * size[t] < size[t] - d:
+                    break
+            of[k] = t
+            size[t] += 1
+        out.append(tables)
+    return out
+
+
+@pytest.mark.parametrize(("count", "others", "base", "d", "sweeps"), [(3, 4, 0.3, 0.6, 40_000), (300, 2_000, 0.02, 0.8, 1_500), (300, 40, 0.3, 0.5, 1_500), (5_000, 50_000, 0.05, 0.75, 60)])
+def test_tables_against_seating_one_by_one(count, others, base, d, sweeps):
+    seated = np.array(seat_one_by_one(random.Random(count), count, others, base, d, 1.0, sweeps)[sweeps // 6 :])
+    rng, drawn, t = np.random.default_rng(5), [], 1
+    for _ in range(max(400, min(sweeps, 20_000))):
+        scale = rng.standard_gamma(1.0 / d + others + t)
+        t = int(pitman_yor.draw_tables(rng, np.array([count]), np.log([d * scale * base]), d)[0])
+        drawn.append(t)
+    drawn = np.array(drawn[100:])
+    noise = 5 * seated.std() / math.sqrt(len(seated) / 4) + 0.002 * seated.mean()
+    assert abs(seated.mean() - drawn.mean()) < noise, (seated.mean(), drawn.mean())
+    if count == 3:
+        assert np.abs(np.bincount(seated, minlength=4) / len(seated) - np.bincount(drawn, minlength=4) / len(drawn)).max() < 0.015
+
+
+@pytest.mark.parametrize("d", [0.3, 0.6, 0.9])
+def test_computed_numbers_equal_the_recurrence(monkeypatch, d):
+    monkeypatch.setattr(pitman_yor, "EXACT", 1500)
+    pitman_yor._stirling.cache_clear()
+    full, t = pitman_yor._stirling(d), np.arange(1, 1501)
+    monkeypatch.setattr(pitman_yor, "EXACT", 8)
+    for x in (1e-6, 0.5, 20.0, 600.0, 1e6):
+        some, weight = pitman_yor.large_law(1500, x, d)
+        want = full[1500, 1:] + t * math.log(x)
+        want, got = np.exp(want - want.max()), np.exp(weight - weight.max())
+        want /= want.sum()
+        assert np.abs(want[some - 1] - got / got.sum()).max() < 1e-9 and want[some - 1].sum() > 1 - 1e-9
+    for k in (1, 2, 40, 700, 1500):
+        assert abs(pitman_yor.log_stirling(1500, k, d) - full[1500, k]) < 1e-8 * max(1, abs(full[1500, k]))
+    monkeypatch.undo()
+    pitman_yor._stirling.cache_clear()
+
+
+def test_scores_against_a_plain_sampler(spark, monkeypatch):
+    """Scores of held-out texts, against customers seated one by one in all restaurants, with the parameters held."""
+    d, strength, root_d, root_s = 0.6, 1.0, pitman_yor.ROOT_DISCOUNT, pitman_yor.ROOT_STRENGTH
+    monkeypatch.setattr(pitman_yor, "DISCOUNTS", [d])
+    monkeypatch.setattr(pitman_yor, "STRENGTHS", [strength])
+    train = ["a b a c a b", "a a b", "b c a b", "c c", "a b", "d a b"] * 3
+    probes = ["a b", "c a", "b b d", "zz a", "", "d d d", "a c c"]
+    of = lambda held: (k for k in range(10**6) if (zlib.crc32(str(k).encode()) % 7 == 2) is held)
+    docs = [*zip(of(False), train), *zip(of(True), probes)]
+    got = {r.doc_id: r.score for r in pitman_yor.score_corpus(spark.createDataFrame(docs, "doc_id long, text string"), burn_in=4, samples=14, shards=2).collect()}
+    rng = random.Random(4)
+    tokens = [(u, w) for t in train for u, w in zip(["<", *t.split()], [*t.split(), ">"])]
+    kinds = len({w for _, w in tokens}) + 1
+    seats, parent, at = {}, {}, [None] * len(tokens)  # lists of table sizes
+
+    def pick(weights):
+        x = rng.random() * sum(weights)
+        for k, y in enumerate(weights):
+            x -= y
+            if x < 0:
+                return k
+        return len(weights) - 1
+
+    def root_p(w):
+        own, n, t = parent.get(w, []), sum(map(sum, parent.values())), sum(map(len, parent.values()))
+        return (sum(own) - root_d * len(own) + (root_s + root_d * t) / kinds) / (root_s + n)
+
+    def p(u, w):
+        here, own = seats.get(u, {}), seats.get(u, {}).get(w, [])
+        n, t = sum(sum(x) for x in here.values()), sum(map(len, here.values()))
+        return (sum(own) - d * len(own) + (strength + d * t) * root_p(w)) / (strength + n)
+
+    def seat(table_sizes, total_tables, discount, s, base):
+        k = pick([n - discount for n in table_sizes] + [(s + discount * total_tables) * base])
+        if k == len(table_sizes):
+            table_sizes.append(1)
+            return True
+        table_sizes[k] += 1
+        return False
+
+    def leave(table_sizes):
+        k = pick(table_sizes)
+        table_sizes[k] -= 1
+        if not table_sizes[k]:
+            del table_sizes[k]
+            return True
+        return False
+
+    logs = dict.fromkeys(probes, 0.0)
+    for sweep in range(900):
+        for i, (u, w) in enumerate(tokens):
+            own = seats.setdefault(u, {}).setdefault(w, [])
+            # customers of a dish are alike, so which one leaves is drawn
+            if at[i] and leave(own):
+                leave(parent[w])
+            at[i] = True
+            if seat(own, sum(map(len, seats[u].values())), d, strength, root_p(w)):
+                seat(parent.setdefault(w, []), sum(map(len, parent.values())), root_d, root_s, 1 / kinds)
+        if sweep >= 100:
+            for t in probes:
+                for u, w in set(zip(["<", *t.split()], [*t.split(), ">"])):
+                    logs[t, u, w] = logs.get((t, u, w), 0.0) + p(u, w) / 800
+    for (k, t) in docs[len(train) :]:
+        want = sum(math.log10(logs[t, u, w]) for u, w in zip(["<", *t.split()], [*t.split(), ">"]))
+        assert abs(got[k] - want) < 0.03 * (1 + len(t.split())), (t, got[k], want)
 
 
 def test_packing():
