@@ -9,13 +9,13 @@ Slots are counted block by block of that key, so no task gets a whole shard.
 
 The driver handles the matrix, parts x shards numbers, and nothing that grows with the rows' contents.
 Nulls are values like others. Repeated rows are dealt each for itself; equal rows are interchangeable, so
-the outcome does not depend on the order in which they are read. A seed makes it repeatable.
+the outcome does not depend on the order in which they are read. Rows equal in all columns share a partition.
+A seed makes it repeatable. Columns of any name are kept; the added ones avoid them.
 """
 
 from __future__ import annotations
 
 import json
-import math
 import random
 
 from pyspark.sql import Column, DataFrame, Window
@@ -29,28 +29,31 @@ BLOCK_ROWS, BLOCKS_PER_TASK = 1_000, 4
 
 
 def hypergeometric(rng: random.Random, good: int, bad: int, draws: int) -> int:
-    """Exact draw of the number of good ones among draws, by inversion from the mode outwards."""
+    """Number of good ones among draws: inversion over the law's weights, which are products of whole-number ratios in double precision."""
     low, high = max(0, draws - bad), min(draws, good)
-    if low == high:
-        return low
-    lf = math.lgamma
     mode = min(high, max(low, (draws + 1) * (good + 1) // (good + bad + 2)))
-    log_p = lf(good + 1) - lf(mode + 1) - lf(good - mode + 1) + lf(bad + 1) - lf(draws - mode + 1) - lf(bad - draws + mode + 1) - (lf(good + bad + 1) - lf(draws + 1) - lf(good + bad - draws + 1))
-    u = rng.random()
-    p_up = p_down = math.exp(log_p)
-    up = down = mode
-    u -= p_up
-    while u > 0 and (up < high or down > low):
-        if up < high:
-            p_up *= (good - up) * (draws - up) / ((up + 1) * (bad - draws + up + 1))
-            up += 1
-            if (u := u - p_up) <= 0:
-                return up
-        if down > low:
-            p_down *= down * (bad - draws + down) / ((good - down + 1) * (draws - down + 1))
-            down -= 1
-            if (u := u - p_down) <= 0:
-                return down
+    # weights against the mode's, outwards until what is left is below the precision of their sum
+    up, down, total = [], [], 1.0
+    w, k = 1.0, mode
+    while k < high and w > total * 1e-18:
+        w *= (good - k) * (draws - k) / ((k + 1) * (bad - draws + k + 1))
+        k += 1
+        up.append(w)
+        total += w
+    w, k = 1.0, mode
+    while k > low and w > total * 1e-18:
+        w *= k * (bad - draws + k) / ((good - k + 1) * (draws - k + 1))
+        k -= 1
+        down.append(w)
+        total += w
+    u = rng.random() * total - 1.0
+    if u < 0:
+        return mode
+    for sign, side in ((1, up), (-1, down)):
+        for step, w in enumerate(side, 1):
+            u -= w
+            if u < 0:
+                return mode + sign * step
     return mode
 
 
@@ -90,9 +93,10 @@ def shuffle_into_shards(df: DataFrame, n_shards: int = N_SHARDS, seed: int = 7,
     spark = df.sparkSession
     parts = parts or max(n_shards, 2 * n_shuffle(spark))
     shard, slot = free_name(df, "shard"), free_name(df, "slot")
+    part, first, second, place, block, n_here, begins = (free_name(df, f"__{x}") for x in ("part", "r1", "r2", "place", "block", "n", "cuts"))
     own = [F.col(f"`{c}`") for c in df.columns]
     part_of = lambda: F.pmod(_random(own, seed), F.lit(parts)).cast("int")
-    found = {r["p"]: r["count"] for r in df.groupBy(part_of().alias("p")).count().collect()}
+    found = {r["p"]: r["c"] for r in df.select(part_of().alias("p")).groupBy("p").agg(F.count("*").alias("c")).collect()}
     sizes = [found.get(p, 0) for p in range(parts)]
     n = sum(sizes)
     matrix = communication_matrix(sizes, shard_sizes(n, n_shards), seed)
@@ -104,27 +108,27 @@ def shuffle_into_shards(df: DataFrame, n_shards: int = N_SHARDS, seed: int = 7,
             line.append(total)
         cuts.append(line)
     # a row for each partition: the places at which the next shard begins
-    table = F.broadcast(spark.range(1).select(F.posexplode(F.from_json(F.lit(json.dumps(cuts)), "array<array<bigint>>")).alias("__part", "__cuts")))
-    local = Window.partitionBy("__part").orderBy("__r1", "__r2")
+    table = F.broadcast(spark.range(1).select(F.posexplode(F.from_json(F.lit(json.dumps(cuts)), "array<array<bigint>>")).alias(part, begins)))
+    local = Window.partitionBy(part).orderBy(first, second)
     blocks = max(1, min(-(-n // (n_shards * block_rows)), BLOCKS_PER_TASK * n_shuffle(spark) // n_shards))
     dealt = (
-        df.withColumns({"__part": part_of(), "__r1": _random(own, seed + 1), "__r2": _random(own, seed + 2)})
-        .withColumn("__place", F.row_number().over(local) - 1)
-        .join(table, "__part")
-        .withColumn(shard, F.size(F.filter("__cuts", lambda c: c <= F.col("__place"))).cast("int"))
-        # equal rows of one shard differ in __place, so their keys do not tie
-        .withColumn("__r2", F.xxhash64("__r2", "__part", "__place", F.lit(seed + 3)))
-        .withColumn("__block", F.floor((F.col("__r2").cast("double") / 2.0**64 + 0.5) * blocks).cast("int"))
-        .drop("__cuts", "__r1")
+        df.withColumns({part: part_of(), first: _random(own, seed + 1), second: _random(own, seed + 2)})
+        .withColumn(place, F.row_number().over(local) - 1)
+        .join(table, part)
+        .withColumn(shard, F.size(F.filter(begins, lambda c: c <= F.col(place))).cast("int"))
+        # equal rows of one shard differ in their place, so their keys do not tie
+        .withColumn(second, F.xxhash64(second, part, place, F.lit(seed + 3)))
+        .withColumn(block, F.floor((F.col(second).cast("double") / 2.0**64 + 0.5) * blocks).cast("int"))
+        .drop(begins, first)
     )
-    within = Window.partitionBy(shard, "__block").orderBy("__r2", "__part", "__place")
-    ordered = dealt.withColumn("__n", F.row_number().over(within) - 1)
-    counts = _block_starts(dealt, shard)
-    return ordered.join(F.broadcast(counts), [shard, "__block"]).withColumn(slot, (F.col("__start") + F.col("__n")).cast("long")).select(*own, shard, slot)
+    within = Window.partitionBy(shard, block).orderBy(second, part, place)
+    ordered = dealt.withColumn(n_here, F.row_number().over(within) - 1)
+    starts = _block_starts(dealt, shard, block, begins)
+    return ordered.join(F.broadcast(starts), [shard, block]).withColumn(slot, (F.col(begins) + F.col(n_here)).cast("long")).select(*own, shard, slot)
 
 
-def _block_starts(dealt: DataFrame, shard: str) -> DataFrame:
+def _block_starts(dealt: DataFrame, shard: str, block: str, begins: str) -> DataFrame:
     """Where each block of each shard begins: one row for each, shards x blocks in all."""
-    sizes = dealt.groupBy(shard, "__block").count()
-    before = Window.partitionBy(shard).orderBy("__block").rowsBetween(Window.unboundedPreceding, -1)
-    return sizes.select(shard, "__block", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("__start"))
+    sizes = dealt.groupBy(shard, block).agg(F.count("*").alias(begins))
+    before = Window.partitionBy(shard).orderBy(block).rowsBetween(Window.unboundedPreceding, -1)
+    return sizes.select(shard, block, F.coalesce(F.sum(begins).over(before), F.lit(0)).alias(begins))
