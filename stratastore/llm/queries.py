@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from . import decontaminate, embed_dup, html, near_dup, pieces, pitman_yor, quality, sharding, token_files, toxicity
 from .shared import crc32_text, table
 
-#: Categories of the chain, in order, as columns made from the labels.
-CATEGORIES = ["low_quality", "toxic"]
+#: Categories of the chain, in order, as columns made from the labels: abuse in prose, abuse in junk, and either.
+CATEGORIES = ["toxic_prose", "toxic_junk", "toxic"]
 
 
 def tokenizer_path(name: str) -> str:
@@ -21,8 +21,9 @@ def tokenizer_path(name: str) -> str:
 
 
 def category_labels(labels: DataFrame) -> DataFrame:
-    """One 0/1 column for each category: text that is no prose, and abuse."""
-    return labels.select("doc_id", (F.col("quality") == 0).cast("int").alias("low_quality"), F.col("toxic").cast("int").alias("toxic"))
+    """One 0/1 column for each category of toxicity."""
+    toxic, good = F.col("toxic") == 1, F.col("quality") == 1
+    return labels.select("doc_id", (toxic & good).cast("int").alias("toxic_prose"), (toxic & ~good).cast("int").alias("toxic_junk"), F.col("toxic").cast("int").alias("toxic"))
 
 
 def op1_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -40,7 +41,7 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     chain = toxicity.fit_chain(docs, category_labels(table(spark, sf_dir, "labels")), CATEGORIES)
     out = toxicity.score_chain(docs, chain)
-    return out.select("doc_id", "p_low_quality", "p_toxic", F.col("is_toxic").alias("toxic"), (~F.col("is_toxic")).alias("kept"))
+    return out.select("doc_id", "p_toxic_prose", "p_toxic_junk", "p_toxic", F.col("is_toxic").alias("toxic"), (~F.col("is_toxic")).alias("kept"))
 
 
 def op4_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:

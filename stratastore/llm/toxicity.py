@@ -1,12 +1,13 @@
 """Toxicity by a classifier chain.
 
-Categories are predicted in order. Each has a linear model over binary word features and the logits
-of the categories before it; the later models are trained on out-of-fold logits of the earlier ones,
-so they meet the same kind of input at scoring time. Features are whole words and word beginnings of
+Categories are predicted in order. Each has a linear model over binary word features and the probabilities
+of the categories before it; the later models are trained on out-of-fold probabilities of the earlier
+ones, so they meet the same kind of input at scoring time. Features are whole words and word beginnings of
 ``PREFIXES`` letters, chosen by their association with each category over the training rows.
 
 Bound of the fit: ``max_train`` labelled rows, those with the smallest hash of their id; everything
-else is over all rows. Rows whose labels are null are not trained on. Null and empty texts have no
+else is over all rows. Rows whose labels are null are not trained on; of several labels of one id each
+category takes the greatest, and of several texts that of the least hash. Null and empty texts have no
 features and get the probabilities of the intercepts. Equal texts get equal probabilities.
 """
 
@@ -45,6 +46,10 @@ def features_of(text: str | None) -> set[str]:
     return {f"={w}" for w in words} | {f"^{w[:k]}" for w in words for k in PREFIXES if len(w) > k} | form
 
 
+def probability(logit: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(logit, -60, 60)))
+
+
 @dataclass
 class Linear:
     """Logistic regression: the weights, then the intercept."""
@@ -91,10 +96,11 @@ class Chain:
         return out
 
     def logits(self, x: np.ndarray) -> np.ndarray:
-        """One column a category."""
-        found = np.zeros((len(x), 0))
+        """One column a category; each model is fed the probabilities of those before it."""
+        found, fed = np.zeros((len(x), 0)), np.zeros((len(x), 0))
         for model, columns in zip(self.models, self.columns, strict=True):
-            found = np.hstack([found, model.logit(np.hstack([x[:, columns], found]))[:, None]])
+            own = model.logit(np.hstack([x[:, columns], fed]))[:, None]
+            found, fed = np.hstack([found, own]), np.hstack([fed, probability(own)])
         return found
 
     def ids_of(self, text: str | None) -> list[int]:
@@ -115,10 +121,11 @@ def association(df: np.ndarray, pos: np.ndarray, n: int, n_pos: int) -> np.ndarr
 def training_rows(docs: DataFrame, labels: DataFrame, categories: list[str], id_col: str, max_train: int) -> DataFrame:
     """At most max_train rows with id, text and labels: those of the smallest hashes."""
     known = labels.where(F.col(id_col).isNotNull() & F.greatest(*[F.col(c).isNull() for c in categories], F.lit(False)).eqNullSafe(False))
-    known = known.select(id_col, *categories).dropDuplicates([id_col]).orderBy(F.xxhash64(id_col), id_col).limit(max_train)
+    known = known.groupBy(id_col).agg(*[F.max(F.col(c).cast("int")).alias(c) for c in categories]).orderBy(F.xxhash64(id_col), id_col).limit(max_train)
     own = docs.select(id_col, "text").join(F.broadcast(known), id_col)
-    first = Window.partitionBy(id_col).orderBy(F.xxhash64("text"))
-    return own.withColumn("_n", F.row_number().over(first)).where("_n = 1").drop("_n")
+    first = Window.partitionBy(id_col).orderBy(F.xxhash64("text"), "text")
+    n = free_name(own, "_n")
+    return own.withColumn(n, F.row_number().over(first)).where(F.col(n) == 1).drop(n)
 
 
 def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col: str = "doc_id", max_train: int = MAX_TRAIN, max_features: int = MAX_FEATURES, min_df: int = 3) -> Chain:
@@ -165,7 +172,7 @@ def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col:
         rows.unpersist()
     chain = Chain(categories, vocabulary, [], chosen, [])
     x, fold = chain.dense(data.column("ids").to_pylist()), data.column("fold").to_numpy()
-    earlier = np.zeros((len(x), 0), dtype=np.float32)
+    earlier = np.zeros((len(x), 0))
     for k, c in enumerate(categories):
         y = data.column(c).to_numpy().astype(float)
         own = np.hstack([x[:, chosen[k]], earlier])
@@ -175,7 +182,7 @@ def fit_chain(docs: DataFrame, labels: DataFrame, categories: list[str], id_col:
                 out_of_fold[fold == f] = fit_linear(own[fold != f], y[fold != f]).logit(own[fold == f])
         chain.models.append(fit_linear(own, y) if len(x) else Linear(np.zeros(own.shape[1] + 1)))
         chain.cuts.append(best_cut(out_of_fold, y))
-        earlier = np.hstack([earlier, out_of_fold[:, None].astype(np.float32)])
+        earlier = np.hstack([earlier, probability(out_of_fold)[:, None]])
     return chain
 
 
@@ -204,7 +211,7 @@ def score_chain(docs: DataFrame, chain: Chain, text_col: str = "text") -> DataFr
                 for at in range(0, len(ids), 512):
                     logits = shared.value.logits(shared.value.dense(ids[at : at + 512]))
                     for k, cut in enumerate(shared.value.cuts):
-                        added[2 * k].append(1 / (1 + np.exp(-np.clip(logits[:, k], -60, 60))))
+                        added[2 * k].append(probability(logits[:, k]))
                         added[2 * k + 1].append(logits[:, k] > cut)
                 yield pa.RecordBatch.from_arrays([*part.columns, *[pa.array(np.concatenate(x)) for x in added]], names=[*part.schema.names, *names])
 

@@ -47,6 +47,51 @@ def test_chain_on_odd_rows(spark):
     assert toxicity.score_chain(docs, nobody).count() == 63
 
 
+def test_chain_against_the_definition(spark):
+    """Two categories: features by rank of association, out-of-fold probabilities of the first as input of the second."""
+    rng = np.random.default_rng(8)
+    docs, labels = [], []
+    for k in range(240):
+        one, two = int(rng.random() < 0.3), int(rng.random() < 0.3)
+        words = [f"w{x}" for x in rng.integers(0, 30, 6)] + ["vile"] * (one and rng.random() < 0.9) + ["brute"] * (two and rng.random() < 0.8)
+        docs.append((k, " ".join(words)))
+        labels.append((k, one, int(one or two)))
+    labels += [(5, 1, 1), (5, 0, 1)]  # of several labels the greatest
+    d, want = spark.createDataFrame(docs, "doc_id long, text string"), {}
+    chain = toxicity.fit_chain(d, spark.createDataFrame(labels, "doc_id long, first int, second int"), ["first", "second"], max_features=20)
+    y = {k: [0, 0] for k, _ in docs}
+    for k, a, b in labels:
+        y[k] = [max(y[k][0], a), max(y[k][1], b)]
+    feats = [toxicity.features_of(t) for _, t in docs]
+    ys = np.array([y[k] for k, _ in docs], float)
+    n, df = len(docs), Counter(f for x in feats for f in x)
+    fold = np.array([r.f for r in d.select("doc_id", F.pmod(F.xxhash64("text"), F.lit(toxicity.FOLDS)).alias("f")).orderBy("doc_id").collect()])
+    sigmoid = lambda z: 1 / (1 + np.exp(-z))
+    fed, models = np.zeros((n, 0)), []
+    for c in range(2):
+        def g2(f):
+            a = sum(ys[i, c] for i in range(n) if f in feats[i])
+            cells = [(a, df[f], ys[:, c].sum()), (df[f] - a, df[f], n - ys[:, c].sum()), (ys[:, c].sum() - a, n - df[f], ys[:, c].sum()), (n - df[f] - ys[:, c].sum() + a, n - df[f], n - ys[:, c].sum())]
+            return math.sqrt(max(0.0, 2 * sum(o * math.log(o * n / (r * q)) for o, r, q in cells if o > 0)))
+        best = sorted(((-g2(f), f) for f, k in df.items() if k >= 3))
+        chosen = [f for s, f in best if -s > 3.3][:10]
+        assert sorted(chosen) == sorted(f for f, i in chain.vocabulary.items() if i in chain.columns[c])
+        x = np.hstack([np.array([[f in t for f in chosen] for t in feats], float).reshape(n, -1), fed])
+        out = np.zeros(n)
+        for f in range(toxicity.FOLDS):
+            if (fold == f).any():
+                out[fold == f] = sigmoid(toxicity.fit_linear(x[fold != f], ys[fold != f, c]).logit(x[fold == f]))
+        models.append((chosen, toxicity.fit_linear(x, ys[:, c])))
+        fed = np.hstack([fed, out[:, None]])
+    for (k, t), f in zip(docs, feats):
+        p = []
+        for chosen, m in models:
+            p.append(float(sigmoid(m.logit(np.array([[*[g in f for g in chosen], *p]], float)))[0]))
+        want[k] = p
+    got = {r.doc_id: [r.p_first, r.p_second] for r in toxicity.score_chain(d, chain).collect()}
+    assert max(abs(a - b) for k in want for a, b in zip(want[k], got[k])) < 1e-5
+
+
 def test_linear_fit_is_the_optimum():
     rng = np.random.default_rng(0)
     x, y = rng.integers(0, 2, (700, 5)).astype(float), rng.integers(0, 2, 700).astype(float)
