@@ -5,10 +5,12 @@ from __future__ import annotations
 import hashlib
 import re
 import zlib
+from html import parser as html_parser
 
 import numpy as np
 import public_tokenizers as tokenizers_at
 import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
@@ -163,6 +165,14 @@ def test_shards_of_odd_rows(spark):
     assert sharding.shuffle_into_shards(odd.limit(0), 4).isEmpty()
 
 
+def test_shards_keep_columns_of_any_name(spark):
+    names = ("__part", "__r1", "__r2", "__place", "__block", "__cuts", "__start", "__n", "p", "c", "count", "slot")
+    rows = spark.range(50).withColumns({c: F.lit(k) for k, c in enumerate(names)})
+    out = sharding.shuffle_into_shards(rows, 4).collect()
+    assert all(tuple(r[c] for c in names) == tuple(range(len(names))) for r in out) and len({r.id for r in out}) == 50
+    assert sorted((r.shard, r._slot) for r in out) == [(s, k) for s, n in enumerate((13, 13, 12, 12)) for k in range(n)]
+
+
 def test_shuffle_is_uniform(spark):
     rows = spark.range(4000).select(F.col("id").alias("doc_id"))
     where = {r.doc_id: (r.shard, r.slot) for r in sharding.shuffle_into_shards(rows, 8, seed=3).collect()}
@@ -222,6 +232,74 @@ def test_main_text(page, want):
     assert html.main_text(page) == want
 
 
+@pytest.mark.parametrize(("page", "want"), [
+    ("<form id='aspnetForm'><article>text in a form<input name=x></article></form>", "text in a form"),
+    ("<article><p class='notice'>a note<p>Real text <b>here</b></article>", "Real text here"),
+    ("<article><section id='related-work'><h2>Related work</h2>Others did</section></article>", "Related work Others did"),
+    ("<article><h2 id='search-results'>Search results</h2>x</article>", "Search results x"),
+    ("<article class='comment-piece'>an opinion</article>", "an opinion"),
+    ("<article>a<form>no</form><ul><li class=share>s<li>item</ul><div class='ad-slot'>n</div><div class='article-content'>c</div><p class='related-posts'>n</article>", "a item c"),
+    ("<article><table><tr><td class=ad>z<td>k<tr><td>l</table><dl><dt>t<dd class='notice'>n<dd>d</dl></article>", "k l t d"),
+    ("<form><p>a page that is one form<input></form>", "a page that is one form"),
+])
+def test_markup_as_it_is_found(page, want):
+    assert html.main_text(page) == want
+
+
+class Reader(html_parser.HTMLParser):
+    """The same rules a second time: a parser of the standard library, on pages whose elements are all closed or void."""
+
+    BREAKS = set("p h1 h2 h3 h4 br div section ul ol li article blockquote pre table tr td hr".split())
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.open, self.blocks, self.run = [], [], []
+
+    def cut(self):
+        if text := " ".join("".join(self.run).split()):
+            self.blocks.append(text)
+        self.run = []
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.BREAKS:
+            self.cut()
+        if tag in ("br", "hr", "img", "meta", "link", "input"):
+            return
+        named = " ".join(v or "" for k, v in attrs if k in ("class", "id")).split()
+        self.open.append((tag, tag in ("nav", "aside", "footer", "form", "script", "style", "button") or any(x in ("ad", "comments", "cookie", "sidebar", "share") for x in named)))
+
+    def handle_endtag(self, tag):
+        if tag in self.BREAKS:
+            self.cut()
+        for k in range(len(self.open) - 1, -1, -1):
+            if self.open[k][0] == tag:
+                del self.open[k:]
+                break
+
+    def handle_data(self, data):
+        if any(t == "article" for t, _ in self.open) and not any(out for _, out in self.open):
+            self.run.append(data)
+
+
+def test_pages_against_another_parser():
+    for f in ("sf0.01", "sf0.1"):
+        pages = pq.read_table(f"/root/testdata/{f}/pages.parquet", columns=["html"]).column(0).to_pylist()
+        for page in pages:
+            reader = Reader()
+            reader.feed(page)
+            reader.close()
+            reader.cut()
+            assert html.main_text(page) == " ".join(reader.blocks)
+
+
+def test_clashing_names_of_pages(spark):
+    rows = [(k, f"http://h/{k}", f"<p>one two three four five six seven</p><p>own{k}</p>") for k in range(4)]
+    odd = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({c: F.lit(c) for c in ("text", "host", "row", "body", "size", "starts", "r", "h", "i", "run")})
+    for limit in (10**6, 3):
+        got = {r.page_id: r._text for r in html.extract(odd, max_tokens=limit).collect()}
+        assert got == {k: f"own{k}" for k in range(4)}
+
+
 def test_hosts_lose_what_their_pages_share(spark):
     shared = "read more of our fine news every single day here"
     pages = [(k, f"http://a.org/{k}", f"<div>{shared}</div><p>page{k} " + " ".join(f"u{k}x{j}" for j in range(9)) + "</p>") for k in range(5)]
