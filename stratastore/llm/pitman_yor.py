@@ -48,11 +48,11 @@ ROOT_STRENGTH, ROOT_DISCOUNT = 1.0, 0.5
 #: Values that the contexts' discount and strength can take, all alike beforehand, and how many are tried at once.
 DISCOUNTS = [k / 100 for k in range(30, 96)]
 STRENGTHS = [2.0 ** (k / 2) for k in range(-10, 21)]
-TRIALS = 9
+TRIALS = 5
 HELD_OUT_OF, HELD_OUT_IS = 7, 2
 BEGIN, END = K.U64(0x1D8AF066F7A3C0E1), K.U64(0x6A09E667F3BCC909)
 #: Counts up to this one have their Stirling numbers from a table; beyond, each is computed on its own.
-EXACT = 400
+EXACT = 600
 
 _CODEC = pa.Codec("zstd", compression_level=1)
 
@@ -336,10 +336,16 @@ def _lgamma(x: np.ndarray | float) -> np.ndarray:
     low = x < 10
     y = np.where(low, x + 10, x)
     series = (y - 0.5) * np.log(y) - y + 0.5 * np.log(2 * np.pi) + (1 / 12 - (1 / 360 - (1 / 1260 - 1 / 1680 / y**2) / y**2) / y**2) / y
-    return series - np.where(low, sum(np.log(np.where(low, x + k, 1.0)) for k in range(10)), 0.0)
+    if not low.any():
+        return series
+    z = np.where(low, x, 1.0)
+    steps_up = z.copy()
+    for k in range(1, 10):
+        steps_up = steps_up * (z + k)
+    return series - np.where(low, np.log(steps_up), 0.0)
 
 
-@lru_cache(maxsize=16)
+@lru_cache(maxsize=12)
 def _stirling(discount: float) -> np.ndarray:
     """log of generalised Stirling numbers S(c, t) for c, t up to EXACT, by their recurrence."""
     out = np.full((EXACT + 1, EXACT + 1), -np.inf)
@@ -368,7 +374,7 @@ def _tilt(count: float, discount: float, weight: float | None = None, tables: fl
 
 
 def log_coefficients(count: int, t: np.ndarray, discount: float, s: float) -> np.ndarray:
-    """log of S(count, t) * t! * discount^t / count! for ascending t: the coefficient of z^count in (1 - (1 - z)^discount)^t.
+    """log of S(count, t) * t! * discount^t / count! for consecutive t: the coefficient of z^count in (1 - (1 - z)^discount)^t.
 
     A sum over a circle of radius 1 - s, as many of its points as matter; where tables are few against
     count^discount the coefficients' alternating series, which then converges fast. Either is right to
@@ -376,18 +382,23 @@ def log_coefficients(count: int, t: np.ndarray, discount: float, s: float) -> np
     """
     t = np.asarray(t, np.float64)
     y = t[-1] * float(count) ** -discount
-    if y <= 0 or np.log(1 - discount) + (discount * np.log(discount) + np.log(y)) / (1 - discount) < np.log(6.0):
+    if y <= 0 or np.log(1 - discount) + (discount * np.log(discount) + np.log(y)) / (1 - discount) < np.log(10.0):
         k = np.arange(1, int(min(t[-1], 1200, count)) + 1, dtype=np.float64)
         a = k * discount
         # log of gamma(count - a) / gamma(count) without the loss of a difference of large numbers
         x = count - a
         ratio = np.where(x > 30, (x - 0.5) * np.log1p(-a / count) - a * np.log(count) + a + (1 / x - 1 / count) / 12 - (1 / x**3 - 1 / float(count) ** 3) / 360, _lgamma(np.maximum(x, 1e-9)) - _lgamma(count))
+        fixed = ratio + _lgamma(1 + a)
+        # terms that matter for the most tables, which has the most of them
+        most = fixed + np.cumsum(np.log(np.maximum(t[-1] - k + 1, 1e-300)) - np.log(k))
+        n = int(np.flatnonzero(most > most.max() - 70)[-1]) + 1
+        k, a, fixed = k[:n], a[:n], fixed[:n]
         sine = np.sin(np.pi * np.mod(a, 2.0)) * np.where(k % 2 == 1, 1.0, -1.0) / np.pi
         out = np.empty(len(t))
         for at in range(0, len(t), 4096):
             own = t[at : at + 4096, None]
-            choose = np.cumsum(np.log(np.maximum(own - k + 1, 0.0) + (own < k) * 1e-300) - np.log(k), axis=1)
-            term = np.where(own >= k, choose + ratio + _lgamma(1 + a), -np.inf)
+            choose = np.cumsum(np.log(np.maximum(own - k + 1, 1e-300)) - np.log(k), axis=1)
+            term = np.where(own >= k, choose + fixed, -np.inf)
             top = term.max(axis=1, keepdims=True)
             total = (np.exp(term - top) * sine).sum(axis=1)
             out[at : at + 4096] = np.where(total > 0, top[:, 0] + np.log(np.maximum(total, 1e-300)), -np.inf)
@@ -413,8 +424,9 @@ def log_coefficients(count: int, t: np.ndarray, discount: float, s: float) -> np
     out = np.empty(len(t))
     for at in range(0, len(t), max(1, (1 << 21) // max(len(k), 1))):
         own = t[at : at + max(1, (1 << 21) // max(len(k), 1))]
-        z = np.exp(own[:, None] * logs - 1j * turn)
-        total = 1 + 2 * z.real.sum(axis=1)
+        z = np.empty((len(own), len(k)), np.complex128)
+        z[0], z[1:] = np.exp(own[0] * logs - 1j * turn), np.exp(logs)
+        total = 1 + 2 * np.multiply.accumulate(z, axis=0, out=z).real.sum(axis=1)
         if points % 2 == 0 and len(k) == (points - 1) // 2:
             total += (np.exp(own * log_ratio(np.array([points / 2.0]))) * (1 if count % 2 == 0 else -1)).real
         out[at : at + len(own)] = np.where(total > 0, np.log(np.maximum(total, 1e-300) / points), -np.inf)
