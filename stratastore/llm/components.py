@@ -6,14 +6,14 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import written
+from .shared import forget, n_shuffle, written
 
 #: Rounds double the reach of a label; this many reach across any graph that fits the ids.
 MAX_ROUNDS = 64
 #: Members of a group that are compared in one go; larger groups are cut into tiles of about this many.
 TILE = 768
 #: Members of small groups that share a task, about.
-BIN = 1_500
+BIN = 400
 
 
 def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -42,9 +42,12 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
         # where following was cut short, a label is tied to the one it is to become
         short = parent.select("p").distinct().join(parent.select(F.col("v").alias("p"), F.col("p").alias("b")), "p").where("p <> b").select(F.col("p").alias("a"), "b")
         drawn = drawn.select("a", "b").union(short)
-        edges = written(drawn.select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("w")).where("v <> w").distinct(), "links")
+        before, edges = edges, written(drawn.select(F.greatest("a", "b").alias("v"), F.least("a", "b").alias("w")).where("v <> w").distinct(), "links")
+        forget(before)
         if edges.isEmpty():
             break
+    else:
+        raise RuntimeError(f"components are not settled after {MAX_ROUNDS} rounds")
     return labels.select("node", F.col("l").alias("component"))
 
 
@@ -70,9 +73,10 @@ def tiled(members: DataFrame, group: str, node: str) -> DataFrame:
 
 
 def binned(rows: DataFrame, n_small: int) -> DataFrame:
-    """Small groups share as many bins as their members need; pairs of tiles have one each."""
+    """Small groups share as many bins as their members need, pairs of tiles have one each; dealt to as many partitions, which are not merged by their bytes."""
     count = max(1, n_small // BIN)
-    return rows.withColumn("bin", F.when(F.col("bin") % 2 == 0, F.pmod(F.col("bin") / 2, F.lit(count)).cast("long")).otherwise(F.col("bin") + (1 << 41)))
+    dealt = rows.withColumn("bin", F.when(F.col("bin") % 2 == 0, F.pmod(F.col("bin") / 2, F.lit(count)).cast("long")).otherwise(F.col("bin") + (1 << 41)))
+    return dealt.repartition(max(n_shuffle(rows.sparkSession), count), "bin")
 
 
 def local_components(adjacent: np.ndarray) -> np.ndarray:

@@ -4,8 +4,9 @@ A document's set holds the hashes of its runs of five words (digits, letters and
 A-Z in lower case); a text of one to four words is one run. Documents of equal sets are one node, so
 copies are never compared. Bands and rows are chosen for the target recall at the threshold. Band hashes
 are shuffled; each bucket ties its nodes to its least one, and the components of these ties are candidate
-groups, so no pair is ever listed. Within a group all pairs are verified on the full sets, tile by tile;
-what leaves a tile is each node's number of links and one link into its local component.
+groups, so no pair is ever listed; large groups are banded again with more rows. Within a group all pairs
+are verified on the full sets, tile by tile; what leaves a tile is each node's number of links and one link
+into its local component. A set is named by two 64-bit digests and its size.
 
 Texts without words (null and empty ones too) have no set and link with nothing. Rows of one id with
 different texts are different rows. Rows without an id are compared and counted, and their class has the
@@ -26,6 +27,10 @@ from .components import binned, connected_components, local_components, name_com
 from .shared import written
 
 SHINGLE, THRESHOLD, RECALL, MAX_HASHES = 5, 0.8, 0.9995, 120
+#: What names a set: two digests and its size.
+SET = ["d1", "d2", "n"]
+#: Candidate groups of more nodes are grouped anew with so many rows a band.
+LARGE, STRICT_ROWS = 3_000, 12
 
 
 def choose_bands(threshold: float = THRESHOLD, recall: float = RECALL, max_hashes: int = MAX_HASHES) -> tuple[int, int]:
@@ -76,6 +81,13 @@ def band_hashes(hashes: np.ndarray, offsets: np.ndarray, bands: int, rows: int,
     return out
 
 
+def set_digests(hashes: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Two 64-bit digests of each set, which with its size name it."""
+    sums = [np.concatenate((np.zeros(1, K.U64), np.cumsum(K.mix(hashes + K.U64(s))))) for s in (1, 2)]
+    first, second = ((s[offsets[1:]] - s[offsets[:-1]]).view(np.int64) for s in sums)
+    return first, second
+
+
 def _signatures(docs: DataFrame, id_col: str, text_col: str, bands: int, rows: int) -> DataFrame:
     """(id, th, n, d1, d2, bands): hash of each document's text, size and digests of each document's set, and its band hashes."""
     kept = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"), F.xxhash64(text_col).alias("th"))
@@ -85,8 +97,7 @@ def _signatures(docs: DataFrame, id_col: str, text_col: str, bands: int, rows: i
             for part in K.slices(batch, "text"):
                 hashes, offsets = shingle_sets(part.column("text"))
                 n = np.diff(offsets)
-                sums = [np.concatenate((np.zeros(1, K.U64), np.cumsum(K.mix(hashes + K.U64(s))))) for s in (1, 2)]
-                d1, d2 = ((s[offsets[1:]] - s[offsets[:-1]]).view(np.int64) for s in sums)
+                d1, d2 = set_digests(hashes, offsets)
                 sig = band_hashes(hashes, offsets, bands, rows).view(np.int64)
                 sig = pa.ListArray.from_arrays(pa.array(np.arange(len(n) + 1) * bands, pa.int32()), pa.array(sig.ravel()))
                 yield pa.RecordBatch.from_arrays([part.column("id"), part.column("th"), pa.array(n, pa.int64()), pa.array(d1), pa.array(d2), sig], names=["id", "th", "n", "d1", "d2", "bands"])
@@ -164,52 +175,76 @@ def _classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", th
     """One row per document: id, class_id, n_links, node, th (hash of its text), grp (of its class, also where ids are null; null without words)."""
     bands, rows = choose_bands(threshold, recall)
     exact = Fraction(threshold).limit_denominator(10_000)
-    signed = _signatures(docs, id_col, text_col, bands, rows)
-
-    node = F.xxhash64("d1", "d2", "n")
-    signed = written(signed.withColumn("node", F.when(F.col("n") > 0, node)), "signatures")
-    nodes = written(signed.where("n > 0").groupBy("node").agg(F.count("*").alias("mult"), F.min("id").alias("least_id"), F.first("bands").alias("bands")), "nodes")
-    keyed = nodes.select("node", F.posexplode("bands").alias("band", "h"))
-    hubs = keyed.groupBy("band", "h").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1").select("band", "h", "hub")
-    ties = keyed.join(hubs, ["band", "h"]).where("node <> hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
-    groups = written(connected_components(ties).withColumnRenamed("component", "grp"), "groups")
+    signed = written(_signatures(docs, id_col, text_col, bands, rows), "signatures")
+    nodes = signed.where("n > 0").groupBy(*SET).agg(F.count("*").alias("mult"), F.min("id").alias("least_id"), F.first("bands").alias("bands"))
+    # numbered once, by being written
+    nodes = written(nodes.withColumn("node", F.monotonically_increasing_id()), "nodes")
+    groups = written(_tied(nodes.select("node", "bands")), "groups")
     # one document of each candidate node gives its set; the texts of the others stay where they are
-    wanted = groups.join(nodes.select("node", "mult"), "node")
-    sets = _sets_of(docs, signed, groups, id_col, text_col)
-    members = wanted.join(sets, "node")
-    small = groups.count()
-    tiles = binned(tiled(members, "grp", "node"), small)
+    wanted = groups.join(nodes.select("node", "mult", "least_id", *SET), "node")
+    members = written(wanted.select("node", "grp", "mult").join(_sets_of(docs, wanted, id_col, text_col), "node"), "members")
+    members = _regrouped(members, threshold, recall)
+    tiles = binned(tiled(members, "grp", "node"), members.count())
     links = written(tiles.groupBy("bin").applyInArrow(lambda t: group_links(t, exact), "node bigint, peer bigint, links bigint"), "verified")
     classes = connected_components(links.select(F.col("node").alias("a"), F.col("peer").alias("b")))
     per_node = links.groupBy("node").agg(F.sum("links").alias("links"))
-    per = nodes.select("node", "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
-    per = per.select("node", F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"), F.coalesce("component", "node").alias("grp"))
+    per = nodes.select("node", *SET, "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
+    per = per.select("node", *SET, F.when(F.col("linked"), F.col("least")).otherwise(F.col("least_id")).alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("mult") - 1).alias("n_links"), F.coalesce("component", "node").alias("grp"))
     # written, so that the join with the documents can be split where one text has very many copies
-    out = signed.select("id", "node", "th").join(written(per, "classes"), "node", "left")
+    out = signed.select("id", "th", *SET).join(written(per, "classes"), SET, "left")
     return out.select("id", F.when(F.col("node").isNull(), F.col("id")).otherwise(F.col("class_id")).alias("class_id"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), "node", "th", "grp")
 
 
-def _sets_of(docs: DataFrame, signed: DataFrame, groups: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(node, set) of the nodes in groups. A node's text is found by the least hash among its documents' texts."""
+def _tied(banded: DataFrame) -> DataFrame:
+    """(node, grp) of the nodes that share a bucket with another: the components of the buckets' ties. banded: node, bands."""
+    keyed = banded.select("node", F.posexplode("bands").alias("band", "h"))
+    hubs = keyed.groupBy("band", "h").agg(F.min("node").alias("hub"), F.count("*").alias("n")).where("n > 1").select("band", "h", "hub")
+    ties = keyed.join(hubs, ["band", "h"]).where("node <> hub").select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
+    return connected_components(ties).withColumnRenamed("component", "grp")
+
+
+def _regrouped(members: DataFrame, threshold: float, recall: float) -> DataFrame:
+    """The members with groups of more than ``LARGE`` nodes grouped anew by more rows a band, at the same recall.
+
+    Passages that many documents share chain unlike documents into one group; more rows part them, so what
+    is compared in tiles is near copies. Groups that stay large are compared whole, tile by tile.
+    """
+    large = written(members.groupBy("grp").agg(F.count("*").alias("size")).where(F.col("size") > LARGE).select("grp"), "large")
+    if large.isEmpty():
+        return members
+    bands = next(b for b in range(1, 10**6) if 1 - (1 - threshold**STRICT_ROWS) ** b >= recall)
+
+    def strict(batches):
+        for batch in batches:
+            for part in K.slices(batch, "set", 1 << 20):
+                data, at = K.buffers(part.column("set"))
+                sig = band_hashes(data.view(K.U64), at // 8, bands, STRICT_ROWS, seed=6).view(np.int64)
+                sig = pa.ListArray.from_arrays(pa.array(np.arange(part.num_rows + 1) * bands, pa.int32()), pa.array(sig.ravel()))
+                yield pa.RecordBatch.from_arrays([part.column("node"), sig], names=["node", "bands"])
+
+    again = members.join(large, "grp", "left_semi").select("node", "set").mapInArrow(strict, "node bigint, bands array<bigint>")
+    groups = written(_tied(written(again, "strict")), "groups")
+    parted = members.join(large, "grp", "left_semi").drop("grp").join(groups, "node")
+    return members.join(large, "grp", "left_anti").unionByName(parted)
+
+
+def _sets_of(docs: DataFrame, wanted: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(node, set) of the wanted nodes, each from the rows of its least id; of rows without an id all are read."""
     kept = docs.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
     # ids are not unique in general: several rows may come along, and each node's rows give equal sets
-    one = signed.join(groups.select("node"), "node", "left_semi").groupBy("node").agg(F.min("id").alias("id"))
-    texts = kept.join(one.where("id IS NOT NULL").select("id").distinct(), "id", "left_semi")
+    texts = kept.join(wanted.where("least_id IS NOT NULL").select(F.col("least_id").alias("id")).distinct(), "id", "left_semi")
     without = kept.where("id IS NULL")
 
     def run(batches):
         for batch in batches:
             for part in K.slices(batch, "text"):
                 hashes, offsets = shingle_sets(part.column("text"))
-                n = np.diff(offsets)
-                sums = [np.concatenate((np.zeros(1, K.U64), np.cumsum(K.mix(hashes + K.U64(s))))) for s in (1, 2)]
-                d1, d2 = ((s[offsets[1:]] - s[offsets[:-1]]).view(np.int64) for s in sums)
+                d1, d2 = set_digests(hashes, offsets)
                 raw = [hashes[a:b].tobytes() for a, b in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(n, pa.int64()), pa.array(d1), pa.array(d2), pa.array(raw, pa.binary())], names=["n", "d1", "d2", "set"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.diff(offsets), pa.int64()), pa.array(d1), pa.array(d2), pa.array(raw, pa.binary())], names=["n", "d1", "d2", "set"])
 
     rows = texts.unionByName(without).mapInArrow(run, "n bigint, d1 bigint, d2 bigint, set binary")
-    rows = rows.select(F.when(F.col("n") > 0, F.xxhash64("d1", "d2", "n")).alias("node"), "set").join(groups.select("node"), "node", "left_semi")
-    return rows.groupBy("node").agg(F.first("set").alias("set"))
+    return rows.join(wanted.select("node", *SET), SET).groupBy("node").agg(F.first("set").alias("set"))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options: float) -> DataFrame:
