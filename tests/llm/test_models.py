@@ -385,8 +385,9 @@ def test_classes_against_brute_force(spark, monkeypatch):
         texts.append(" ".join(w))
     ids = [*range(100, 100 + len(texts) - 1), None]
     docs = spark.createDataFrame(list(zip(ids, texts)), "doc_id long, text string")
-    for tile in (768, 16):  # small tiles: a group's pairs are dealt to several tasks
+    for tile, large in ((768, 3_000), (16, 3_000), (16, 10)):  # small tiles: a group's pairs are dealt to several tasks; small groups are banded again
         monkeypatch.setattr("stratastore.llm.components.TILE", tile)
+        monkeypatch.setattr(near_dup, "LARGE", large)
         got = [(r.doc_id, r.class_id, r.n_links) for r in near_dup.similarity_classes(docs).collect()]
         assert sorted(got, key=repr) == sorted(brute_classes(ids, texts), key=repr)
     kept = near_dup.keep_one(docs).count()
@@ -444,10 +445,41 @@ def test_vectors_against_brute_force(spark, monkeypatch):
     assert embed_dup.near_duplicates(df.limit(0)).isEmpty()
 
 
-def test_audit(spark):
-    e = spark.read.parquet(f"{SMALL}/embeddings.parquet")
-    r = embed_dup.audit_recall(e, op9_embedding_near_dedup(spark, SMALL), every=5).first()
-    assert r.links is None or r.recall >= 0.9
+def test_audit(spark, monkeypatch):
+    rng = np.random.default_rng(11)
+    centres = rng.standard_normal((12, 16))
+    rows = [(k, (centres[k % 12] + rng.standard_normal(16) * 0.06).tolist(), k % 2) for k in range(240)] + [(500, None, 1)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int")
+    found = embed_dup.near_duplicates(df)
+    for block in (4_096, 7):
+        monkeypatch.setattr(embed_dup, "BLOCK", block)
+        r = embed_dup.audit_recall(df, found, every=3).first()
+        want = sum(n for i, n, *_ in brute_vectors(rows) if i is not None and i % 3 == 0)
+        assert (r.links, r.links_found, r.recall) == (want, want, 1.0) and want > 50
+    half = found.withColumn("n_links", F.floor(F.col("n_links") / 2))
+    assert embed_dup.audit_recall(df, half, every=3).first().recall < 0.6
+    assert embed_dup.audit_recall(df.limit(0), found, every=3).first().links == 0
+
+
+def test_a_short_search_is_noticed_and_goes_on(spark, monkeypatch):
+    """A graph that starts from one table and gets no rounds misses links; the query's own audit sees it and searches on."""
+    rng = np.random.default_rng(12)
+    base = rng.standard_normal((150, 32))
+    x = np.concatenate((base, base + 0.1 * rng.standard_normal(base.shape)))
+    rows = [(k, v.tolist(), 1) for k, v in enumerate(x)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    asked, plain = [], embed_dup.neighbour_graph
+    monkeypatch.setattr(embed_dup, "CELL", 1)
+    monkeypatch.setattr(embed_dup, "tables_for", lambda used, threshold, least: least)
+
+    def poor(*a, **k):
+        asked.append(k["tables"])
+        return plain(*a, **k | ({"tables": 1, "rounds": 0} if len(asked) == 1 else {}))
+
+    monkeypatch.setattr(embed_dup, "neighbour_graph", poor)
+    got = sum(r.n_links for r in embed_dup.near_duplicates(df).collect())
+    want = sum(r[1] for r in brute_vectors(rows))
+    assert len(asked) > 1 and want >= 250 and 0.99 * want <= got <= want
 
 
 # ---- pipeline -----------------------------------------------------------------------------------
