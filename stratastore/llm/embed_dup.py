@@ -119,7 +119,7 @@ def _first_graph(nodes: DataFrame, tables: int, seed: int, threshold: float, kin
 def _meet(rows: DataFrame, best: int, threshold: float, kind: str, size: int) -> DataFrame:
     """(v, u, s, tie) for the members m of each meeting (cell): pairs with a fresh one whose cosine beats the worst of v's list; the best of each v; and as ties each member with the least of its links' component there.
 
-    size: bytes of vectors in all meetings, about; they are dealt to groups of ``MEETING_BYTES``, each of which has a partition.
+    size: bytes of vectors in all meetings, about; they are dealt to groups of ``MEETING_BYTES``, and to as many partitions up to those the session shuffles to.
     """
 
     def run(table: pa.Table) -> pa.Table:
@@ -155,7 +155,7 @@ def _meet(rows: DataFrame, best: int, threshold: float, kind: str, size: int) ->
         return pa.table({"v": join(out[0], np.int64), "u": join(out[1], np.int64), "s": join(out[2], np.float64), "tie": join(out[3], bool)})
 
     count = max(1, size // MEETING_BYTES)
-    dealt = rows.withColumn("bin", F.pmod(F.xxhash64("cell", F.lit(3)), F.lit(count))).repartition(max(n_shuffle(rows.sparkSession), count), "bin")
+    dealt = rows.withColumn("bin", F.pmod(F.xxhash64("cell", F.lit(3)), F.lit(count))).repartition(min(n_shuffle(rows.sparkSession), count), "bin")
     return dealt.groupBy("bin").applyInArrow(run, "v bigint, u bigint, s double, tie boolean")
 
 
