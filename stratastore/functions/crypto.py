@@ -1,13 +1,20 @@
 """Digests, tags and deterministic authenticated encryption as column expressions, and the compositions they are compared with.
 
-The tag of a value is HMAC-SHA-256, spelled with two sha2 calls. Sealing is in the manner of synthetic
-initial values: the tag names the pair and keys the cipher, so equal values give equal pairs and nothing is
-added to the value's length. The cipher is the counter keystream of the GCM mode: its header and its own
-tag are cut off, as our tag authenticates the value.
+The tag of a value is HMAC-SHA-256. Sealing is in the manner of synthetic initial values: the tag names the
+pair and keys the cipher, so equal values give equal pairs and nothing is added to the value's length. The
+cipher is the counter keystream of the GCM mode: its header and its own tag are cut off, as our tag
+authenticates the value.
+
+Secret keys stand in no expression, so plans, event logs and user interfaces do not show them: what is
+keyed is an Arrow function that holds the key in its closure. The cipher runs in the JVM under a key that
+such a function derives from the tag.
 """
 
 from __future__ import annotations
 
+import hmac
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -26,8 +33,13 @@ def digest_expr(v: Column) -> Column:
 
 
 def hmac_expr(v: Column, key: bytes) -> Column:
-    inner, outer = pads(key)
-    return digest_expr(F.concat(F.lit(outer), digest_expr(F.concat(F.lit(inner), v))))
+    """HMAC-SHA-256 of a value; null for null."""
+
+    @F.arrow_udf("binary")
+    def keyed(v: pa.Array) -> pa.Array:
+        return pa.array([None if x is None else hmac.digest(key, x, "sha256") for x in v.to_pylist()], pa.binary())
+
+    return keyed(v)
 
 
 def mac_expr(v: Column, p: StoreParams) -> Column:
@@ -76,7 +88,7 @@ def compose(values: DataFrame, mode: str, p: StoreParams) -> DataFrame:
     randomised ciphertext is the key; mac_then_encrypt: the tag is encrypted along, at random; encrypt_and_mac:
     the tag of the plain value is the key of a randomised ciphertext; whole_deterministic: sealed like ours.
     """
-    v, key = F.col("value"), F.lit(p.cipher_key)
+    v, key = F.col("value"), hmac_expr(F.lit(b"composition"), p.cipher_key)
     random = F.aes_encrypt(v, key, F.lit("GCM"))
     if mode == "aead_random":
         return values.select(digest_expr(v).alias("key"), random.alias("value"))

@@ -40,7 +40,7 @@ def _tables(ring: str, size: int) -> tuple[np.ndarray, np.ndarray]:
 
 
 class Prefix:
-    """Hashes of all windows of a content."""
+    """Hashes of all windows of a content; what several chunk sizes ask for is made once."""
 
     def __init__(self, body: bytes, ring: str):
         data = np.frombuffer(body, np.uint8)
@@ -51,12 +51,27 @@ class Prefix:
         self.sums = np.zeros(self.n + 1, dtype=kind)
         step = (data.astype(kind) + kind(1)) * inv[: self.n]
         np.cumsum(step if ring == "wrap64" else step % M31, out=self.sums[1:])
+        self._full: dict[int, tuple[int, np.ndarray, np.ndarray]] = {}
 
     def hashes(self, ends: np.ndarray, starts: np.ndarray) -> np.ndarray:
         """Hash of bytes starts..ends, both inclusive."""
         d = self.sums[ends + 1] - self.sums[starts]
         return d * self.pow[ends] if self.ring == "wrap64" else d % M31 * self.pow[ends] % M31
 
+    def full_below(self, window: int, limit: int) -> tuple[np.ndarray, np.ndarray]:
+        """(places, hashes) of the whole windows with a hash below ``limit``; asked for in any order, made for the greatest so far."""
+        if self.n < window:
+            return np.zeros(0, np.int64), self.sums[:0]
+        have = self._full.get(window)
+        if have is None or have[0] < limit:
+            hashes = self.all_full(window)
+            at = np.flatnonzero(hashes < self.sums.dtype.type(limit))
+            have = self._full[window] = (limit, at + window - 1, hashes[at])
+        if have[0] == limit:
+            return have[1], have[2]
+        own = have[2] < self.sums.dtype.type(limit)
+        return have[1][own], have[2][own]
+
     def all_full(self, window: int) -> np.ndarray:
         """Hash of the window that ends at each byte, from the first full one on."""
         d = self.sums[window:] - self.sums[:-window]
@@ -104,16 +119,12 @@ def _limited(cuts: np.ndarray, starts: np.ndarray, n: int, low: int, high: int)
     return np.array(out, dtype=np.int64)
 
 
-def levels_cdc(body: bytes, h: int, p: StoreParams) -> list[np.ndarray]:
+def levels_cdc(body: bytes, h: int, p: StoreParams, prefix: Prefix | None = None) -> list[np.ndarray]:
     """Node starts by level, 0 (leaves) to h (root), of a content-defined tree of height h."""
     starts = [np.zeros(1, np.int64)]
     if h and body:
-        prefix = Prefix(body, p.ring)
-        below = np.zeros(0, np.int64)
-        if prefix.n >= p.window:
-            hashes = prefix.all_full(p.window)
-            below = np.flatnonzero(hashes < prefix.sums.dtype.type(threshold(p, 0))) + p.window - 1
-            hashes = hashes[below - p.window + 1]
+        prefix = prefix or Prefix(body, p.ring)
+        below, hashes = prefix.full_below(p.window, threshold(p, 0))
         for level in range(h - 1, -1, -1):
             full = below[hashes < prefix.sums.dtype.type(threshold(p, level))] if len(below) else below
             cuts = _candidates(prefix, p, level, full, starts[-1])
@@ -141,10 +152,10 @@ def levels_fixed(n: int, h: int, p: StoreParams) -> list[np.ndarray]:
     return starts[::-1]
 
 
-def levels(body: bytes, p: StoreParams, h: int | None = None) -> list[np.ndarray]:
-    """Node starts by level of a content under the scheme."""
+def levels(body: bytes, p: StoreParams, h: int | None = None, prefix: Prefix | None = None) -> list[np.ndarray]:
+    """Node starts by level of a content under the scheme. prefix: that of the body, where several schemes share it."""
     h = p.height(len(body)) if h is None else h
-    return levels_fixed(len(body), h, p) if p.scheme.startswith(("fixed", "whole")) else levels_cdc(body, h, p)
+    return levels_fixed(len(body), h, p) if p.scheme.startswith(("fixed", "whole")) else levels_cdc(body, h, p, prefix)
 
 
 def single_level(body: bytes, p: StoreParams, level: int) -> list[tuple[int, int]]:

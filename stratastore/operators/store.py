@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import warnings
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import crypto
-from ..params import StoreParams
+from ..params import TEST_KEY, StoreParams
 from ..plans.lineage import cut
 from ..sources.contents import overwrite
 from . import kvs as kv
@@ -29,11 +30,20 @@ def pairs_of(nodes: DataFrame, p: StoreParams) -> DataFrame:
 
 
 def insert_contents(contents: DataFrame, kvs: DataFrame, p: StoreParams) -> tuple[DataFrame, DataFrame]:
-    """(roots, pairs that were not stored). Keys and sizes decide what is new; values follow only for what is."""
-    nodes = tree.build(contents, p, with_values=True)
-    new = kv.absent(kvs, nodes.select("key", "value"))
-    sealed = new.select("key", crypto.seal_expr(F.col("value"), F.col("key"), p).alias("value"), "bucket")
-    return roots_of(nodes), sealed
+    """(roots, pairs that were not stored).
+
+    Keys and sizes decide what is new, 40 bytes a node; only then are values made, where the contents lie, and
+    only those of new keys go on. While the new keys are few, as in a backup of what is mostly stored, Spark's
+    own size check broadcasts them and no old value is moved at all.
+    """
+    if p.protect != "hash" and p.key == TEST_KEY:
+        warnings.warn("the store's key is the public test key; init_store draws a secret one", stacklevel=2)
+    dealt = tree.spread(contents)
+    new = cut(new_keys(dealt, kvs, p).select("key"))
+    nodes = tree.build(dealt, p, with_values=True)
+    fresh = nodes.select("key", "value").join(new, "key", "left_semi").dropDuplicates(["key"])
+    sealed = fresh.select("key", crypto.seal_expr(F.col("value"), F.col("key"), p).alias("value"), kv.bucket_expr(F.col("key")).alias("bucket"))
+    return roots_of(tree.build(dealt, p)), sealed
 
 
 def new_keys(contents: DataFrame, kvs: DataFrame, p: StoreParams) -> DataFrame:
@@ -52,13 +62,17 @@ def fetch_nodes(roots: DataFrame, kvs: DataFrame, p: StoreParams, tallest: int |
         tallest = roots.agg(F.max("height")).first()[0] or 0
     front = roots.select("content_id", F.array().cast("array<int>").alias("path"), F.col("height").alias("level"), "key")
     seen = []
-    for _ in range(tallest + 1):
-        got = kv.get(kvs, front).withColumn("value", crypto.opened_expr(F.col("value"), F.col("key"), p))
-        got = got.select("content_id", "path", "level", "key", "value", F.col("value").isNotNull().alias("ok"))
+    for turn in range(tallest + 1):
+        # each distinct key is asked for, opened and verified once, however many places it has
+        asked = kv.get(kvs, front.select("key").distinct()).withColumn("value", crypto.opened_expr(F.col("value"), F.col("key"), p))
+        got = front.join(asked, "key", "left").select("content_id", "path", "level", "key", "value", F.col("value").isNotNull().alias("ok"))
         seen.append(got)
+        if turn == tallest:
+            break
         inner = got.where("ok AND level > 0")
-        front = inner.select("content_id", "path", F.col("level") - 1, F.posexplode(_children(F.col("value"))).alias("place", "child"))
-        front = front.select("content_id", F.concat("path", F.array("place")).alias("path"), F.col("(level - 1)").alias("level"), F.col("child").alias("key"))
+        below = inner.select("content_id", "path", F.col("level") - 1, F.posexplode(_children(F.col("value"))).alias("place", "child"))
+        # kept, so that the next round starts from it: references, no payload
+        front = cut(below.select("content_id", F.concat("path", F.array("place")).alias("path"), F.col("(level - 1)").alias("level"), F.col("child").alias("key")))
     return reduce(DataFrame.unionByName, seen)
 
 
@@ -112,7 +126,7 @@ def reachable(roots: DataFrame, kvs: DataFrame, p: StoreParams, tallest: int | N
     for _ in range(tallest + 1):
         seen.append(front.select("key"))
         got = kv.get(kvs, front.where("level > 0")).withColumn("value", crypto.opened_expr(F.col("value"), F.col("key"), p)).where("value IS NOT NULL")
-        front = got.select(F.explode(_children(F.col("value"))).alias("key"), (F.col("level") - 1).alias("level")).distinct()
+        front = cut(got.select(F.explode(_children(F.col("value"))).alias("key"), (F.col("level") - 1).alias("level")).distinct())
     return reduce(DataFrame.unionByName, seen).distinct()
 
 
@@ -151,7 +165,7 @@ def store_refcounts(roots: DataFrame, kvs: DataFrame, p: StoreParams, tallest: i
     front, seen = roots.select("key", F.col("height").alias("level")).distinct(), []
     for _ in range(tallest):
         got = kv.get(kvs, front.where("level > 0")).withColumn("value", crypto.opened_expr(F.col("value"), F.col("key"), p))
-        lists = got.select("key", "level", F.explode(_children(F.col("value"))).alias("child"))
+        lists = cut(got.select("key", "level", F.explode(_children(F.col("value"))).alias("child")))
         seen.append(lists)
         front = lists.select(F.col("child").alias("key"), (F.col("level") - 1).alias("level")).distinct()
     counted = roots.select("key")
@@ -170,8 +184,8 @@ def read_range(nodes: DataFrame, kvs: DataFrame, p: StoreParams, start: int, len
     got = kv.get(kvs, leaves).withColumn("value", crypto.opened_expr(F.col("value"), F.col("key"), p))
     lo = F.greatest(F.lit(start).cast("long") - F.col("start_pos"), F.lit(0).cast("long"))
     hi = F.least(F.lit(end).cast("long"), F.col("end_pos")) - F.col("start_pos")
-    cut = F.substring(F.col("value"), (lo + 1).cast("int"), (hi - lo).cast("int"))
-    out = got.withColumn("cut", cut).groupBy("content_id").agg(F.expr("listagg(cut) WITHIN GROUP (ORDER BY start_pos)").alias("b"), F.min(F.col("value").isNotNull()).alias("ok"))
+    part = F.substring(F.col("value"), (lo + 1).cast("int"), (hi - lo).cast("int"))
+    out = got.withColumn("cut", part).groupBy("content_id").agg(F.expr("listagg(cut) WITHIN GROUP (ORDER BY start_pos)").alias("b"), F.min(F.col("value").isNotNull()).alias("ok"))
     return out.select("content_id", F.when(F.col("ok"), F.col("b")).alias("part"))
 
 

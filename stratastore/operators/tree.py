@@ -9,10 +9,13 @@ from __future__ import annotations
 
 import hashlib
 import hmac
+from collections import Counter
 from collections.abc import Callable, Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -45,87 +48,165 @@ def digest(p: StoreParams) -> Callable[[bytes], bytes]:
     return lambda v: hmac.digest(key, v, "sha256")
 
 
-def nodes_of(body: bytes, p: StoreParams, h: int | None = None) -> Iterator[tuple[int, int, int, int, int, int, bytes, bytes]]:
-    """(level, seq, start, end, parent_seq, children, key, value) of a content's nodes, leaves first."""
-    starts, tag = rolling.levels(body, p, h), digest(p)
-    keys: list[bytes] = []
-    n = len(body)
+#: Names of nodes where only their equality counts: of 128 bits, and several times as fast as a tag.
+NAME = 16
+
+
+def name_of(v: bytes) -> bytes:
+    return xxhash.xxh3_128_digest(v)
+
+
+@dataclass
+class Level:
+    """The nodes of one level in order: places, and keys and values each in one buffer; values are cut at ``cuts``."""
+
+    level: int
+    start: np.ndarray
+    end: np.ndarray
+    parent: np.ndarray
+    children: np.ndarray
+    keys: list[bytes]
+    values: bytes
+    cuts: np.ndarray
+
+    def __len__(self) -> int:
+        return len(self.start)
+
+
+def levels_of(body: bytes, p: StoreParams, h: int | None = None, prefix: rolling.Prefix | None = None, tag: Callable[[bytes], bytes] | None = None) -> list[Level]:
+    """A content's nodes by level, leaves first. Leaves are slices of the content, the others of the keys below, so no value is copied."""
+    starts, tag = rolling.levels(body, p, h, prefix), tag or digest(p)
+    out: list[Level] = []
+    n, values = len(body), body
     for level, own in enumerate(starts):
         ends = np.append(own[1:], n)[: len(own)]
-        above = starts[level + 1] if level + 1 < len(starts) else None
-        parent = np.searchsorted(above, own, "right") - 1 if above is not None else np.full(len(own), -1)
-        if level == 0:
-            values, counts = [body[a:b] for a, b in zip(own.tolist(), ends.tolist(), strict=True)], [0] * len(own)
-        else:
+        parent = np.searchsorted(starts[level + 1], own, "right") - 1 if level + 1 < len(starts) else np.full(len(own), -1)
+        if level:
             first = np.searchsorted(starts[level - 1], np.append(own, n + 1))
-            values = [b"".join(keys[a:b]) for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True)]
-            counts = np.diff(first).tolist()
-        keys = [tag(v) for v in values]
-        yield from zip([level] * len(own), range(len(own)), own.tolist(), ends.tolist(), parent.tolist(), counts, keys, values, strict=True)
+            size = len(out[-1].keys[0]) if out[-1].keys else 0
+            values, cuts, children = b"".join(out[-1].keys), first * size, np.diff(first)
+        else:
+            cuts, children = np.append(own, n) if len(own) else np.zeros(1, np.int64), np.zeros(len(own), np.int64)
+        at = cuts.tolist()
+        keys = [tag(values[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
+        out.append(Level(level, own, ends, parent, children, keys, values, cuts))
+    return out
+
+
+def nodes_of(body: bytes, p: StoreParams, h: int | None = None) -> Iterator[tuple[int, int, int, int, int, int, bytes, bytes]]:
+    """(level, seq, start, end, parent_seq, children, key, value) of a content's nodes, leaves first."""
+    for x in levels_of(body, p, h):
+        at = x.cuts.tolist()
+        values = [x.values[a:b] for a, b in zip(at[:-1], at[1:], strict=True)]
+        yield from zip([x.level] * len(x), range(len(x)), x.start.tolist(), x.end.tolist(), x.parent.tolist(), x.children.tolist(), x.keys, values, strict=True)
+
+
+def _binary(values: bytes, cuts: np.ndarray) -> pa.Array:
+    """Slices of one buffer as a column; the buffer is shared."""
+    return pa.Array.from_buffers(pa.binary(), len(cuts) - 1, [None, pa.py_buffer(cuts.astype(np.int32)), pa.py_buffer(values)])
+
+
+def _keys(keys: list[bytes]) -> pa.Array:
+    size = len(keys[0]) if keys else 0
+    return _binary(b"".join(keys), np.arange(len(keys) + 1) * size)
+
+
+#: Bytes of contents, and of nodes' rows, that go into one batch.
+BATCH_BYTES, BATCH_ROWS = 4 << 20, 1 << 17
+
+
+def spread(contents: DataFrame, by: list[str] | None = None) -> DataFrame:
+    """The contents dealt evenly where they are too few bytes for a split a core (one file, one row group); larger ones as they are."""
+    cores = contents.sparkSession.sparkContext.defaultParallelism
+    if contents.isStreaming or int(contents._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) > cores * (128 << 20):
+        return contents
+    return contents.repartition(4 * cores, *(by or ["content_id"]))
 
 
 def build(contents: DataFrame, p: StoreParams, with_values: bool = False, height: int | None = None) -> DataFrame:
     """All nodes of all contents. contents: content_id STRING, body BINARY; a null body has no nodes."""
     schema = NODES + (", value binary" if with_values else "")
     names = [x.split()[0] for x in schema.split(", ")]
-    kinds = [pa.string(), pa.int32(), *[pa.int64()] * 6, pa.binary(), *[pa.binary()] * with_values]
+
+    def rows(cid: str | None, body: bytes) -> Iterator[pa.RecordBatch]:
+        for x in levels_of(body, p, height):
+            n = len(x)
+            values = [_binary(x.values, x.cuts)] if with_values else []
+            lead = [pa.array([cid] * n, pa.string()) if n < 64 else pa.repeat(pa.scalar(cid, pa.string()), n), pa.array(np.full(n, x.level, np.int32))]
+            places = [np.arange(n), x.start, x.end, x.parent, x.children, np.diff(x.cuts)]
+            yield pa.RecordBatch.from_arrays([*lead, *[pa.array(c.astype(np.int64)) for c in places], _keys(x.keys), *values], names=names)
 
     def run(batches):
+        held: list[pa.RecordBatch] = []
+        size = 0
         for batch in batches:
-            columns: list[list] = [[] for _ in names]
-            held = 0
-
-            def flush():
-                out = pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=names)
-                for c in columns:
-                    c.clear()
-                return out
-
             for cid, body in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                body = body.as_py()
-                if body is None:
+                if (body := body.as_py()) is None:
                     continue
-                for level, seq, a, b, parent, children, key, value in nodes_of(body, p, height):
-                    for c, x in zip(columns, (cid, level, seq, a, b, parent, children, len(value), key, value), strict=False):
-                        c.append(x)
-                held += len(body)
-                if held > 4 << 20:
-                    yield flush()
-                    held = 0
-            yield flush()
+                held += rows(cid, body)
+                size += len(body)
+                if size > BATCH_BYTES:
+                    yield pa.concat_batches(held)
+                    held, size = [], 0
+        if held:
+            yield pa.concat_batches(held)
 
     return contents.select("content_id", "body").mapInArrow(run, schema)
 
 
-def build_grid(contents: DataFrame, grid: list[StoreParams], keep: list[str] | None = None) -> DataFrame:
-    """(…keep, scheme, s, key, size) of the distinct nodes of each content under each parameter set: one scan, one pass, no exchange.
+def build_grid(contents: DataFrame, grid: list[StoreParams], keep: list[str] | None = None, named: bool = True) -> DataFrame:
+    """(…keep, scheme, s, key, size, copies) of the distinct nodes of each content under each parameter set: one scan, one pass.
 
-    A node repeated within a content comes once with its count.
+    A node repeated within a content comes once with its count. named: keys are names for equality (see
+    ``name_of``), not tags. Window hashes are made once for all sets of a ring.
     """
     keep = keep or ["content_id"]
     kept = contents.select(*keep, "body")
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema if f.name != "body"]
+    tags = [name_of if named else digest(p) for p in grid]
+
+    def rows(body: bytes) -> Iterator[tuple[pa.Array, pa.Array, pa.Array, pa.Array, pa.Array]]:
+        shared: dict[str, rolling.Prefix] = {}
+        # the least chunk sizes first: what they find holds what the others need
+        for p, tag in sorted(zip(grid, tags, strict=True), key=lambda x: x[0].chunk):
+            prefix = None
+            if p.scheme.startswith("cdc") and len(body) > p.chunk:
+                prefix = shared.get(p.ring) or shared.setdefault(p.ring, rolling.Prefix(body, p.ring))
+            found = levels_of(body, p, None, prefix, tag)
+            keys, size = [k for x in found for k in x.keys], np.concatenate([np.diff(x.cuts) for x in found])
+            if named and len(found) > 1:  # lists are of references, whatever the names' size
+                size[len(found[0]) :] *= 32 // NAME
+            copies = None
+            if len(first := dict(zip(reversed(keys), range(len(keys) - 1, -1, -1), strict=True))) < len(keys):
+                counts = Counter(keys)
+                at = np.fromiter(first.values(), np.int64, len(first))[::-1]
+                keys = [keys[k] for k in at.tolist()]
+                size, copies = size[at], np.array([counts[k] for k in keys], np.int64)
+            n = len(keys)
+            yield pa.repeat(pa.scalar(p.scheme), n), pa.array(np.full(n, p.chunk, np.int32)), _keys(keys), pa.array(size.astype(np.int64)), pa.array(np.ones(n, np.int64) if copies is None else copies)
 
     def run(batches):
         for batch in batches:
-            bodies, at = batch.column(len(keep)), 0
+            bodies, held, which, total = batch.column(len(keep)), [], [], 0
+
+            def out():
+                lead = batch.select(keep).take(pa.array(np.repeat([k for k, _ in which], [n for _, n in which])))
+                return pa.RecordBatch.from_arrays([*lead.columns, *[pa.concat_arrays([x[c] for x in held]) for c in range(5)]], names=[*keep, "scheme", "s", "key", "size", "copies"])
+
             for at in range(batch.num_rows):
-                body = bodies[at].as_py()
-                if body is None:
+                if (body := bodies[at].as_py()) is None:
                     continue
-                rows: list[tuple] = []
-                for p in grid:
-                    found: dict[bytes, list[int]] = {}
-                    for _, _, _, _, _, _, key, value in nodes_of(body, p):
-                        found.setdefault(key, [len(value), 0])[1] += 1
-                    rows += [(p.scheme, p.chunk, k, *v) for k, v in found.items()]
-                if rows:
-                    scheme, s, key, size, copies = zip(*rows, strict=True)
-                    own = batch.slice(at, 1)
-                    lead = [own.column(k).take(pa.array([0] * len(rows))) for k in range(len(keep))]
-                    yield pa.RecordBatch.from_arrays([*lead, pa.array(scheme), pa.array(s, pa.int32()), pa.array(key, pa.binary()), pa.array(size, pa.int64()), pa.array(copies, pa.int64())], names=[*keep, "scheme", "s", "key", "size", "copies"])
-
-    return kept.mapInArrow(run, ", ".join([*fields, "scheme string, s int, key binary, size bigint, copies bigint"]))
+                for x in rows(body):
+                    held.append(x)
+                    which.append((at, len(x[0])))
+                    total += len(x[0])
+                    if total > BATCH_ROWS:
+                        yield out()
+                        held, which, total = [], [], 0
+            if held:
+                yield out()
+
+    return spread(kept, keep).mapInArrow(run, ", ".join([*fields, "scheme string, s int, key binary, size bigint, copies bigint"]))
 
 
 def build_levelwise(contents: DataFrame, p: StoreParams) -> DataFrame:

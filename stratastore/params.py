@@ -6,7 +6,7 @@ import hashlib
 import secrets
 from dataclasses import dataclass, field, replace
 
-#: Fixed key of tests and of queries whose tags are compared; a real store draws its own.
+#: Fixed key of tests and of queries whose tags are compared. ``init_store`` draws a secret one; insertion warns of this one.
 TEST_KEY = hashlib.sha256(b"public test key").digest()
 
 #: Schemes by the height their trees are held to; None: as the content's length asks.
@@ -79,6 +79,6 @@ class StoreParams:
         return h
 
 
-def init_store(chunk: int = 256, key: bytes | None = None, **options: object) -> StoreParams:
-    """Parameters of a new store with a fresh secret key, if none is given."""
-    return StoreParams(chunk=chunk, key=key or secrets.token_bytes(32), **options)  # type: ignore[arg-type]
+def init_store(chunk: int = 256, key: bytes | None = None, protect: str = "siv", **options: object) -> StoreParams:
+    """Parameters of a new store, sealed if nothing else is asked for, with a fresh secret key if none is given."""
+    return StoreParams(chunk=chunk, key=key or secrets.token_bytes(32), protect=protect, **options)  # type: ignore[arg-type]

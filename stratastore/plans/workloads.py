@@ -7,7 +7,6 @@ version it is.
 
 from __future__ import annotations
 
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -33,23 +32,27 @@ def place_of(seed: Column, n: Column) -> Column:
 def edited(contents: DataFrame, kind: str, delta: int) -> DataFrame:
     """(content_id, run, n, before, after) of one edit of each content; contents: with version as the run's seed.
 
-    kind: 'overwrite' (delta bytes become others), 'insert' (delta bytes are put in), 'scatter' (delta single bytes
-    at even distances, from a seeded place).
+    kind: 'overwrite' (delta bytes become other random ones), 'insert' (delta bytes are put in), 'scatter' (a single
+    byte in each of delta pieces of equal length, each at a place of its own).
     """
     n = F.octet_length("body").cast("long")
     rows = contents.select("content_id", F.col("version").alias("run"), n.alias("n"), F.col("body").alias("before"))
     if kind == "overwrite":
         at = place_of(F.col("run"), F.greatest(F.col("n") - delta + 1, F.lit(1)))
-        after = src.overwrite(F.col("before"), at, src.flipped(F.col("before"), at, delta))
+        new = src.random_bytes(F.concat(F.col("run").cast("string"), F.lit(":new")), delta)
+        # as long as what is there, and not the same
+        own = F.substring(F.col("before"), (at + 1).cast("int"), F.lit(delta))
+        new = F.substring(new, F.lit(1), F.octet_length(own))
+        after = src.overwrite(F.col("before"), at, F.when(new == own, src.flipped(F.col("before"), at, delta)).otherwise(new))
     elif kind == "insert":
         at = place_of(F.col("run"), F.col("n") + 1)
         after = src.insert(F.col("before"), at, src.random_bytes(F.concat(F.col("run").cast("string"), F.lit(":new")), delta))
     elif kind == "scatter":
         # piece by piece: each has one changed byte, and the rest of the division stays
         step = F.floor(F.col("n") / delta)
-        at = place_of(F.col("run"), step)
 
         def changed(k: Column) -> Column:
+            at = place_of(F.concat_ws(":", F.col("run").cast("string"), k.cast("string")), step)
             piece = F.substring(F.col("before"), (k * step + 1).cast("int"), step.cast("int"))
             return F.hex(src.overwrite(piece, at, src.flipped(piece, at, 1)))
 
@@ -95,25 +98,35 @@ def total_costs(contents: DataFrame, params: list[StoreParams], by: list[str] |
     return measures.storage_cost(tree.build_grid(contents, params, [*(by or []), "n"] if by else ["n"]), [*(by or []), "scheme", "s"])
 
 
-def edited_versions(spark: SparkSession, seed: int, n: int, versions: int, gap: int = 997) -> DataFrame:
-    """A random content and versions of it: version v has v changed bytes, at multiples of ``gap`` by turns of the content.
+def edited_versions(spark: SparkSession, seed: int, n: int, versions: int, runs: int = 1, kind: str = "overwrite") -> DataFrame:
+    """Random contents (one a run) and modifications of each: (run, version, body); version 0 is the content itself.
 
-    Each version changes one place more than the one before, so the series is a chain of small edits.
+    kind: 'insert' (one random byte put in at a random place) or 'overwrite' (one byte becomes another). Bodies
+    are made where they are used, from the run and the version.
     """
-    base = src.random_bytes(F.lit(seed), n)
-
-    def change(batches):
-        for batch in batches:
-            out = []
-            for v, body in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                body = bytearray(body)
-                for k in range(1, v + 1):
-                    body[k * gap % n] ^= 0xA5
-                out.append(bytes(body))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], names=["id", "body"])
-
-    rows = spark.range(versions).select("id", base.alias("body")).mapInArrow(change, "id bigint, body binary")
-    return src.contents(rows, F.concat(F.lit(f"v{seed}:"), "id"), F.lit(f"versions{seed}"), F.col("id"), F.col("body"))
+    rows = spark.range(seed, seed + runs).select(F.col("id").alias("run")).crossJoin(spark.range(versions).select(F.col("id").alias("version")))
+    label = F.concat_ws(":", F.col("run").cast("string"), F.col("version").cast("string"))
+    base = src.random_bytes(F.col("run"), n)
+    rows = rows.repartition(4 * spark.sparkContext.defaultParallelism, "run", "version").withColumn("base", base)
+    if kind == "insert":
+        after = src.insert(F.col("base"), place_of(label, F.lit(n + 1)), src.random_bytes(F.concat(label, F.lit(":new")), 1))
+    elif kind == "overwrite":
+        at = place_of(label, F.lit(n))
+        after = src.overwrite(F.col("base"), at, src.flipped(F.col("base"), at, 1))
+    else:
+        raise ValueError(f"unknown kind of versions {kind!r}")
+    return rows.select("run", "version", F.when(F.col("version") == 0, F.col("base")).otherwise(after).alias("body"))
+
+
+def break_even_versions(costs: DataFrame, factor: float, tree_scheme: str = "cdc_tree", flat_scheme: str = "cdc") -> DataFrame:
+    """(s, version, flat_s): from which version on the tree with chunk size s costs at most ``factor`` times the best flat scheme.
+
+    costs: scheme, s, version, cost, smoothed or means over runs. The best flat chunk size is that of each version.
+    """
+    flat = costs.where(F.col("scheme") == flat_scheme).groupBy("version").agg(F.min(F.struct(F.col("cost"), F.col("s"))).alias("best"))
+    both = costs.where(F.col("scheme") == tree_scheme).join(flat, "version").where(F.col("cost") <= F.col("best.cost") * factor)
+    first = both.groupBy("s").agg(F.min(F.struct("version", "best.s")).alias("f"))
+    return first.select("s", F.col("f.version").alias("version"), F.col("f.s").alias("flat_s"))
 
 
 def passage_overlap(docs: DataFrame, passages: DataFrame, p: StoreParams) -> DataFrame:

@@ -110,8 +110,10 @@ def _grid(schemes: tuple[str, ...], sizes: tuple[int, ...] = (256,)) -> list[Sto
 TOPS = {64: 16, 128: 8, 256: 6, 512: 4, 1024: 4, 2048: 3, 4096: 3}
 
 
-def _grid_sql(contents: str, schemes: tuple[str, ...], sizes: tuple[int, ...] = (256,)) -> str:
-    return o.grid(contents, _grid(schemes, sizes), TOPS)[0]
+def _grid_sql(contents: str, schemes: tuple[str, ...], sizes: tuple[int, ...] = (256,), longest: int | None = None) -> str:
+    """longest: length of the longest content, where it is known: its height is all the levels there are."""
+    tops = TOPS if longest is None else {s: StoreParams(chunk=s).height(longest) for s in sizes}
+    return o.grid(contents, _grid(schemes, sizes), tops)[0]
 
 
 _DISTINCT = "(SELECT DISTINCT scheme, s, key, size FROM grid)"
@@ -146,8 +148,8 @@ cum AS (SELECT scheme, s, version, coalesce(added, 0) AS added, CAST(sum(coalesc
 """
 
 
-def _cumulative_sql(contents: str, schemes: tuple[str, ...] = EXACT, sizes: tuple[int, ...] = (256,)) -> str:
-    return _grid_sql(contents, schemes, sizes).rstrip() + _FIRST
+def _cumulative_sql(contents: str, schemes: tuple[str, ...] = EXACT, sizes: tuple[int, ...] = (256,), longest: int | None = None) -> str:
+    return _grid_sql(contents, schemes, sizes, longest).rstrip() + _FIRST
 
 
 @query(_cumulative_sql(o.EVENTS) + "SELECT * FROM cum")
@@ -270,14 +272,28 @@ def boxplot_cost(spark: SparkSession, d: str) -> DataFrame:
     return measures.boxplot(_one_byte(spark), ["s", "n"], "added")
 
 
+def _cells_of(spark: SparkSession, kind: str, deltas: tuple[int, ...], lengths: tuple[int, ...], params: list[StoreParams], runs: int = 20) -> DataFrame:
+    """All cells and runs of an edit experiment over several lengths; a delta of 0 is the whole content."""
+    out = None
+    for n in lengths:
+        for delta in {min(x or n, n) for x in deltas}:
+            part = workloads.edit_experiment(spark, kind, delta, n, params, runs).withColumn("delta", F.lit(delta))
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
+def _curve(cells: DataFrame, y: str) -> DataFrame:
+    """(scheme, s, n, mean, fit): means of the runs and LOESS over content length."""
+    means = cells.groupBy("scheme", "s", "n").agg(F.avg(y).alias("mean"))
+    return means.join(measures.loess(cells, ["scheme", "s"], "n", y).withColumn("n", F.col("n").cast("long")), ["scheme", "s", "n"])
+
+
 @query()
 def wl_overwrite_delta(spark: SparkSession, d: str) -> DataFrame:
-    """Runs of overwriting delta bytes of random contents: mean added cost by scheme, S and delta, with the model's."""
-    params, out = [StoreParams(chunk=s, scheme=x) for s in (64, 128, 256) for x in ("fixed_tree", "cdc_tree")], None
-    for delta in (1, 16, 256, 4096, 32768):
-        part = workloads.edit_experiment(spark, "overwrite", delta, 32768, params).withColumn("delta", F.lit(delta))
-        out = part if out is None else out.unionByName(part)
-    return out.groupBy("scheme", "s", "n", "delta").agg(F.count("*").alias("runs"), F.avg("added").alias("mean"), F.stddev("added").alias("deviation"), F.first("model").alias("model"))
+    """Runs of overwriting delta random bytes of random contents, one to all: mean added cost by scheme, S, length and delta, with the model's."""
+    params = [StoreParams(chunk=s, scheme=x) for s in (64, 128, 256) for x in ("fixed_tree", "cdc_tree")]
+    cells = _cells_of(spark, "overwrite", (1, 16, 256, 4096, 0), (4096, 32768), params)
+    return cells.groupBy("scheme", "s", "n", "delta").agg(F.count("*").alias("runs"), F.avg("added").alias("mean"), F.stddev("added").alias("deviation"), F.first("model").alias("model"))
 
 
 @query()
@@ -290,28 +306,50 @@ def wl_fig_one_byte(spark: SparkSession, d: str) -> DataFrame:
 
 @query()
 def wl_fig_delta_box(spark: SparkSession, d: str) -> DataFrame:
-    """S = 128: box plots of the added cost by length and delta, with the model's bound."""
-    params, out = [StoreParams(chunk=128)], None
-    for n in (4096, 32768):
-        for delta in (1, 64, 1024):
-            part = workloads.edit_experiment(spark, "overwrite", delta, n, params).withColumn("delta", F.lit(delta))
-            out = part if out is None else out.unionByName(part)
+    """S = 128: box plots of the added cost by length and delta up to the whole content, the model's bound, and how many runs are above it."""
+    out = _cells_of(spark, "overwrite", (1, 64, 1024, 16384, 0), (1024, 4096, 32768, 131072), [StoreParams(chunk=128)])
     box = measures.boxplot(out, ["n", "delta"], "added")
-    return box.join(out.groupBy("n", "delta").agg(F.first("model").alias("model")), ["n", "delta"])
+    bound = out.groupBy("n", "delta").agg(F.first("model").alias("model"), F.sum((F.col("added") > F.col("model")).cast("long")).alias("above"))
+    return box.join(bound, ["n", "delta"])
 
 
-def _expansion_sql(contents: str) -> str:
-    return _grid_sql(contents, EXACT, (64, 128, 256)) + "SELECT scheme, s, avg(cost / n) AS expansion FROM (SELECT scheme, s, content_id, sum(size + 32) AS cost FROM (SELECT DISTINCT scheme, s, content_id, key, size FROM grid) GROUP BY scheme, s, content_id) JOIN (SELECT content_id, octet_length(body) AS n FROM (" + contents + ") WHERE octet_length(body) > 0) USING (content_id) GROUP BY scheme, s"
+CURVE_LENGTHS = (1024, 4096, 16384, 65536, 262144)
+
+
+@query()
+def wl_fig_expansion(spark: SparkSession, d: str) -> DataFrame:
+    """Expansion of random contents over their length, all schemes, 20 runs: means and LOESS."""
+    out = None
+    for n in CURVE_LENGTHS:
+        part = workloads.expansion_experiment(src.random_contents(spark, 0, n, 20), workloads.grid(SCHEMES, (64, 128, 256)))
+        out = part if out is None else out.unionByName(part)
+    return _curve(out, "expansion")
+
+
+@query()
+def wl_fig_overwrite(spark: SparkSession, d: str) -> DataFrame:
+    """One byte overwritten, over content length, all schemes, 20 runs: means and LOESS."""
+    return _curve(_cells_of(spark, "overwrite", (1,), CURVE_LENGTHS, workloads.grid(SCHEMES, (64, 256, 1024))), "added")
+
+
+@query()
+def wl_fig_insert(spark: SparkSession, d: str) -> DataFrame:
+    """One byte put in, over content length, all schemes, 20 runs: means and LOESS."""
+    return _curve(_cells_of(spark, "insert", (1,), CURVE_LENGTHS, workloads.grid(SCHEMES, (64, 256, 1024))), "added")
+
+
+def _expansion_sql(contents: str, schemes: tuple[str, ...] = EXACT, longest: int | None = None) -> str:
+    return _grid_sql(contents, schemes, (64, 128, 256), longest) + "SELECT scheme, s, avg(cost / n) AS expansion FROM (SELECT scheme, s, content_id, sum(size + 32) AS cost FROM (SELECT DISTINCT scheme, s, content_id, key, size FROM grid) GROUP BY scheme, s, content_id) JOIN (SELECT content_id, octet_length(body) AS n FROM (" + contents + ") WHERE octet_length(body) > 0) USING (content_id) GROUP BY scheme, s"
 
 
 def _mean_expansion(contents: DataFrame, schemes: tuple[str, ...]) -> DataFrame:
     return workloads.expansion_experiment(contents, _grid(schemes, (64, 128, 256))).groupBy("scheme", "s").agg(F.avg("expansion").alias("expansion"))
 
 
-@query(_expansion_sql(_RANDOM))
+@query(_expansion_sql(_RANDOM, SCHEMES, 16384))
 def wl_expansion(spark: SparkSession, d: str) -> DataFrame:
-    """Expansion of random contents, 20 runs, under the schemes that SQL can follow."""
-    return _mean_expansion(src.random_contents(spark, 0, 16384, 20), EXACT)
+    """Expansion of random contents of 16 KiB, 20 runs, all schemes in the ring that SQL can follow."""
+    return _mean_expansion(src.random_contents(spark, 0, 16384, 20), SCHEMES)
 
 
 @query()
@@ -336,27 +374,27 @@ def _place_sql(seed: str, n: str) -> str:
 
 def _edit_sql(kind: str) -> str:
     base = f"SELECT version AS run, body, octet_length(body) AS n FROM ({_RANDOM})"
+    new = "unhex(sha256(CAST(run AS VARCHAR) || ':new:0')[1:2])"
     if kind == "overwrite":
-        flip = "unhex(translate(hex(body[at + 1:at + 1]), '0123456789ABCDEF', 'FEDCBA9876543210'))"
-        after = f"SELECT CAST(run AS VARCHAR) AS content_id, 1 AS version, body[1:at] || {flip} || body[at + 2:] AS body FROM (SELECT run, body, {_place_sql('run', 'n')} AS at FROM ({base}))"
+        flip = "unhex(translate(hex(body[pos + 1:pos + 1]), '0123456789ABCDEF', 'FEDCBA9876543210'))"
+        other = f"CASE WHEN {new} = body[pos + 1:pos + 1] THEN {flip} ELSE {new} END"
+        after = f"SELECT CAST(run AS VARCHAR) AS content_id, 1 AS version, body[1:pos] || {other} || body[pos + 2:] AS body FROM (SELECT run, body, {_place_sql('run', 'n')} AS pos FROM ({base}))"
     else:
-        new = "unhex(sha256(CAST(run AS VARCHAR) || ':new:0')[1:2])"
-        after = f"SELECT CAST(run AS VARCHAR) AS content_id, 1 AS version, body[1:at] || {new} || body[at + 1:] AS body FROM (SELECT run, body, {_place_sql('run', 'n + 1')} AS at FROM ({base}))"
+        after = f"SELECT CAST(run AS VARCHAR) AS content_id, 1 AS version, body[1:pos] || {new} || body[pos + 1:] AS body FROM (SELECT run, body, {_place_sql('run', 'n + 1')} AS pos FROM ({base}))"
     before = f"SELECT CAST(run AS VARCHAR) AS content_id, 0 AS version, body FROM ({base})"
-    after = after.replace(" at ", " pos ").replace("[1:at]", "[1:pos]").replace("[at ", "[pos ").replace(":at + 1]", ":pos + 1]").replace("AS at", "AS pos")
-    return _grid_sql(f"{before} UNION ALL {after}", EXACT, (64, 256)) + """SELECT scheme, s, run, CAST(sum(CASE WHEN version = 1 THEN size + 32 ELSE 0 END) AS BIGINT) AS added FROM
+    return _grid_sql(f"{before} UNION ALL {after}", SCHEMES, (64, 256), 16385) + """SELECT scheme, s, run, CAST(sum(CASE WHEN version = 1 THEN size + 32 ELSE 0 END) AS BIGINT) AS added FROM
   (SELECT scheme, s, CAST(content_id AS BIGINT) AS run, key, min(version) AS version, any_value(size) AS size FROM grid GROUP BY scheme, s, content_id, key) GROUP BY scheme, s, run"""
 
 
 @query(_edit_sql("overwrite"))
 def wl_overwrite_one(spark: SparkSession, d: str) -> DataFrame:
-    """One byte of 16 KiB of random bytes changed: added cost, run by run, under the schemes that SQL can follow."""
-    return workloads.edit_experiment(spark, "overwrite", 1, 16384, _grid(EXACT, (64, 256))).select("scheme", "s", "run", "added")
+    """One byte of 16 KiB of random bytes changed: added cost, run by run, all schemes in the ring that SQL can follow."""
+    return workloads.edit_experiment(spark, "overwrite", 1, 16384, _grid(SCHEMES, (64, 256))).select("scheme", "s", "run", "added")
 
 
 @query(_edit_sql("insert"))
 def wl_insert_one(spark: SparkSession, d: str) -> DataFrame:
-    return workloads.edit_experiment(spark, "insert", 1, 16384, _grid(EXACT, (64, 256))).select("scheme", "s", "run", "added")
+    return workloads.edit_experiment(spark, "insert", 1, 16384, _grid(SCHEMES, (64, 256))).select("scheme", "s", "run", "added")
 
 
 def _all_schemes(spark: SparkSession, kind: str) -> DataFrame:
@@ -394,12 +432,47 @@ def wl_scattered(spark: SparkSession, d: str) -> DataFrame:
     return out.groupBy("scheme", "s", "edits").agg(F.avg("added").alias("mean"))
 
 
+def _version_means(spark: SparkSession, n: int, versions: int, runs: int, sizes: tuple[int, ...], kind: str = "insert") -> DataFrame:
+    """(scheme, s, version, cost, fit): mean cost over the runs after each version, and its LOESS over the versions; run by run in a store of its own."""
+    series = workloads.edited_versions(spark, 1, n, versions, runs, kind)
+    costs = workloads.version_costs(series, workloads.grid(("whole", "cdc", "cdc_tree"), sizes), ["run"])
+    means = costs.groupBy("scheme", "s", "version").agg(F.avg("cost").alias("cost"))
+    return means.join(measures.loess(means, ["scheme", "s"], "version", "cost").withColumn("version", F.col("version").cast("long")), ["scheme", "s", "version"])
+
+
+VERSION_SIZES = (64, 128, 256, 512, 1024, 2048, 4096, 8192)
+
+
 @query()
 def wl_versions_random(spark: SparkSession, d: str) -> DataFrame:
-    """50 versions of 64 KiB, each with one more changed byte: cost after the last, all schemes and sizes."""
-    costs = workloads.version_costs(workloads.edited_versions(spark, 1, 65536, 50), workloads.grid(("whole", "cdc", "cdc_tree"), (64, 128, 256, 512, 1024, 2048, 4096, 8192)))
-    last = costs.groupBy("scheme", "s").agg(F.max("version").alias("version"))
-    return costs.join(last, ["scheme", "s", "version"]).select("scheme", "s", "version", "cost")
+    """Random contents of 64 KiB and 99 modifications of each by one inserted byte, 4 runs: mean cost after each version. bench.py has the large form."""
+    return _version_means(spark, 65536, 100, 4, VERSION_SIZES)
+
+
+@query()
+def wl_break_even_random(spark: SparkSession, d: str) -> DataFrame:
+    """From how many versions on the content-defined tree costs no more than the best flat content-defined scheme, and at most half, by S."""
+    means = _version_means(spark, 65536, 100, 4, VERSION_SIZES).select("scheme", "s", "version", F.col("fit").alias("cost"))
+    even, half = (workloads.break_even_versions(means, f).select("s", F.col("version").alias(name), F.col("flat_s").alias(f"flat_s_{name}")) for f, name in ((1.0, "even"), (0.5, "half")))
+    return even.join(half, "s", "full")
+
+
+_LABEL = "CAST(run AS VARCHAR) || ':' || CAST(version AS VARCHAR)"
+_MODIFIED = f"""SELECT 'x' AS content_id, version, CASE WHEN version = 0 THEN body ELSE body[1:pos] || unhex(sha256({_LABEL} || ':new:0')[1:2]) || body[pos + 1:] END AS body
+  FROM (SELECT r.version AS run, v.version, body, {_place_sql("CAST(r.version AS VARCHAR) || ':' || CAST(v.version AS VARCHAR)", "octet_length(body) + 1")} AS pos FROM ({o.random_contents(1, 8192, 1)}) r, (SELECT unnest(range(10)) AS version) v)"""
+
+
+@query(_cumulative_sql(_MODIFIED, SCHEMES, (64, 256, 1024), 8193) + "SELECT * FROM cum")
+def wl_versions_small(spark: SparkSession, d: str) -> DataFrame:
+    """A random content of 8 KiB and nine modifications: cost after each version, all schemes in the ring that SQL can follow."""
+    return workloads.version_costs(workloads.edited_versions(spark, 1, 8192, 10, kind="insert"), _grid(SCHEMES, (64, 256, 1024)))
+
+
+@query(_cumulative_sql(_MODIFIED, SCHEMES, (64, 256, 1024), 8193) + "SELECT a.s, min(a.version) AS version FROM cum a JOIN (SELECT version, min(cost) AS best FROM cum WHERE scheme = 'cdc' GROUP BY version) b USING (version) WHERE a.scheme = 'cdc_tree' AND a.cost <= b.best GROUP BY a.s")
+def break_even_cdc(spark: SparkSession, d: str) -> DataFrame:
+    """From which version the content-defined tree is no dearer than the best flat content-defined scheme, by S."""
+    costs = workloads.version_costs(workloads.edited_versions(spark, 1, 8192, 10, kind="insert"), _grid(SCHEMES, (64, 256, 1024)))
+    return workloads.break_even_versions(costs, 1.0).select("s", "version")
 
 
 def _series(name: str, sql: str, source, sizes: tuple[int, ...] = (256, 1024)) -> None:
@@ -409,8 +482,11 @@ def _series(name: str, sql: str, source, sizes: tuple[int, ...] = (256, 1024)) -
 
     @query(None, f"wl_{name}_all")
     def every(spark: SparkSession, d: str) -> DataFrame:
-        return workloads.total_costs(source(spark, d), workloads.grid(SCHEMES, (64, 128, 256, 512, 1024, 2048)))
+        return workloads.total_costs(source(spark, d), workloads.grid(SCHEMES, HISTORY_SIZES))
+
 
+#: Chunk sizes of the histories: up to where the tree has one level and meets the flat scheme.
+HISTORY_SIZES = (64, 128, 256, 512, 1024, 2048, 8192, 32768)
 
 _series("versions_conversations", o.CONVERSATIONS, src.conversation_versions)
 _series("history_orders", o.ORDERS, src.order_snapshots)
@@ -423,7 +499,7 @@ _series("history_pages", o.PAGES, src.pages)
 @query()
 def wl_backups_orders(spark: SparkSession, d: str) -> DataFrame:
     """Twelve monthly backups of the whole orders table, in key order: all schemes and sizes."""
-    return workloads.total_costs(src.order_snapshots(spark, d, 1, 12), workloads.grid(SCHEMES, (64, 128, 256, 512, 1024, 2048)))
+    return workloads.total_costs(src.order_snapshots(spark, d, 1, 12), workloads.grid(SCHEMES, HISTORY_SIZES))
 
 
 @query(o.with_(o.keyed(o.DOCUMENTS, CUT.with_(chunk=64), 1, "_a"), o.keyed(o.PASSAGES, CUT.with_(chunk=64), 1, "_b")) + "SELECT content_id, count(*) AS chunks, count(CASE WHEN key IN (SELECT key FROM k_a WHERE level = 0) THEN 1 END) AS found FROM k_b WHERE level = 0 GROUP BY content_id")

@@ -30,11 +30,7 @@ def insert_stream(contents: DataFrame, path: str, p: StoreParams, checkpoint: st
         spark = df.sparkSession
         kept = df.persist()
         try:
-            try:
-                have = kv.read(spark, f"{path}/pairs")
-                have.schema
-            except Exception:  # nothing stored yet
-                have = kv.empty(spark)
+            have = kv.read(spark, f"{path}/pairs") if _stored(spark, f"{path}/pairs") else kv.empty(spark)
             roots, pairs = store.insert_contents(kept, have, p)
             kv.write(pairs, f"{path}/pairs")
             roots.write.mode("append").parquet(f"{path}/roots")
@@ -44,6 +40,12 @@ def insert_stream(contents: DataFrame, path: str, p: StoreParams, checkpoint: st
     return contents.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def _stored(spark: SparkSession, path: str) -> bool:
+    """Whether there is such a folder; an error in asking is an error."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).exists(at)
+
+
 def new_chunks(contents: DataFrame, p: StoreParams, time: str, delay: str = "1 hour") -> DataFrame:
     """Chunks first seen within the delay: bounded state, for contents that are sent again soon after."""
     nodes = tree.build_grid(timed(contents, time), [p], [time])

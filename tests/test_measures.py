@@ -98,3 +98,43 @@ def test_model_columns_equal_scalars(spark):
     cells = spark.createDataFrame([(s, n, x) for s in (64, 128, 1024) for n in (1, 64, 5000, 1 << 20) for x in (1, 2, 300, 1 << 21)], "s int, n int, x int")
     for r in cells.select("s", "n", "x", analytic.added_delta_col(F.col("n"), F.col("s"), F.col("x")).alias("a"), analytic.added_delta_col(F.col("n"), F.col("s"), F.col("x"), True).alias("b")).collect():
         assert abs(r.a - analytic.added_delta(r.n, r.s, r.x)) < 1e-6 * r.a and abs(r.b - analytic.added_delta(r.n, r.s, r.x, True)) < 1e-6 * r.b
+
+
+def test_scattered_edits_are_at_places_of_their_own(spark):
+    row = workloads.edited(src.random_contents(spark, 2, 4096, 1), "scatter", 16).first()
+    a, b = bytes(row.before), bytes(row.after)
+    at = [k for k in range(4096) if a[k] != b[k]]
+    assert len(a) == len(b) and [k // 256 for k in at] == list(range(16)) and len({k % 256 for k in at}) > 8
+
+
+def test_overwritten_bytes_are_random_and_others(spark):
+    rows = workloads.edited(src.random_contents(spark, 0, 512, 40), "overwrite", 1).collect()
+    changed = [(x, y) for r in rows for x, y in zip(bytes(r.before), bytes(r.after)) if x != y]
+    assert len(changed) == 40 and len({x ^ y for x, y in changed}) > 10
+    whole = workloads.edited(src.random_contents(spark, 0, 512, 3), "overwrite", 512).collect()
+    assert all(sum(x != y for x, y in zip(bytes(r.before), bytes(r.after))) > 480 and len(r.after) == 512 for r in whole)
+
+
+def test_versions_by_insertion_and_break_even(spark):
+    rows = workloads.edited_versions(spark, 5, 2048, 6, 2, "insert").collect()
+    base = {r.run: bytes(r.body) for r in rows if r.version == 0}
+    for r in rows:
+        if r.version:
+            own, body = base[r.run], bytes(r.body)
+            k = next(i for i in range(2049) if i == 2048 or own[i] != body[i])
+            assert len(body) == 2049 and any(body[:j] + body[j + 1 :] == own for j in range(max(0, k - 3), k + 1))
+    costs = spark.createDataFrame([("cdc", 64, v, 100 * v) for v in range(1, 9)] + [("cdc", 128, v, 90 * v + 20) for v in range(1, 9)] + [("cdc_tree", 64, v, 200 + 10 * v) for v in range(1, 9)], "scheme string, s int, version long, cost long")
+    assert [tuple(r) for r in workloads.break_even_versions(costs, 1.0).collect()] == [(64, 3, 128)]
+    assert [tuple(r) for r in workloads.break_even_versions(costs, 0.5).collect()] == [(64, 6, 128)]
+
+
+def test_names_and_tags_cost_the_same(spark, sf):
+    docs = src.documents(spark, sf).limit(40)
+    grid = workloads.grid(SCHEMES, (64, 256))
+    by = lambda named: sorted(map(tuple, measures.storage_cost(tree.build_grid(docs, grid, named=named), ["scheme", "s"]).collect()))
+    assert by(True) == by(False)
+
+
+def test_small_inputs_are_spread(spark, sf):
+    docs = src.documents(spark, sf)
+    assert docs.rdd.getNumPartitions() == 1 < tree.spread(docs).rdd.getNumPartitions()

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+import re
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from stratastore.functions import crypto
 from stratastore.operators import kvs, measures, security, store, tree
-from stratastore.params import StoreParams
+from stratastore.params import StoreParams, init_store
 from stratastore.plans import workloads
 from stratastore.sources import contents as src
 from stratastore.streaming import ingest
@@ -99,6 +101,45 @@ def test_files_of_pairs(spark, rows, tmp_path):
     assert spark.table("kv_table").count() == pairs.count()
 
 
+def _plan(df):
+    return df._jdf.queryExecution().toString()
+
+
+def test_no_key_stands_in_a_plan(spark, rows):
+    p = init_store()
+    roots, pairs = store.insert_contents(rows, kvs.empty(spark), p)
+    plans = _plan(pairs) + _plan(store.fetch_contents(roots, pairs, p)) + _plan(store.read_range(tree.build(rows, p), pairs, p, 0, 9))
+    for secret in (p.key, p.mac_key, p.cipher_key, *crypto.pads(p.mac_key), *crypto.pads(p.cipher_key)):
+        assert secret.hex() not in plans.lower() and " ".join(f"{x:02x}" for x in secret) not in plans.lower() and str(list(secret))[1:-1] not in plans
+
+
+def test_values_move_after_it_is_known_what_is_new(spark, rows, tmp_path):
+    p = init_store()
+    assert p.protect == "siv"
+    kvs.write(store.insert_contents(rows, kvs.empty(spark), p)[1], f"{tmp_path}/kv")
+    stored = kvs.read(spark, f"{tmp_path}/kv")
+    plan = store.new_keys(rows, stored, p)._jdf.queryExecution().executedPlan().toString()
+    assert not re.search(r"\bvalue#", plan) and "Exchange" in plan
+    # few new keys: they are sent to where the contents lie, and only values of theirs go on
+    more = rows.limit(1).withColumn("body", F.lit(b"something new"))
+    new = store.insert_contents(rows.unionByName(more), stored, p)[1]
+    assert new.count() == 1 and "LeftSemi" in new._jdf.queryExecution().executedPlan().toString()
+
+
+def test_the_public_key_is_warned_of(spark, rows):
+    with pytest.warns(UserWarning, match="public test key"):
+        store.insert_contents(rows, kvs.empty(spark), StoreParams(protect="siv"))
+
+
+def test_a_folder_that_cannot_be_read_is_no_empty_store(spark, sf, tmp_path):
+    (tmp_path / "s" / "pairs").mkdir(parents=True)
+    (tmp_path / "s" / "pairs" / "part-0.parquet").write_bytes(b"not parquet")
+    rows = src.contents(ingest.read_table(spark, sf, "benchmark"), F.col("item_id"), F.lit("benchmark"), F.col("item_id"), F.encode("text", "utf-8"))
+    q = ingest.insert_stream(rows, f"{tmp_path}/s", init_store(), f"{tmp_path}/c")
+    with pytest.raises(Exception):  # noqa: B017
+        q.awaitTermination()
+
+
 def test_measures_travel(spark, rows, tmp_path):
     costs = measures.storage_cost(tree.build_grid(rows, workloads.grid()), ["scheme", "s"])
     for kind in ("json", "csv", "orc"):
