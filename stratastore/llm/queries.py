@@ -55,8 +55,7 @@ def op5_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
-    model = quality.fit_quality(docs, table(spark, sf_dir, "labels"))
-    return quality.classify(docs, model).select("doc_id", "lang", "n_tokens", "log10_prob", "perplexity", "threshold", F.col("keep").alias("kept"))
+    return quality.judge(docs, table(spark, sf_dir, "labels")).select("doc_id", "lang", "n_tokens", "log10_prob", "perplexity", "threshold", F.col("keep").alias("kept"))
 
 
 def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
