@@ -25,8 +25,7 @@ def _where_last(judged: DataFrame, wanted: bool, docs: DataFrame) -> DataFrame:
 
 def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose perplexity under the model of trusted text is within their language's quantile."""
-    model = quality.fit_quality(docs, table(spark, sf_dir, "labels"))
-    return _where_last(quality.classify(docs, model), True, docs)
+    return quality.keep_good(docs, table(spark, sf_dir, "labels")).select(*docs.columns)
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
