@@ -73,10 +73,10 @@ def tiled(members: DataFrame, group: str, node: str) -> DataFrame:
 
 
 def binned(rows: DataFrame, n_small: int) -> DataFrame:
-    """Small groups share as many bins as their members need, pairs of tiles have one each; dealt to as many partitions (no more than the session shuffles to), which are not merged by their bytes."""
+    """Small groups share as many bins as their members need, pairs of tiles have one each; dealt to enough partitions for few to share one (no more than the session shuffles to), which are not merged by their bytes."""
     count = max(1, n_small // BIN)
     dealt = rows.withColumn("bin", F.when(F.col("bin") % 2 == 0, F.pmod(F.col("bin") / 2, F.lit(count)).cast("long")).otherwise(F.col("bin") + (1 << 41)))
-    return dealt.repartition(min(n_shuffle(rows.sparkSession), count), "bin")
+    return dealt.repartition(min(n_shuffle(rows.sparkSession), 4 * count), "bin")
 
 
 def local_components(adjacent: np.ndarray) -> np.ndarray:
