@@ -158,6 +158,30 @@ def levels(body: bytes, p: StoreParams, h: int | None = None, prefix: Prefix | N
     return levels_fixed(len(body), h, p) if p.scheme.startswith(("fixed", "whole")) else levels_cdc(body, h, p, prefix)
 
 
+def joins(p: StoreParams) -> bool:
+    """Whether contents can be cut side by side in one buffer: no window or length limit looks beyond a node's start."""
+    return not (p.min_len or p.max_len or p.head == "context" and p.scheme.startswith("cdc"))
+
+
+def levels_many(body: bytes, offsets: np.ndarray, h: int, p: StoreParams, prefix: Prefix | None = None) -> list[np.ndarray]:
+    """Node starts by level of several contents of one height that lie side by side; offsets: where each begins, and the end. None is empty."""
+    starts, n = [offsets[:-1].astype(np.int64)], len(body)
+    if p.scheme.startswith(("fixed", "whole")):
+        for level in range(h - 1, -1, -1):
+            length, above = p.fixed_length(level), starts[-1]
+            count = -(-(np.append(above[1:], n) - above) // length)
+            first = np.repeat(above - length * (np.cumsum(count) - count), count)
+            starts.append(first + length * np.arange(int(count.sum())))
+    elif h:
+        prefix = prefix or Prefix(body, p.ring)
+        below, hashes = prefix.full_below(p.window, threshold(p, 0))
+        for level in range(h - 1, -1, -1):
+            full = below[hashes < prefix.sums.dtype.type(threshold(p, level))] if len(below) else below
+            cuts = _candidates(prefix, p, level, full, starts[-1])
+            starts.append(np.unique(np.concatenate((starts[-1], cuts[cuts < n]))))
+    return starts[::-1]
+
+
 def single_level(body: bytes, p: StoreParams, level: int) -> list[tuple[int, int]]:
     """Chunks of one application of the base chunker with the target length of a level."""
     n = len(body)

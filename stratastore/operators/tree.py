@@ -10,7 +10,7 @@ from __future__ import annotations
 import hashlib
 import hmac
 from collections import Counter
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -75,7 +75,10 @@ class Level:
 
 def levels_of(body: bytes, p: StoreParams, h: int | None = None, prefix: rolling.Prefix | None = None, tag: Callable[[bytes], bytes] | None = None) -> list[Level]:
     """A content's nodes by level, leaves first. Leaves are slices of the content, the others of the keys below, so no value is copied."""
-    starts, tag = rolling.levels(body, p, h, prefix), tag or digest(p)
+    return _levels(rolling.levels(body, p, h, prefix), body, tag or digest(p))
+
+
+def _levels(starts: list[np.ndarray], body: bytes, tag: Callable[[bytes], bytes]) -> list[Level]:
     out: list[Level] = []
     n, values = len(body), body
     for level, own in enumerate(starts):
@@ -111,8 +114,36 @@ def _keys(keys: list[bytes]) -> pa.Array:
     return _binary(b"".join(keys), np.arange(len(keys) + 1) * size)
 
 
-#: Bytes of contents, and of nodes' rows, that go into one batch.
-BATCH_BYTES, BATCH_ROWS = 4 << 20, 1 << 17
+#: Bytes of contents that are cut side by side, and of a batch; rows of a batch.
+JOINED_BYTES, BATCH_BYTES, BATCH_ROWS = 1 << 20, 4 << 20, 1 << 17
+
+
+def joined(bodies: Iterable[tuple[int, bytes]], p: StoreParams) -> Iterator[tuple[bytes, np.ndarray, np.ndarray, int]]:
+    """(buffer, offsets, numbers, height) of numbered contents: those of one height side by side, as far as they fit; small contents cost no round of their own."""
+    held: dict[int, list[tuple[int, bytes]]] = {}
+    size: dict[int, int] = {}
+
+    def out(h: int) -> tuple[bytes, np.ndarray, np.ndarray, int]:
+        part, size[h] = held.pop(h), 0
+        return b"".join(b for _, b in part), np.concatenate(([0], np.cumsum([len(b) for _, b in part]))), np.array([k for k, _ in part], np.int64), h
+
+    together = rolling.joins(p)
+    for k, body in bodies:
+        h = p.height(len(body))
+        if not body or not together:
+            yield body, np.array([0, len(body)]), np.array([k], np.int64), h
+            continue
+        if held.get(h) and size[h] + len(body) > JOINED_BYTES:
+            yield out(h)
+        held.setdefault(h, []).append((k, body))
+        size[h] = size.get(h, 0) + len(body)
+    for h in list(held):
+        yield out(h)
+
+
+def _cut(body: bytes, offsets: np.ndarray, h: int, p: StoreParams, tag: Callable[[bytes], bytes], prefix: rolling.Prefix | None = None) -> list[Level]:
+    starts = rolling.levels_many(body, offsets, h, p, prefix) if body and rolling.joins(p) else rolling.levels(body, p, h, prefix)
+    return _levels(starts, body, tag)
 
 
 def spread(contents: DataFrame, by: list[str] | None = None) -> DataFrame:
@@ -128,28 +159,35 @@ def build(contents: DataFrame, p: StoreParams, with_values: bool = False, height
     schema = NODES + (", value binary" if with_values else "")
     names = [x.split()[0] for x in schema.split(", ")]
 
-    def rows(cid: str | None, body: bytes) -> Iterator[pa.RecordBatch]:
-        for x in levels_of(body, p, height):
-            n = len(x)
+    tag = digest(p)
+
+    def rows(ids: pa.Array, body: bytes, offsets: np.ndarray, numbers: np.ndarray, h: int) -> Iterator[pa.RecordBatch]:
+        found = _cut(body, offsets, h, p, tag)
+        heads = [np.searchsorted(x.start, offsets[:-1]) for x in found]
+        for x in found:
+            own = np.searchsorted(offsets, x.start, "right") - 1 if body else np.zeros(len(x), np.int64)
+            # places in the content and in its level
+            seq = np.arange(len(x)) - heads[x.level][own]
+            above = x.parent - heads[x.level + 1][own] if x.level + 1 < len(found) else np.full(len(x), -1)
+            places = [seq, x.start - offsets[own], x.end - offsets[own], above, x.children, np.diff(x.cuts)]
             values = [_binary(x.values, x.cuts)] if with_values else []
-            lead = [pa.array([cid] * n, pa.string()) if n < 64 else pa.repeat(pa.scalar(cid, pa.string()), n), pa.array(np.full(n, x.level, np.int32))]
-            places = [np.arange(n), x.start, x.end, x.parent, x.children, np.diff(x.cuts)]
+            lead = [ids.take(pa.array(numbers[own])), pa.array(np.full(len(x), x.level, np.int32))]
             yield pa.RecordBatch.from_arrays([*lead, *[pa.array(c.astype(np.int64)) for c in places], _keys(x.keys), *values], names=names)
 
     def run(batches):
-        held: list[pa.RecordBatch] = []
-        size = 0
         for batch in batches:
-            for cid, body in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                if (body := body.as_py()) is None:
-                    continue
-                held += rows(cid, body)
-                size += len(body)
+            held: list[pa.RecordBatch] = []
+            size, ids, bodies = 0, batch.column(0), batch.column(1)
+            numbered = ((k, bodies[k].as_py()) for k in range(batch.num_rows) if bodies[k].is_valid)
+            parts = joined(numbered, p) if height is None else ((b, np.array([0, len(b)]), np.array([k]), height) for k, b in numbered)
+            for part in parts:
+                held += rows(ids, *part)
+                size += len(part[0])
                 if size > BATCH_BYTES:
                     yield pa.concat_batches(held)
                     held, size = [], 0
-        if held:
-            yield pa.concat_batches(held)
+            if held:
+                yield pa.concat_batches(held)
 
     return contents.select("content_id", "body").mapInArrow(run, schema)
 
@@ -165,44 +203,53 @@ def build_grid(contents: DataFrame, grid: list[StoreParams], keep: list[str] | N
     fields = [f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema if f.name != "body"]
     tags = [name_of if named else digest(p) for p in grid]
 
-    def rows(body: bytes) -> Iterator[tuple[pa.Array, pa.Array, pa.Array, pa.Array, pa.Array]]:
-        shared: dict[str, rolling.Prefix] = {}
+    def rows(part: list[tuple[int, bytes]]) -> Iterator[tuple[np.ndarray, list[pa.Array]]]:
+        """Of contents that go through all sets together: numbers, and (scheme, s, key, size, copies)."""
         # the least chunk sizes first: what they find holds what the others need
+        shared: dict[tuple[str, bytes], rolling.Prefix] = {}
         for p, tag in sorted(zip(grid, tags, strict=True), key=lambda x: x[0].chunk):
-            prefix = None
-            if p.scheme.startswith("cdc") and len(body) > p.chunk:
-                prefix = shared.get(p.ring) or shared.setdefault(p.ring, rolling.Prefix(body, p.ring))
-            found = levels_of(body, p, None, prefix, tag)
-            keys, size = [k for x in found for k in x.keys], np.concatenate([np.diff(x.cuts) for x in found])
-            if named and len(found) > 1:  # lists are of references, whatever the names' size
-                size[len(found[0]) :] *= 32 // NAME
-            copies = None
-            if len(first := dict(zip(reversed(keys), range(len(keys) - 1, -1, -1), strict=True))) < len(keys):
-                counts = Counter(keys)
-                at = np.fromiter(first.values(), np.int64, len(first))[::-1]
-                keys = [keys[k] for k in at.tolist()]
-                size, copies = size[at], np.array([counts[k] for k in keys], np.int64)
-            n = len(keys)
-            yield pa.repeat(pa.scalar(p.scheme), n), pa.array(np.full(n, p.chunk, np.int32)), _keys(keys), pa.array(size.astype(np.int64)), pa.array(np.ones(n, np.int64) if copies is None else copies)
+            for body, offsets, numbers, h in joined(part, p):
+                prefix = None
+                if h and len(numbers) == 1 and p.scheme.startswith("cdc"):  # one large content: its sums serve all sets
+                    prefix = shared.get((p.ring, numbers[0])) or shared.setdefault((p.ring, numbers[0]), rolling.Prefix(body, p.ring))
+                found = _cut(body, offsets, h, p, tag, prefix)
+                keys, size = [k for x in found for k in x.keys], np.concatenate([np.diff(x.cuts) for x in found])
+                own = numbers[np.concatenate([np.searchsorted(offsets, x.start, "right") - 1 if body else np.zeros(len(x), np.int64) for x in found])]
+                if named and len(found) > 1:  # lists are of references, whatever the names' size
+                    size[len(found[0]) :] *= 32 // NAME
+                copies = None
+                both = list(zip(own.tolist(), keys, strict=True))
+                if len(first := dict(zip(reversed(both), range(len(both) - 1, -1, -1), strict=True))) < len(both):
+                    counts = Counter(both)
+                    at = np.fromiter(first.values(), np.int64, len(first))[::-1]
+                    copies = np.array([counts[both[k]] for k in at.tolist()], np.int64)
+                    keys, own, size = [keys[k] for k in at.tolist()], own[at], size[at]
+                n = len(keys)
+                yield own, [pa.repeat(pa.scalar(p.scheme), n), pa.array(np.full(n, p.chunk, np.int32)), _keys(keys), pa.array(size.astype(np.int64)), pa.array(np.ones(n, np.int64) if copies is None else copies)]
 
     def run(batches):
         for batch in batches:
             bodies, held, which, total = batch.column(len(keep)), [], [], 0
 
             def out():
-                lead = batch.select(keep).take(pa.array(np.repeat([k for k, _ in which], [n for _, n in which])))
+                lead = batch.select(keep).take(pa.array(np.concatenate(which)))
                 return pa.RecordBatch.from_arrays([*lead.columns, *[pa.concat_arrays([x[c] for x in held]) for c in range(5)]], names=[*keep, "scheme", "s", "key", "size", "copies"])
 
-            for at in range(batch.num_rows):
-                if (body := bodies[at].as_py()) is None:
-                    continue
-                for x in rows(body):
-                    held.append(x)
-                    which.append((at, len(x[0])))
-                    total += len(x[0])
-                    if total > BATCH_ROWS:
-                        yield out()
-                        held, which, total = [], [], 0
+            part, size = [], 0
+            for at in range(batch.num_rows + 1):
+                body = bodies[at].as_py() if at < batch.num_rows else None
+                if body is not None:
+                    part.append((at, body))
+                    size += len(body)
+                if part and (size >= JOINED_BYTES or at == batch.num_rows):
+                    for own, x in rows(part):
+                        held.append(x)
+                        which.append(own)
+                        total += len(own)
+                        if total > BATCH_ROWS:
+                            yield out()
+                            held, which, total = [], [], 0
+                    part, size = [], 0
             if held:
                 yield out()
 

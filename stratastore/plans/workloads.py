@@ -7,6 +7,10 @@ version it is.
 
 from __future__ import annotations
 
+import hashlib
+from functools import lru_cache
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -104,18 +108,27 @@ def edited_versions(spark: SparkSession, seed: int, n: int, versions: int, runs:
     kind: 'insert' (one random byte put in at a random place) or 'overwrite' (one byte becomes another). Bodies
     are made where they are used, from the run and the version.
     """
-    rows = spark.range(seed, seed + runs).select(F.col("id").alias("run")).crossJoin(spark.range(versions).select(F.col("id").alias("version")))
-    label = F.concat_ws(":", F.col("run").cast("string"), F.col("version").cast("string"))
-    base = src.random_bytes(F.col("run"), n)
-    rows = rows.repartition(4 * spark.sparkContext.defaultParallelism, "run", "version").withColumn("base", base)
-    if kind == "insert":
-        after = src.insert(F.col("base"), place_of(label, F.lit(n + 1)), src.random_bytes(F.concat(label, F.lit(":new")), 1))
-    elif kind == "overwrite":
-        at = place_of(label, F.lit(n))
-        after = src.overwrite(F.col("base"), at, src.flipped(F.col("base"), at, 1))
-    else:
+    if kind not in ("insert", "overwrite"):
         raise ValueError(f"unknown kind of versions {kind!r}")
-    return rows.select("run", "version", F.when(F.col("version") == 0, F.col("base")).otherwise(after).alias("body"))
+
+    def make(batches):
+        for batch in batches:
+            for run, version in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                base, label = _random_body(run, n), f"{run}:{version}"
+                if version:
+                    at = int(hashlib.sha256(f"{label}:place".encode()).hexdigest()[:12], 16) % (n + (kind == "insert"))
+                    new = hashlib.sha256(f"{label}:new:0".encode()).digest()[:1] if kind == "insert" else bytes([base[at] ^ 255])
+                    base = base[:at] + new + base[at + (kind == "overwrite") :]
+                yield pa.RecordBatch.from_arrays([pa.array([run]), pa.array([version]), pa.array([base], pa.binary())], names=["run", "version", "body"])
+
+    cells = spark.range(seed, seed + runs).select(F.col("id").alias("run")).crossJoin(spark.range(versions).select(F.col("id").alias("version")))
+    return cells.repartition(4 * spark.sparkContext.defaultParallelism, "run", "version").mapInArrow(make, "run bigint, version bigint, body binary")
+
+
+@lru_cache(maxsize=4)
+def _random_body(seed: int, n: int) -> bytes:
+    """What src.random_bytes gives, kept by a worker for the versions of one content."""
+    return b"".join(hashlib.sha256(f"{seed}:{i}".encode()).digest() for i in range(-(-n // 32)))[:n]
 
 
 def break_even_versions(costs: DataFrame, factor: float, tree_scheme: str = "cdc_tree", flat_scheme: str = "cdc") -> DataFrame:

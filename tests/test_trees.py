@@ -135,3 +135,17 @@ def test_exchange_free_plan(spark, sf):
 
     plan = tree.build(src.documents(spark, sf), StoreParams())._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "MapInArrow" in plan
+
+
+@pytest.mark.parametrize("p", [StoreParams(chunk=64), StoreParams(chunk=64, scheme="fixed_tree"), StoreParams(chunk=128, scheme="cdc", head="skip"), StoreParams(scheme="whole"), StoreParams(chunk=64, ring="m31"), StoreParams(head="context"), StoreParams(min_len=64, max_len=1024)])
+def test_contents_side_by_side_are_cut_like_each_alone(spark, p):
+    rng = np.random.default_rng(9)
+    bodies = [b"", b"z", b"ab" * 700, *[rng.bytes(int(n)) for n in rng.integers(1, 9000, 40)], rng.bytes(300_000), b"", b"z"]
+    got = sorted((r.content_id, r.level, r.seq, r.start_pos, r.end_pos, r.parent_seq, r.children, r.size, bytes(r.key), bytes(r.value)) for r in tree.build(frame(spark, bodies).coalesce(1), p, True).collect())
+    want = sorted((str(k), *n[:6], len(n[7]), *n[6:]) for k, b in enumerate(bodies) for n in tree.nodes_of(b, p))
+    assert got == want
+    grid = sorted((r.content_id, bytes(r.key), r.size, r.copies) for r in tree.build_grid(frame(spark, bodies), [p], named=False).collect())
+    each = {}
+    for x in want:
+        each.setdefault((x[0], x[8], x[7]), []).append(x)
+    assert grid == sorted((*k, len(v)) for k, v in each.items())
