@@ -11,7 +11,7 @@ from .shared import forget, n_shuffle, written
 #: Rounds double the reach of a label; this many reach across any graph that fits the ids.
 MAX_ROUNDS = 64
 #: Members of a group that are compared in one go; larger groups are cut into tiles of about this many.
-TILE = 768
+TILE = 1_536
 #: Members of small groups that share a task, about.
 BIN = 400
 

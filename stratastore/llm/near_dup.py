@@ -24,13 +24,13 @@ from pyspark.sql import functions as F
 
 from . import textkernel as K
 from .components import binned, connected_components, local_components, name_components, tiled
-from .shared import written
+from .shared import forget, written
 
 SHINGLE, THRESHOLD, RECALL, MAX_HASHES = 5, 0.8, 0.9995, 120
 #: What names a set: two digests and its size.
 SET = ["d1", "d2", "n"]
 #: Candidate groups of more nodes are grouped anew with so many rows a band.
-LARGE, STRICT_ROWS = 3_000, 12
+LARGE, STRICT_ROWS = 4_000, 10
 
 
 def choose_bands(threshold: float = THRESHOLD, recall: float = RECALL, max_hashes: int = MAX_HASHES) -> tuple[int, int]:
@@ -182,10 +182,11 @@ def _classes(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", th
     groups = written(_tied(nodes.select("node", "bands")), "groups")
     # one document of each candidate node gives its set; the texts of the others stay where they are
     wanted = groups.join(nodes.select("node", "mult", "least_id", *SET), "node")
-    members = written(wanted.select("node", "grp", "mult").join(_sets_of(docs, wanted, id_col, text_col), "node"), "members")
-    members = _regrouped(members, threshold, recall)
+    written_members = written(wanted.select("node", "grp", "mult").join(_sets_of(docs, wanted, id_col, text_col), "node"), "members")
+    members = _regrouped(written_members, threshold, recall)
     tiles = binned(tiled(members, "grp", "node"), members.count())
     links = written(tiles.groupBy("bin").applyInArrow(lambda t: group_links(t, exact), "node bigint, peer bigint, links bigint"), "verified")
+    forget(written_members)
     classes = connected_components(links.select(F.col("node").alias("a"), F.col("peer").alias("b")))
     per_node = links.groupBy("node").agg(F.sum("links").alias("links"))
     per = nodes.select("node", *SET, "mult", "least_id").join(name_components(nodes, classes), "node", "left").join(per_node, "node", "left")
@@ -223,7 +224,9 @@ def _regrouped(members: DataFrame, threshold: float, recall: float) -> DataFrame
                 yield pa.RecordBatch.from_arrays([part.column("node"), sig], names=["node", "bands"])
 
     again = members.join(large, "grp", "left_semi").select("node", "set").mapInArrow(strict, "node bigint, bands array<bigint>")
-    groups = written(_tied(written(again, "strict")), "groups")
+    banded = written(again, "strict")
+    groups = written(_tied(banded), "groups")
+    forget(banded)
     parted = members.join(large, "grp", "left_semi").drop("grp").join(groups, "node")
     return members.join(large, "grp", "left_anti").unionByName(parted)
 
