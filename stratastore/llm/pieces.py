@@ -2,8 +2,8 @@
 
 The pieces and scores come from a public model file. Text is escaped as the library does (a space mark
 before it and for each space), and the segmentation with the greatest sum of scores is found in one pass
-that keeps only a window of back pointers: as wide as the longest piece, and longer only while several
-boundaries survive. Ids are committed whenever all surviving paths go through one boundary. Characters
+that keeps only a window of back pointers: twice as wide as the longest piece, and wider only while no
+boundary is common to all surviving paths. Ids are committed whenever there is one. Characters
 without a piece become byte pieces. Of equal scores the longer last piece wins.
 
 Where no piece can cross a border (before a run of space marks) every path converges, so whole segments
@@ -118,10 +118,10 @@ class StreamingViterbi:
                     best[i + 1], back[i + 1], ids[i + 1] = score, i, None
                 self.reach = max(self.reach, i + 1)
             self.done = i + 1
-            if self.reach == self.done and self.done >= 256:  # no piece goes on beyond this boundary
+            if self.reach == self.done and self.done >= longest:  # no piece goes on beyond this boundary
                 self._commit(self.done)
                 upto -= i + 1
-            elif self.done >= 4 * longest + 256 and self.done % longest == 0 and (meet := self._meeting()):
+            elif self.done >= 2 * longest and self.done % longest == 0 and (meet := self._meeting()):
                 self._commit(meet)
                 upto -= meet
             self.widest = max(self.widest, len(self.best))
@@ -153,48 +153,13 @@ class StreamingViterbi:
         self.reach -= boundary
 
 
-#: Segments up to this length are within one window, where nothing is committed before the end.
-WITHIN = 64
-
-
 def viterbi(vocabulary: Vocabulary, escaped: str) -> list[int]:
     """Ids of an escaped text."""
-    if len(escaped) <= WITHIN:
-        return _within(vocabulary, escaped)
     search = StreamingViterbi(vocabulary)
     search.push(escaped)
     return search.finish()
 
 
-def _within(vocabulary: Vocabulary, text: str) -> list[int]:
-    """The same search over one window."""
-    plain, heads, unknown, n = vocabulary.plain.get, vocabulary.heads, vocabulary.unknown, len(text)
-    best, back, ids = [0.0] + [-np.inf] * n, [0] * (n + 1), [-1] * (n + 1)
-    for i in range(n):
-        here, end = best[i], i + 1
-        single = False
-        while True:
-            if found := plain(piece := text[i:end]):
-                if here + found[1] > best[end]:
-                    best[end], back[end], ids[end] = here + found[1], i, found[0]
-                if end == i + 1:
-                    single = True
-            if end == n or piece not in heads:
-                break
-            end += 1
-        if not single and here + unknown > best[i + 1]:
-            best[i + 1], back[i + 1], ids[i + 1] = here + unknown, i, -1
-    out: list[int] = []
-    while n:
-        i = back[n]
-        if ids[n] >= 0:
-            out.append(ids[n])
-        else:
-            out.extend(vocabulary.byte_ids[x] for x in reversed(text[i:n].encode()))
-        n = i
-    return out[::-1]
-
-
 #: Everything but the space, in bytes.
 _SOLID = np.ones(256, dtype=bool)
 _SOLID[32] = False
