@@ -12,8 +12,11 @@ in the order of their texts' hashes. Extra columns are not written.
 
 from __future__ import annotations
 
+import json
+import re
 import uuid
 import zlib
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -30,21 +33,52 @@ ROW_INDEX_STRIDE = 1_000
 STRIPE_BYTES = 16 << 20
 
 
+def splits_at_space(tokenizer: dict) -> bool:
+    """Whether a tokenizers file is known never to join what ASCII white space separates, and to drop the latter: by its parts, those not known to count as joining."""
+
+    def parts(x: dict | None, name: str) -> list[dict]:
+        return [] if x is None else x[name] if x["type"] == "Sequence" else [x]
+
+    def splits(x: dict) -> bool:
+        if x["type"] == "Split" and x["behavior"] == "Removed" and x["invert"] and "Regex" in x["pattern"]:
+            # what is kept is matched; a match of anything white would have to say so
+            left = re.sub(r"\[\^\\s(?:\\p\{[A-Z]\})*\]", "", x["pattern"]["Regex"])
+            return not re.search(r"\\[sSWDPX]|[.\s]|\[\^|\\[tnrfv]|\\x|\\u", left)
+        return x["type"] in ("Whitespace", "WhitespaceSplit", "BertPreTokenizer")
+
+    def harmless(x: dict) -> bool:
+        return x["type"] in ("NFC", "Lowercase") or x["type"] == "Replace" and x["pattern"] == {"Regex": "\\s+"} and x["content"] == " "
+
+    before = parts(tokenizer.get("pre_tokenizer"), "pretokenizers")
+    marks = tokenizer.get("added_tokens") or []
+    return (
+        bool(before) and splits(before[0]) and all(harmless(x) for x in parts(tokenizer.get("normalizer"), "normalizers"))
+        and not any(m["lstrip"] or m["rstrip"] or re.search(r"\s", m["content"]) for m in marks)
+    )
+
+
 class WordTokenizer:
-    """A tokenizers file whose pre-tokenizer never joins what ASCII white space separates, and drops the latter."""
+    """A tokenizers file. Where its parts are known to split at white space, words are encoded once and remembered; else texts are encoded whole."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
+        self.by_word = splits_at_space(json.loads(Path(path).read_text(encoding="utf-8")))
         self.cache = SpanCache(lambda words: [e.ids for e in self.library.encode_batch_fast([w.decode() for w in words], add_special_tokens=False)])
 
-    def encode(self, texts: pa.Array, end_id: int | None = END_ID) -> tuple[np.ndarray, np.ndarray]:
-        """Ids of all texts in a row and the texts' offsets; end_id closes each text."""
+    def _ids(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        if not self.by_word:
+            lists = [e.ids for e in self.library.encode_batch_fast([t or "" for t in texts.to_pylist()], add_special_tokens=False)]
+            return np.fromiter((i for x in lists for i in x), np.int32), np.concatenate(([0], np.cumsum([len(x) for x in lists]))).astype(np.int64)
         data, offsets = K.buffers(texts)
         starts, ends, first = K.spans(data, offsets, K.NONSPACE)
         ids, by_word = self.cache.encode(data, starts, ends)
-        offsets = by_word[first]
+        return ids, by_word[first]
+
+    def encode(self, texts: pa.Array, end_id: int | None = END_ID) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all texts in a row and the texts' offsets; end_id closes each text."""
+        ids, offsets = self._ids(texts)
         if end_id is None:
             return ids, offsets
         out = np.full(len(ids) + len(texts), end_id, dtype=np.int32)
