@@ -1,8 +1,9 @@
 """Benchmark decontamination by a broadcast set of benchmark word windows.
 
 A window is ``WINDOW`` consecutive words of a benchmark item (an item of fewer words is one window).
-The set is broadcast only while its size is within ``MAX_WINDOWS`` (12 bytes and the words for each);
-a larger benchmark is dealt over several passes of such sets, each over all documents.
+The set is broadcast only while its size is within ``MAX_WINDOWS`` (each takes its words and about 300 bytes);
+a larger benchmark is dealt over several passes of such sets, each over all documents as the one before left
+them, so one set is held at a time. An item of more windows is cut where no window is lost.
 Hits of the hash set are verified on the words themselves.
 
 Nulls and texts without words have no windows. Repeated rows are judged each for itself; an item
@@ -13,6 +14,7 @@ are kept, and the added ones get an underscore before their names.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -20,7 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import textkernel as K
-from .shared import free_name, plus
+from .shared import free_name, plus, written
 
 WINDOW = 13
 #: A document is contaminated from this share of hit words on: 1 in SHARE.
@@ -107,28 +109,46 @@ def _scan(docs: DataFrame, items: list[tuple[object, str | None]], text_col: str
 def find_contamination(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """The documents with n_words, n_hit, items (ids as strings, sorted), spans (hit byte ranges) and contaminated.
 
-    The items are read to the driver in passes of at most MAX_WINDOWS windows; a benchmark is a fixed set of tests.
+    The items are read to the driver as they are needed, a pass of at most MAX_WINDOWS windows at a time.
     """
     names = {k: free_name(docs, k) for k in ("n_words", "n_hit", "items", "spans", "contaminated")}
-    passes: list[list[tuple[object, str | None]]] = [[]]
-    room = MAX_WINDOWS
-    for row in benchmark.select(F.col(item_col).alias("i"), F.col(item_text_col).alias("t")).toLocalIterator():
-        if len(row.t or "") > room and passes[-1]:
-            passes.append([])
-            room = MAX_WINDOWS
-        passes[-1].append((row.i, row.t))
-        room -= len(row.t or "")
-    out = _scan(docs, passes[0], text_col, names)
-    for more in passes[1:]:  # hit runs of several passes can overlap, so they are merged and counted anew
-        again = {k: f"__{k}" for k in names}
-        out = _scan(out, more, text_col, again)
-        both = F.concat(F.col(names["spans"]), F.col("__spans"))
-        out = out.withColumns({names["items"]: F.array_sort(F.array_union(names["items"], "__items")), names["spans"]: both}).drop(*again.values())
-    if len(passes) > 1:
+    out, room, one, further = None, MAX_WINDOWS, [], False
+    for item, text, windows in _items(benchmark, item_col, item_text_col):
+        if windows > room and one:
+            # written, so that the next pass starts from it and this one's set can go
+            out, one, room, further = written(_pass(docs, out, one, text_col, names), "scanned"), [], MAX_WINDOWS, True
+        one.append((item, text))
+        room -= windows
+    out = _pass(docs, out, one, text_col, names)
+    if further:  # hit runs of several passes can overlap
         out = _recount(out, text_col, names)
     return out.withColumn(names["contaminated"], (F.col(names["n_hit"]) > 0) & (F.col(names["n_hit"]) * SHARE >= F.col(names["n_words"])))
 
 
+def _items(benchmark: DataFrame, item_col: str, item_text_col: str) -> Iterator[tuple[object, str | None, int]]:
+    """(id, text, windows at most) of the items; one of more windows than a pass takes comes in parts that share ``WINDOW`` - 1 words."""
+    for row in benchmark.select(F.col(item_col).alias("i"), F.col(item_text_col).alias("t")).toLocalIterator():
+        if len(row.t or "") <= MAX_WINDOWS:
+            yield row.i, row.t, len(row.t or "")
+            continue
+        data, starts, ends, _, _ = K.word_hashes(pa.array([row.t], pa.string()), K.WORD)
+        raw = data.tobytes()
+        for at in range(0, max(1, len(starts) - WINDOW + 1), MAX_WINDOWS):
+            part = slice(at, at + MAX_WINDOWS + WINDOW - 1)
+            yield row.i, b" ".join(raw[a:b] for a, b in zip(starts[part].tolist(), ends[part].tolist(), strict=True)).decode(), MAX_WINDOWS
+
+
+def _pass(docs: DataFrame, before: DataFrame | None, items: list[tuple[object, str | None]], text_col: str, names: dict[str, str]) -> DataFrame:
+    """One pass over the documents, or over what the passes before it found."""
+    if before is None:
+        return _scan(docs, items, text_col, names)
+    again = {k: free_name(before, k) for k in names}
+    out = _scan(before, items, text_col, again)
+    both = F.concat(F.col(names["spans"]), F.col(again["spans"]))
+    merged = {names["items"]: F.array_sort(F.array_union(names["items"], again["items"])), names["spans"]: both}
+    return out.withColumns(merged).drop(*[again[k] for k in ("n_words", "n_hit", "items", "spans")])
+
+
 def _recount(df: DataFrame, text_col: str, names: dict[str, str]) -> DataFrame:
     """Merges overlapping spans and counts the words in them."""
     at_hit, at_span = df.columns.index(names["n_hit"]), df.columns.index(names["spans"])

@@ -83,7 +83,7 @@ def test_viterbi_is_optimal_and_streams(text):
             total += v.scores[i]
     total += len(bytes(run).decode()) * v.unknown
     assert abs(total - best_sum(v, escaped)) <= 1e-6 * abs(total)
-    assert search.widest < 600 + 4 * v.longest
+    assert search.widest <= 4 * v.longest + 1
 
 
 def test_window_stays_small_without_borders():
@@ -92,7 +92,7 @@ def test_window_stays_small_without_borders():
     for _ in range(200):
         search.push("ab" * 500)
     ids = search.finish()
-    assert "".join(v.pieces[i] for i in ids) == "ab" * 100_000 and search.widest < 6000
+    assert "".join(v.pieces[i] for i in ids) == "ab" * 100_000 and search.widest <= 4 * v.longest + 1
 
 
 def test_pieces_round_trip(spark):
@@ -125,6 +125,29 @@ def test_token_files(spark):
     assert token_files.read(spark, empty).isEmpty()
 
 
+def test_tokenizers_that_join_over_white_space_get_whole_texts(tmp_path):
+    from tokenizers import Tokenizer, models, pre_tokenizers
+
+    library = Tokenizer(models.WordLevel({"a b": 0, "a": 1, "b": 2, "?": 3}, unk_token="?"))
+    library.save(f"{tmp_path}/joins.json")
+    joins = token_files.WordTokenizer(f"{tmp_path}/joins.json")
+    library.pre_tokenizer = pre_tokenizers.WhitespaceSplit()
+    library.save(f"{tmp_path}/splits.json")
+    splits = token_files.WordTokenizer(f"{tmp_path}/splits.json")
+    texts = pa.array(["a b", None, "", "b", "a  b"])
+    assert not joins.by_word and splits.by_word and token_files.WordTokenizer(tokenizers_at.path("word_bpe_49k.json")).by_word
+    assert joins.encode(texts)[0].tolist() == [0, 2, 2, 2, 2, 2, 3, 2] and splits.encode(texts)[0].tolist() == [1, 2, 2, 2, 2, 2, 2, 1, 2, 2]
+
+
+def test_token_files_have_row_indexes(spark, sf):
+    from pyarrow import orc
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    out = token_files.write(docs, token_files.place(spark), tokenizers_at.path("word_bpe_49k.json"), n_parts=1)
+    files = [orc.ORCFile(f) for f in spark.read.orc(f"{out}/data").inputFiles() for f in [f.removeprefix("file://")]]
+    assert [(f.nrows, f.row_index_stride, f.compression, f.nstripes >= 1) for f in files] == [(200, token_files.ROW_INDEX_STRIDE, "ZSTD", True)]
+
+
 def test_token_query(spark, sf):
     rows = op4_token_files(spark, sf).orderBy("doc_id").collect()
     assert len(rows) == 200 and all(a.start + a.n_tokens == b.start for a, b in zip(rows, rows[1:]))
@@ -203,7 +226,7 @@ def brute(docs, items):
     return sorted(out, key=repr)
 
 
-@pytest.mark.parametrize("limit", [2_000_000, 60])
+@pytest.mark.parametrize("limit", [2_000_000, 60, 9])
 def test_contamination(spark, monkeypatch, limit):
     monkeypatch.setattr(decontaminate, "MAX_WINDOWS", limit)
     long = " ".join(f"w{k}" for k in range(40))
