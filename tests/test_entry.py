@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import os
 import subprocess
 import sys
 from pathlib import Path
@@ -27,6 +28,9 @@ def test_import_needs_no_session_and_no_optional_parts(tmp_path):
     subprocess.run(["rm", "-rf", str(tmp_path / "stratastore/llm")], check=True)
     code = "import __spark_entry__ as e; assert not e.HAS_LLM and len(e.queries()) > 100; e.oracle_sql()"
     subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env={"PYTHONPATH": str(tmp_path), "PATH": "/usr/bin:/bin"})
+    # and a query with Python workers runs there
+    code = "import __spark_entry__ as e; from pyspark.sql import SparkSession as S; s = S.builder.master('local[2]').config('spark.ui.enabled', 'false').config('spark.sql.shuffle.partitions', '2').getOrCreate(); assert e.entry(s).count() == 5; s.stop()"
+    subprocess.run([sys.executable, "-c", code], cwd=tmp_path, check=True, env=os.environ | {"PYTHONPATH": str(tmp_path)}, timeout=300)
 
 
 def test_small_queries_run(spark, sf):
