@@ -71,6 +71,22 @@ def test_deletion_by_both_ways(spark, rows):
         store.delete_contents(roots, pairs, gone, p, "never")
 
 
+def test_deletion_of_a_subtree_shared_by_contents_of_other_heights(spark):
+    p = StoreParams(scheme="fixed_tree", protect="hash")
+    long = np.random.default_rng(6).bytes(20_000)
+    # the first 2,048 bytes are a node of level 1 in all three: a root, and below roots of two other heights
+    bodies = [long[:2048], long[:9000], long, b"kept", long[2048:2500]]
+    rows = spark.createDataFrame([(str(k), "t", k, b, len(b)) for k, b in enumerate(bodies)], "content_id string, series string, version bigint, body binary, n bigint")
+    roots, pairs = store.insert_contents(rows, kvs.empty(spark), p)
+    assert len({r.height for r in roots.where("content_id < '3'").collect()}) == 3
+    keys = lambda df: {bytes(r.key) for r in df.collect()}
+    for ids in ("'0', '1', '2'", "'1', '2'", "'0', '1', '2', '3', '4'"):
+        gone = rows.where(f"content_id IN ({ids})").select("content_id")
+        a, b = (keys(store.delete_contents(roots, pairs, gone, p, m)[1]) for m in ("gc", "refcount"))
+        assert a == b
+    assert not b
+
+
 @pytest.mark.parametrize(("at", "length"), [(0, 10), (2990, 100), (100, 0), (19_999, 5), (0, 1 << 20)])
 def test_ranges(spark, rows, at, length):
     p = StoreParams(protect="siv")
