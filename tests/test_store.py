@@ -58,6 +58,17 @@ def test_recursive_fetch(spark, rows):
         store.fetch_recursive(roots, pairs, p.with_(protect="siv"))
 
 
+def test_recursive_fetch_is_not_limited_in_rows(spark, rows):
+    p = StoreParams(scheme="fixed_tree")
+    roots, pairs = store.insert_contents(rows, kvs.empty(spark), p)
+    spark.conf.set("spark.sql.cteRecursionRowLimit", "50")
+    try:
+        got = {r.content_id: bytes(r.body) for r in store.fetch_recursive(roots, pairs, p).collect()}
+    finally:
+        spark.conf.unset("spark.sql.cteRecursionRowLimit")
+    assert got == {r.content_id: bytes(r.body) for r in rows.collect()}
+
+
 def test_deletion_by_both_ways(spark, rows):
     p = StoreParams()
     roots, pairs = store.insert_contents(rows, kvs.empty(spark), p)
