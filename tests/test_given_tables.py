@@ -16,3 +16,8 @@ def _lengths(spark, sf):
 def test_model_expected_nodes(spark, sf):
     rows = _rows(spark, sf, "model_expected_nodes")
     assert {r["n"] for r in rows} == _lengths(spark, sf) and len(rows) == 4 * len({r["n"] for r in rows})
+
+
+def test_model_added_fixed(spark, sf):
+    rows = _rows(spark, sf, "model_added_fixed")
+    assert {r["n"] for r in rows} == _lengths(spark, sf) and len(rows) == 4 * len({r["n"] for r in rows})
