@@ -26,3 +26,8 @@ def test_model_added_fixed(spark, sf):
 def test_model_added_cdc(spark, sf):
     rows = _rows(spark, sf, "model_added_cdc")
     assert {r["n"] for r in rows} == _lengths(spark, sf) and len(rows) == 4 * len({r["n"] for r in rows})
+
+
+def test_model_added_delta(spark, sf):
+    rows = _rows(spark, sf, "model_added_delta")
+    assert {r["n"] for r in rows} == _lengths(spark, sf) and len(rows) == 20 * len({r["n"] for r in rows})
