@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import __spark_entry__ as entry
+from stratastore.params import StoreParams
+from stratastore.plans import analytic
 
 
 def _rows(spark, sf, name):
@@ -31,3 +33,22 @@ def test_model_added_cdc(spark, sf):
 def test_model_added_delta(spark, sf):
     rows = _rows(spark, sf, "model_added_delta")
     assert {r["n"] for r in rows} == _lengths(spark, sf) and len(rows) == 20 * len({r["n"] for r in rows})
+
+
+def _levels(spark, sf, sizes, root):
+    """Documents that have a node of level k (root: or their root), by (s, k)."""
+    texts = [r.text.encode() for r in spark.read.parquet(f"{sf}/documents.parquet").collect() if r.text]
+    out = {}
+    for s in sizes:
+        for n in map(len, texts):
+            for k in range(StoreParams(chunk=s).height(n) + root):
+                out[s, k] = out.get((s, k), 0) + 1
+    return out
+
+
+def test_model_boundary_prob(spark, sf):
+    rows = _rows(spark, sf, "model_boundary_prob")
+    assert {(r["s"], r["k"]): r["contents"] for r in rows} == _levels(spark, sf, (64, 128, 256, 1024), 0)
+    for r in rows:
+        for name, f in (("p", analytic.boundary_prob), ("flip", analytic.cut_flip), ("mean_at_random", analytic.length_biased_mean)):
+            assert abs(r[name] / f(r["k"], r["s"]) - 1) < 1e-12
