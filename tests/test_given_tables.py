@@ -52,3 +52,9 @@ def test_model_boundary_prob(spark, sf):
     for r in rows:
         for name, f in (("p", analytic.boundary_prob), ("flip", analytic.cut_flip), ("mean_at_random", analytic.length_biased_mean)):
             assert abs(r[name] / f(r["k"], r["s"]) - 1) < 1e-12
+
+
+def test_model_cut_flip(spark, sf):
+    rows = _rows(spark, sf, "model_cut_flip")
+    assert {(r["s"], r["k"]): r["contents"] for r in rows} == _levels(spark, sf, (64, 128, 256, 1024), 0)
+    assert all(abs(r["gained"] / analytic.cut_flip(r["k"], r["s"]) - 1) < 1e-12 for r in rows)
