@@ -58,3 +58,10 @@ def test_model_cut_flip(spark, sf):
     rows = _rows(spark, sf, "model_cut_flip")
     assert {(r["s"], r["k"]): r["contents"] for r in rows} == _levels(spark, sf, (64, 128, 256, 1024), 0)
     assert all(abs(r["gained"] / analytic.cut_flip(r["k"], r["s"]) - 1) < 1e-12 for r in rows)
+
+
+def test_level_lengths(spark, sf):
+    rows, empty = _rows(spark, sf, "level_lengths"), spark.read.parquet(f"{sf}/documents.parquet").where("text = ''").count()
+    want = {(s, k): c + (k == 0) * empty for (s, k), c in _levels(spark, sf, (64, 128, 256), 1).items()}
+    assert {(r["s"], r["level"]): r["contents"] for r in rows} == want
+    assert all(r["length"] == analytic.lam(r["level"], r["s"]) for r in rows)
