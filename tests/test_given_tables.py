@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import __spark_entry__ as entry
+from stratastore.functions import rolling
 from stratastore.params import StoreParams
 from stratastore.plans import analytic
 
@@ -65,3 +66,11 @@ def test_level_lengths(spark, sf):
     want = {(s, k): c + (k == 0) * empty for (s, k), c in _levels(spark, sf, (64, 128, 256), 1).items()}
     assert {(r["s"], r["level"]): r["contents"] for r in rows} == want
     assert all(r["length"] == analytic.lam(r["level"], r["s"]) for r in rows)
+
+
+def test_length_biased_share(spark, sf):
+    p = StoreParams(chunk=256, scheme="cdc", ring="m31")
+    sizes = [b - a for r in spark.read.parquet(f"{sf}/documents.parquet").collect() if r.text for a, b in rolling.single_level(r.text.encode(), p, 0)]
+    for r in _rows(spark, sf, "length_biased_share"):
+        assert abs(r["found"] - sum(x for x in sizes if x <= r["longest"]) / sum(sizes)) < 1e-12
+        assert abs(r["share"] - sum(analytic.length_biased_share(c, 0, 256) for c in range(1, r["longest"] + 1))) < 1e-12
