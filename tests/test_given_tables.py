@@ -5,7 +5,8 @@ from __future__ import annotations
 import __spark_entry__ as entry
 from stratastore.functions import rolling
 from stratastore.params import StoreParams
-from stratastore.plans import analytic
+from stratastore.plans import analytic, workloads
+from stratastore.sources import contents as src
 
 
 def _rows(spark, sf, name):
@@ -74,3 +75,18 @@ def test_length_biased_share(spark, sf):
     for r in _rows(spark, sf, "length_biased_share"):
         assert abs(r["found"] - sum(x for x in sizes if x <= r["longest"]) / sum(sizes)) < 1e-12
         assert abs(r["share"] - sum(analytic.length_biased_share(c, 0, 256) for c in range(1, r["longest"] + 1))) < 1e-12
+
+
+def _added(spark, sf):
+    """(s, length class, added) of each document's edit, by the plan with an exchange."""
+    docs = src.documents(spark, sf).where("n > 0")
+    rows = workloads.edit_costs(workloads.edited(docs, "overwrite", 1), workloads.grid(("cdc_tree",), (64, 128, 256))).collect()
+    return [(r.s, 1 << (r.n - 1).bit_length(), r.added) for r in rows]
+
+
+def test_bound_check(spark, sf):
+    rows, cells = _rows(spark, sf, "bound_check"), _added(spark, sf)
+    assert {(r["s"], r["n"]) for r in rows} == {x[:2] for x in cells}
+    for r in rows:
+        own = [a for s, n, a in cells if (s, n) == (r["s"], r["n"])]
+        assert r["samples"] == len(own) and abs(r["mean"] - sum(own) / len(own)) < 1e-6 and r["holds"] == (r["mean"] <= r["mean_bound"])
