@@ -90,3 +90,11 @@ def test_bound_check(spark, sf):
     for r in rows:
         own = [a for s, n, a in cells if (s, n) == (r["s"], r["n"])]
         assert r["samples"] == len(own) and abs(r["mean"] - sum(own) / len(own)) < 1e-6 and r["holds"] == (r["mean"] <= r["mean_bound"])
+
+
+def test_boxplot_cost(spark, sf):
+    rows, cells = _rows(spark, sf, "boxplot_cost"), _added(spark, sf)
+    for r in rows:
+        own = [a for s, n, a in cells if (s, n) == (r["s"], r["n"])]
+        assert r["samples"] == len(own) and min(own) <= r["low"] <= r["q2"] <= r["high"] <= max(own)
+    assert sum(r["samples"] for r in rows) == len(cells)
