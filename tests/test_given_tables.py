@@ -98,3 +98,8 @@ def test_boxplot_cost(spark, sf):
         own = [a for s, n, a in cells if (s, n) == (r["s"], r["n"])]
         assert r["samples"] == len(own) and min(own) <= r["low"] <= r["q2"] <= r["high"] <= max(own)
     assert sum(r["samples"] for r in rows) == len(cells)
+
+
+def test_loess_cost(spark, sf):
+    rows, cells = _rows(spark, sf, "loess_cost"), _added(spark, sf)
+    assert {(r["s"], r["n"]) for r in rows} == {x[:2] for x in cells} and all(r["fit"] is not None for r in rows)
