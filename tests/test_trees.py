@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import time
 
 import numpy as np
 import pytest
@@ -149,3 +150,16 @@ def test_contents_side_by_side_are_cut_like_each_alone(spark, p):
     for x in want:
         each.setdefault((x[0], x[8], x[7]), []).append(x)
     assert grid == sorted((*k, len(v)) for k, v in each.items())
+
+
+def test_lines_of_a_long_text(spark):
+    """Cutting takes time in proportion to the lines, of which there are more than a batch holds."""
+    body = b"".join(b"%d\n" % (k % 7) for k in range(150_000)) + b"end"
+    rows = spark.createDataFrame([("a", body), ("b", b"\n\nx\n"), ("c", b""), ("d", None)], "content_id string, body binary")
+    start = time.monotonic()
+    got = chunkers.chunk(rows, "lines", StoreParams()).orderBy("content_id", "seq").collect()
+    assert time.monotonic() - start < 30
+    assert [(r.seq, r.start_pos, r.end_pos, bytes(r.value)) for r in got if r.content_id == "b"] == [(0, 0, 1, b"\n"), (1, 1, 2, b"\n"), (2, 2, 4, b"x\n")]
+    own = [r for r in got if r.content_id == "a"]
+    assert len(own) == 150_001 and b"".join(bytes(r.value) for r in own) == body and [r.seq for r in own] == list(range(150_001))
+    assert all(body[r.start_pos : r.end_pos] == bytes(r.value) for r in own) and {r.content_id for r in got} == {"a", "b"}
