@@ -163,3 +163,11 @@ def test_lines_of_a_long_text(spark):
     own = [r for r in got if r.content_id == "a"]
     assert len(own) == 150_001 and b"".join(bytes(r.value) for r in own) == body and [r.seq for r in own] == list(range(150_001))
     assert all(body[r.start_pos : r.end_pos] == bytes(r.value) for r in own) and {r.content_id for r in got} == {"a", "b"}
+
+
+def test_sql_chunker_exchanges_no_bytes(spark):
+    rows = spark.createDataFrame([(str(k), bytes([k]) * 3000) for k in range(20)], "content_id string, body binary")
+    plan = chunkers.cdc_sql(rows, StoreParams(chunk=256, scheme="cdc", ring="m31"))._jdf.queryExecution().executedPlan().toString()
+    below = [x for x in plan.split("\n") if "Exchange hashpartitioning" in x]
+    # what is dealt is contents: place and value of a byte are made above every exchange
+    assert below and all("REPARTITION_BY_NUM" in x for x in below), plan
