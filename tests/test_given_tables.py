@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import __spark_entry__ as entry
 from stratastore.functions import rolling
+from stratastore.operators import tree
 from stratastore.params import StoreParams
 from stratastore.plans import analytic, workloads
 from stratastore.sources import contents as src
@@ -103,3 +104,22 @@ def test_boxplot_cost(spark, sf):
 def test_loess_cost(spark, sf):
     rows, cells = _rows(spark, sf, "loess_cost"), _added(spark, sf)
     assert {(r["s"], r["n"]) for r in rows} == {x[:2] for x in cells} and all(r["fit"] is not None for r in rows)
+
+
+def test_break_even_cdc(spark, sf):
+    have: dict[tuple[str, int], set[bytes]] = {}
+    cost: dict[tuple[str, int], int] = {}
+    want: dict[int, int] = {}
+    bodies = sorted((r.version, bytes(r.body)) for r in src.conversation_versions(spark, sf).collect() if r.body is not None)
+    for version in sorted({v for v, _ in bodies}):
+        for scheme in ("cdc", "cdc_tree"):
+            for s in (64, 256, 1024):
+                own = have.setdefault((scheme, s), set())
+                for v, body in bodies:
+                    for node in tree.nodes_of(body, StoreParams(chunk=s, scheme=scheme, ring="m31")) if v == version else ():
+                        cost[scheme, s] = cost.get((scheme, s), 0) + (0 if node[6] in own else len(node[7]) + 32)
+                        own.add(node[6])
+        for s in (64, 256, 1024):
+            if cost["cdc_tree", s] <= min(cost["cdc", x] for x in (64, 256, 1024)):
+                want.setdefault(s, version)
+    assert {r["s"]: r["version"] for r in _rows(spark, sf, "break_even_cdc")} == want and want
