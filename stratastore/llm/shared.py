@@ -37,6 +37,20 @@ def written(df: DataFrame, what: str, fmt: str = "parquet", **options: str) -> D
     return out
 
 
+def released(df: DataFrame, what: str) -> DataFrame:
+    """``written`` in small batches, after which the files of the frame's exchanges are removed: nothing else may start from them."""
+    conf = df.sparkSession.conf
+    own = {"spark.sql.classic.shuffleDependency.fileCleanup.enabled": "true", "spark.sql.execution.arrow.maxBytesPerBatch": "8m"}
+    before = {key: conf.get(key) for key in own}
+    for key, value in own.items():
+        conf.set(key, value)
+    try:
+        return written(df, what)
+    finally:
+        for key, value in before.items():
+            conf.set(key, value)
+
+
 def forget(*frames: DataFrame) -> None:
     """Removes the folders of frames that ``written`` gave, once nothing that is still to be computed reads them."""
     for df in frames:

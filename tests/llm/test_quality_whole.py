@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import time
+
 import numpy as np
 
-from stratastore.llm import quality
+from stratastore.llm import quality, shared
 
 
 def test_order_of_known_pairs_counts(spark):
@@ -95,3 +97,55 @@ def test_shards_grow_with_the_trusted_text(spark, monkeypatch):
     many = quality.fit_counts(docs.select("text"), 3)
     assert (few.shards, many.shards) == (32, 64)
     assert sorted(map(str, quality.score(docs, few).collect())) == sorted(map(str, quality.score(docs, many).collect()))
+
+
+def test_chunks_do_not_depend_on_batches(spark, monkeypatch):
+    docs = spark.createDataFrame([(k, "a b c d " * (k % 9), "en") for k in range(300)], "doc_id long, text string, lang string").repartition(3, "doc_id")
+    model = quality.fit_counts(docs.where("doc_id % 2 = 0").select("text"), 3)
+    want = sorted(map(str, quality.score(docs, model).collect()))
+    monkeypatch.setattr(quality, "CHUNK_TOKENS", 100)
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    rows = quality.score(docs, model)
+    spark.conf.set(key, "7")
+    try:
+        assert sorted(map(str, rows.collect())) == want
+    finally:
+        spark.conf.set(key, before)
+
+
+def test_documents_many_for_the_shards_meet_copies(spark, monkeypatch):
+    docs = spark.createDataFrame([(k, f"a b{k % 7} c{k % 5} d{k % 3} only{k}") for k in range(900)], "doc_id long, text string")
+    model = quality.fit_counts(docs.where("doc_id % 3 = 0").select("text"), 3)
+    want = sorted(map(str, quality.score(docs, model).collect()))
+    for name, value in (("CHUNK_TOKENS", 40), ("CHUNK_BYTES", 40), ("CHUNK_GROUP", 3)):
+        monkeypatch.setattr(quality, name, value)
+    assert sorted(map(str, quality.score(docs, model).collect())) == want
+
+
+def test_words_that_are_not_frequent_are_asked_for(spark, monkeypatch):
+    docs = spark.createDataFrame([(k, f"a b{k % 7} only{k} x{k % 50}") for k in range(500)], "doc_id long, text string")
+    monkeypatch.setattr(quality, "FREQUENT", 1)
+    model = quality.fit_counts(docs.where("doc_id % 2 = 0").select("text"), 3)
+    assert len(model.frequent.keys) <= model.shards < 250
+    rows = docs.collect()
+    _, logs = model.in_memory().log10(quality.pa.array([r.text for r in rows]))
+    got = {r.doc_id: r.log10_prob for r in quality.score(docs, model).collect()}
+    assert np.allclose([got[r.doc_id] for r in rows], logs, rtol=1e-8)
+
+
+def test_exchanges_leave_no_files(spark):
+    blocks = lambda: spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllBlocks().toString().count("shuffle_")
+    before = blocks()
+    rows = shared.released(spark.range(1_000).repartition(5, "id"), "rows")
+    until = time.time() + 20
+    while blocks() > before and time.time() < until:
+        time.sleep(0.2)
+    assert blocks() <= before and rows.count() == 1_000
+
+
+def test_the_model_keeps_words_not_tuples(spark):
+    rng = np.random.default_rng(5)
+    docs = spark.createDataFrame([(" ".join(f"w{x}" for x in rng.integers(0, 3_000, 400)),) for k in range(1_000)], "text string")
+    model = quality.fit_counts(docs, 3)
+    assert sum(len(r.keys or b"") + len(r.value or b"") for r in model.words.collect()) < 1_000_000  # 400,000 tuples of three words are counted
