@@ -149,3 +149,31 @@ def test_the_model_keeps_words_not_tuples(spark):
     docs = spark.createDataFrame([(" ".join(f"w{x}" for x in rng.integers(0, 3_000, 400)),) for k in range(1_000)], "text string")
     model = quality.fit_counts(docs, 3)
     assert sum(len(r.keys or b"") + len(r.value or b"") for r in model.words.collect()) < 1_000_000  # 400,000 tuples of three words are counted
+
+
+def test_places_and_orders_of_hashes():
+    rng, u64 = np.random.default_rng(8), np.uint64
+    for keys in (rng.integers(0, 1 << 64, 500, dtype=u64)[rng.integers(0, 500, 900)], rng.integers(0, 9, 900, dtype=u64), rng.integers(0, 9, 900, dtype=u64) << u64(60), np.zeros(0, u64), np.array([0, 2**64 - 1, 0], u64)):
+        want, first, inverse, n = np.unique(keys, return_index=True, return_inverse=True, return_counts=True)
+        assert all(np.array_equal(*x) for x in zip(quality._distinct(keys), (want, first, n), strict=True))
+        assert all(np.array_equal(*x) for x in zip(quality._inverse(keys), (want, inverse), strict=True))
+        asked = np.concatenate([keys, keys + u64(1), keys - u64(1), rng.integers(0, 1 << 64, 50, dtype=u64)])
+        assert np.array_equal(quality.Places(want).find(asked), [dict(zip(want.tolist(), range(900))).get(x, -1) for x in asked.tolist()])
+    run = np.append(np.arange(5_000, dtype=u64), u64(2**64 - 1))  # all but one alike in their leading bits
+    assert np.array_equal(quality.Places(run).find(np.append(run, u64(6_000))), [*range(5_001), -1])
+
+
+def test_grams_are_found_in_less_time_than_by_halving():
+    rng = np.random.default_rng(9)
+    keys = np.unique(rng.integers(0, 1 << 64, 1_000_000, dtype=np.uint64))
+    asked = np.concatenate([rng.choice(keys, 1_000_000), rng.integers(0, 1 << 64, 1_000_000, dtype=np.uint64)])
+
+    def least(find) -> float:
+        took = []
+        for _ in range(3):
+            began = time.process_time()
+            find()
+            took.append(time.process_time() - began)
+        return min(took)
+
+    assert least(lambda: quality.Places(keys).find(asked)) < 0.6 * least(lambda: np.searchsorted(keys, asked))
