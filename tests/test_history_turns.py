@@ -73,3 +73,10 @@ def test_names_with_equal_high_words_are_told_apart():
 def test_no_rows_no_costs(spark):
     empty = src.History(spark.createDataFrame([(1, "a", None)], "at long, line string, p long"))
     assert workloads.history_costs(empty, workloads.grid()).count() == workloads.history_totals(empty, workloads.grid()).count() == 0
+
+
+def test_lineitem_has_a_snapshot_for_each_ship_month(spark, sf):
+    months = src.table(spark, sf, "lineitem").where("l_shipdate IS NOT NULL").selectExpr("year(l_shipdate) * 12 + month(l_shipdate) AS m").distinct().count()
+    got = {r.version for r in entry.queries()["wl_history_lineitem"](spark, sf).collect()}
+    assert got == set(range(1, months + 1)) and months > 60
+    assert workloads.history_totals(src.lineitem_history(spark, sf), workloads.grid(("whole",), (1024,))).first().pairs == months
