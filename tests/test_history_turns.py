@@ -80,3 +80,10 @@ def test_lineitem_has_a_snapshot_for_each_ship_month(spark, sf):
     got = {r.version for r in entry.queries()["wl_history_lineitem"](spark, sf).collect()}
     assert got == set(range(1, months + 1)) and months > 60
     assert workloads.history_totals(src.lineitem_history(spark, sf), workloads.grid(("whole",), (1024,))).first().pairs == months
+
+
+def test_backups_in_turns(spark, sf, small, monkeypatch):
+    monkeypatch.setattr(workloads, "_by_task", None)
+    got = sorted(tuple(r) for r in entry.queries()["wl_backups_orders"](spark, sf).select("scheme", "s", "pairs", "cost").collect())
+    want = workloads.total_costs(src.order_snapshots(spark, sf, 1, 12), workloads.grid(SCHEMES, (64, 128, 256, 512, 1024, 2048, 8192, 32768)))
+    assert got == sorted(tuple(r) for r in want.select("scheme", "s", "pairs", "cost").collect()) and len(small) > 5
