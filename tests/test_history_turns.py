@@ -87,3 +87,7 @@ def test_backups_in_turns(spark, sf, small, monkeypatch):
     got = sorted(tuple(r) for r in entry.queries()["wl_backups_orders"](spark, sf).select("scheme", "s", "pairs", "cost").collect())
     want = workloads.total_costs(src.order_snapshots(spark, sf, 1, 12), workloads.grid(SCHEMES, (64, 128, 256, 512, 1024, 2048, 8192, 32768)))
     assert got == sorted(tuple(r) for r in want.select("scheme", "s", "pairs", "cost").collect()) and len(small) > 5
+
+
+def test_lineitem_in_turns(spark, sf, small):
+    _same(spark, src.lineitem_history(spark, sf), src.lineitem_snapshots(spark, sf), workloads.grid(("cdc_tree", "fixed_tree"), (1024,)), small)
